@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 
 from .components import connected_components
 from .durable import slices, stored
-from .wordhash import WordHasher, _mix, bucket_of, cuts, hashed_runs, pack, spread, text_windows, unpack, windows
+from .wordhash import WordHasher, _mix, bucket_of, cuts, hashed_runs, pack, portions, spread, text_windows, unpack, windows
 
 BLOCK = 4000
 #: Sets of one batch that make a shingle common: its list is then taken as the longest kind everywhere.
@@ -117,7 +117,7 @@ def _entries(width, n):
 
     def run(batches):
         hasher = WordHasher(lower=True)
-        for batch in batches:
+        for batch in (part for whole in batches for part in portions(whole)):
             found = {}
             for s in shingle_sets(batch["text"], width, hasher):
                 if len(s):

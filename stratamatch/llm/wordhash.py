@@ -113,6 +113,15 @@ def encoded(texts, most=1 << 21):
         yield first, run
 
 
+def portions(batch, most=8 << 20):
+    """Cut a frame with a ``text`` column into runs of rows of about ``most`` characters."""
+    sizes = np.array([len(t) if isinstance(t, str) else 0 for t in batch["text"]], dtype=np.int64)
+    part = np.cumsum(sizes) // most
+    edge = cuts(part)
+    for a, b in zip(edge[:-1], edge[1:]):
+        yield batch.iloc[a:b]
+
+
 def hashed_runs(texts, hasher, most=1 << 21):
     """For each run: (first, blobs, word hashes, starts, ends, word offset of each text)."""
     for first, blobs in encoded(texts, most):
