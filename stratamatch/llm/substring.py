@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .durable import slices
-from .wordhash import WordHasher, bucket_of, cuts, hashed_runs, pack, part_column, part_of, text_windows, unpack
+from .wordhash import WordHasher, bucket_of, cuts, hashed_runs, pack, part_column, part_of, portions, text_windows, unpack
 
 WIDTH = 13
 
@@ -53,9 +53,7 @@ def remove_repeats(docs: DataFrame, width: int = WIDTH, id_col: str = "doc_id",
 def _entries(width, n):
     def run(batches):
         hasher = WordHasher()
-        for batch in batches:
-            if batch.empty:
-                continue
+        for batch in (part for whole in batches for part in portions(whole)):
             batch = batch.sort_values("id", kind="stable")
             ids = batch["id"].to_numpy(np.int64)
             found = []
