@@ -41,88 +41,110 @@ def common_terms(texts: DataFrame, commonest: int = COMMONEST) -> DataFrame:
     return counted.where(F.col("df") >= max(2, -(-n // commonest))).select("term")
 
 
-def fingerprints(texts: DataFrame, common: DataFrame, keys: list[str]) -> DataFrame:
-    """``keys`` and fingerprint for every row of (keys, text)."""
+def cell_of(term: Column) -> Column:
+    """Subset of a term hash: level (trailing zeros of a second hash) and one of four in it."""
+    h = F.xxhash64(term, F.lit(17))
+    g = F.shiftrightunsigned(h, 1)
+    level = F.least(F.bit_count(g.bitwiseXOR(g - 1)) - 1, F.lit(LEVELS - 1))
+    return (level * EACH + F.shiftright(h, 40).bitwiseAND(EACH - 1)).cast("int")
+
+
+def subset_codes(texts: DataFrame, common: DataFrame, keys: list[str]) -> DataFrame:
+    """``keys``, kind, cell, code and x (exclusive or of term hashes), n for every row of (keys,
+    kind, text) and subset that it has terms in; cell -1 holds common terms, -2 means no term.
+    If ``keys`` include the column by which ``texts`` is dealt, nothing is shuffled."""
     small = common.count() <= BROADCAST_ROWS
-    # A row with no term still gets a row of its own.
-    rows = texts.select(*keys, F.explode_outer(terms(F.col("text"))).alias("t")).select(*keys, F.when(F.col("t").isNotNull(), F.xxhash64("t")).alias("term"))
+    rows = texts.select(*keys, "kind", F.explode_outer(terms(F.col("text"))).alias("t"))  # a row also for no term
+    rows = rows.select(*keys, "kind", F.when(F.col("t").isNotNull(), F.xxhash64("t")).alias("term"))
     common = common.withColumn("is_common", F.lit(True))
     rows = rows.join(F.broadcast(common) if small else common, "term", "left")
-    h = F.xxhash64("term", F.lit(17))
-    g = F.shiftrightunsigned(h, 1)
-    level = F.least(F.bit_count(g.bitwiseXOR(g - 1)) - 1, F.lit(LEVELS - 1))  # trailing zero bits
-    cell = F.when(F.col("term").isNull(), -2).when(F.col("is_common"), -1).otherwise(level * EACH + F.shiftright(h, 40).bitwiseAND(EACH - 1)).cast("int")
-    cells = rows.select(*keys, "term", cell.alias("cell")).groupBy(*keys, "cell").agg(F.bit_xor(F.xxhash64("term", F.lit(29))).alias("x"), F.count("term").alias("n"))
-    code = F.substring(F.lpad(F.hex(F.xxhash64("x", "n")), 16, "0"), 1, _WIDTH)
-    whole = F.xxhash64(F.bit_xor("x"), F.sum("n"))
-    grouped = cells.select(*keys, "cell", "x", "n", code.alias("code")).groupBy(*keys).agg(
-        F.collect_list(F.when(F.col("cell") >= 0, F.struct("cell", "code"))).alias("codes"), whole.alias("whole"), F.sum("n").alias("n")
-    )
-    listed = F.map_from_entries("codes")
-    slots = F.sequence(F.lit(0), F.lit(LEVELS * EACH - 1))
-    text = F.array_join(F.transform(slots, lambda i: F.coalesce(F.try_element_at(listed, i), F.lit("-" * _WIDTH))), "")
-    plain = F.when(F.col("n") == 0, "none").otherwise(F.concat(F.lit("all"), F.hex("whole")))
-    return grouped.select(*keys, F.when(F.size("codes") > 0, text).otherwise(plain).alias("fingerprint"))
+    cell = F.when(F.col("term").isNull(), -2).when(F.col("is_common"), -1).otherwise(cell_of(F.col("term"))).cast("int")
+    cells = rows.select(*keys, "kind", "term", cell.alias("cell")).groupBy(*keys, "kind", "cell").agg(F.bit_xor(F.xxhash64("term", F.lit(29))).alias("x"), F.count("term").alias("n"))
+    return cells.withColumn("code", F.substring(F.lpad(F.hex(F.xxhash64("x", "n")), 16, "0"), 1, _WIDTH))
+
 
+def _let(value: Column, use) -> Column:
+    """``use(value)`` with the value computed once."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))
 
-def likeness(a: str, b: str) -> Column:
-    """Likeness from 0 to 1 of two fingerprint columns."""
-    blank = F.lit("-" * _WIDTH)
+
+def listed(found: Column) -> Column:
+    """Codes of all subsets in order (empty: no term there) from the (cell, code, x, n) of a text;
+    one code of all terms if none is in a subset."""
+    inside = F.filter(found, lambda z: z["cell"] >= 0)
     slots = F.sequence(F.lit(0), F.lit(LEVELS * EACH - 1))
 
-    def cut(c):
-        return F.transform(slots, lambda i: F.substring(F.col(c), i * _WIDTH + 1, F.lit(_WIDTH)))
+    def codes(z):
+        m = F.map_from_entries(F.transform(z, lambda e: F.struct(e["cell"], e["code"])))
+        return _let(m, lambda by: F.transform(slots, lambda i: F.coalesce(F.try_element_at(by, i), F.lit(""))))
+
+    total = F.aggregate(found, F.struct(F.lit(0).cast("long").alias("x"), F.lit(0).cast("long").alias("n")), lambda acc, z: F.struct(acc["x"].bitwiseXOR(F.coalesce(z["x"], F.lit(0))).alias("x"), (acc["n"] + z["n"]).alias("n")))
+    plain = _let(total, lambda t: F.array(F.when(t["n"] == 0, F.lit("none")).otherwise(F.concat(F.lit("all"), F.hex(F.xxhash64(t["x"], t["n"]))))))
+    return _let(inside, lambda z: F.when(F.size(z) > 0, codes(z)).otherwise(plain))
+
+
+def as_text(codes: Column) -> Column:
+    return F.array_join(F.transform(codes, lambda c: F.when(c == "", F.lit("-" * _WIDTH)).otherwise(c)), "")
+
 
-    pairs = F.transform(F.arrays_zip(cut(a).alias("a"), cut(b).alias("b")), lambda z: F.struct((z["a"] != blank).cast("int").alias("a"), (z["b"] != blank).cast("int").alias("b"), ((z["a"] == z["b"]) & (z["a"] != blank)).cast("int").alias("same")))
-    levels = F.transform(F.sequence(F.lit(0), F.lit(LEVELS - 1)), lambda k: F.aggregate(
-        F.slice(pairs, k * EACH + 1, EACH), F.struct(F.lit(0).alias("a"), F.lit(0).alias("b"), F.lit(0).alias("same")),
-        lambda acc, z: F.struct((acc["a"] + z["a"]).alias("a"), (acc["b"] + z["b"]).alias("b"), (acc["same"] + z["same"]).alias("same"))))
-    fine = F.filter(levels, lambda z: F.least(z["a"], z["b"]) < EACH)
-    total = F.aggregate(fine, F.struct(F.lit(0).alias("n"), F.lit(0).alias("same")), lambda acc, z: F.struct((acc["n"] + F.least(z["a"], z["b"])).alias("n"), (acc["same"] + z["same"]).alias("same")))
-    share = F.when(total["n"] > 0, F.least(total["same"] / total["n"], F.lit(1.0))).otherwise(0.0)
-    both = (F.length(a) == LEVELS * EACH * _WIDTH) & (F.length(b) == LEVELS * EACH * _WIDTH)
-    return F.when(F.col(a) == F.col(b), F.lit(1.0)).when(both, share).otherwise(0.0)
+def likeness(a: Column, b: Column) -> Column:
+    """Likeness from 0 to 1 of two lists of codes."""
+    pairs = F.zip_with(a, b, lambda x, y: F.when((x != "") & (x == y), 3).otherwise((x != "").cast("int") + 16 * (y != "").cast("int")))
+    # Per level: how many subsets each fills, and how many agree, in one number: a + 16 b + 256 same.
+    number = F.transform(pairs, lambda p: F.when(p == 3, F.lit(1 + 16 + 256)).otherwise(p))
+    starts = F.sequence(F.lit(0), F.lit(LEVELS - 1))
+    levels = _let(number, lambda z: F.transform(starts, lambda k: F.get(z, k * EACH) + F.get(z, k * EACH + 1) + F.get(z, k * EACH + 2) + F.get(z, k * EACH + 3)))
+    least = lambda z: F.least(z.bitwiseAND(15), F.shiftright(z, 4).bitwiseAND(15))
+    total = F.aggregate(levels, F.lit(0), lambda acc, z: acc + F.when(least(z) < EACH, least(z) + 4096 * F.shiftright(z, 8)).otherwise(0))
+    share = _let(total, lambda t: F.when(t.bitwiseAND(4095) > 0, F.shiftright(t, 12) / t.bitwiseAND(4095)).otherwise(0.0))
+    return F.when(a == b, F.lit(1.0)).when((F.size(a) > 1) & (F.size(b) > 1), share).otherwise(F.lit(0.0))
 
 
-def with_next(rows: DataFrame, key: str, tie: str, carry: list[str]) -> DataFrame:
-    """``rows`` with next_<c> for each c of ``carry``: the value at the next row in descending
-    order of (key, tie), nulls last; after the last the first. Ordered in ranges cut at
-    quantiles, each a window of its own; only the last row of each range is sent to the next."""
+def with_next(rows: DataFrame, key: str, tie: str, carry: str) -> DataFrame:
+    """``rows`` with range, place, own and next_<carry>: the value of ``carry`` at the next row in
+    descending order of (key, tie), nulls last; after the last the first. Rows are dealt to ranges
+    cut at quantiles, each a window of its own; the last row of each range also goes to the next
+    range as its first row (own = 0), so a row's next one always has the place before it."""
     spark = rows.sparkSession
-    n = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    n = max(1, min(n, 4000))
+    n = max(1, min(int(spark.conf.get("spark.sql.shuffle.partitions")), 4000))
     cuts = rows.agg(F.percentile_approx(key, [i / n for i in range(1, n)], 20 * n)).first()[0] if n > 1 else None
     cuts = sorted(set(cuts or []))
     steps = F.array(*(F.lit(2**i) for i in range(max(len(cuts), 1).bit_length(), -1, -1)))
     bounds = F.array(*(F.lit(c).cast("long") for c in cuts)) if cuts else F.array(F.lit(None).cast("long"))
     found = F.aggregate(steps, F.lit(0), lambda acc, s: F.when(F.get(bounds, acc + s - 1) <= F.col(key), acc + s).otherwise(acc))
-    dealt = rows.withColumn("range", F.coalesce(found, F.lit(0)))
+    range_ = F.coalesce(found, F.lit(0))
+    dealt = rows.withColumn("range", range_)
     tops = sorted((tuple(r) for r in dealt.groupBy("range").agg(F.max(F.struct(key, tie)).alias("t")).select("range", f"t.{key}", f"t.{tie}").collect()), key=lambda r: r[0])  # one row a range
-    goes = [(t[1], t[2], tops[(i + 1) % len(tops)][0], i + 1 == len(tops)) for i, t in enumerate(tops)]
+    goes = [(t[1], t[2], tops[(i + 1) % len(tops)][0]) for i, t in enumerate(tops)]
     kinds = {f.name: f.dataType.simpleString() for f in rows.schema}
-    table = F.broadcast(spark.createDataFrame(goes, f"top_key {kinds[key]}, top_tie {kinds[tie]}, goes_to int, wraps boolean"))
-    guests = rows.join(table, F.col(key).eqNullSafe(F.col("top_key")) & F.col(tie).eqNullSafe(F.col("top_tie"))).drop("top_key", "top_tie")
-    guests = guests.select(F.col("goes_to").alias("range"), F.lit(0).alias("own"), *rows.columns)
+    table = F.broadcast(spark.createDataFrame(goes, f"top_key {kinds[key]}, top_tie {kinds[tie]}, goes_to int"))
+    guests = rows.join(table, F.col(key).eqNullSafe(F.col("top_key")) & F.col(tie).eqNullSafe(F.col("top_tie")))
+    # Rows that repeat a range's last row are all equal; one of them is enough.
+    guests = guests.dropDuplicates(["goes_to"]).select(F.col("goes_to").alias("range"), F.lit(0).alias("own"), *rows.columns)
     order = Window.partitionBy("range").orderBy("own", F.col(key).asc_nulls_first(), tie)
     out = guests.unionByName(dealt.select("range", F.lit(1).alias("own"), *rows.columns))
-    out = out.select("*", *(F.lag(c).over(order).alias(f"next_{c}") for c in carry))
-    return out.where("own = 1").drop("own", "range")
+    return out.select("*", F.row_number().over(order).alias("place"), F.lag(carry).over(order).alias(f"next_{carry}"))
 
 
 def fingerprint_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next."""
+    """id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next.
+    Texts are shuffled once, by range of id; all later groups and windows keep that dealing."""
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
     common = stored(common_terms(rows.select("text")), "common-terms")
-    rows = with_next(rows.withColumn("tie", F.xxhash64("text")), "id", "tie", ["text"])
+    rows = with_next(rows.withColumn("tie", F.xxhash64("text")), "id", "tie", "text")
     n = F.length("text")
     half = F.floor(n / 2).cast("int")
-    edited = F.concat(F.substring(F.col("text"), F.lit(1), n - half), F.substring(F.col("next_text"), F.lit(1), half))
-    rows = rows.select("id", "tie", n.cast("long").alias("n_chars"), "text", edited.alias("edited")).withColumn("row", F.monotonically_increasing_id())
-    both = rows.select("id", "tie", "n_chars", "row", F.sha2(F.col("edited").cast("binary"), 256).alias("sha"), F.explode(F.array(F.struct(F.lit(0).alias("kind"), F.col("text").alias("text")), F.struct(F.lit(1).alias("kind"), F.col("edited").alias("text")))).alias("of"))
-    prints = fingerprints(both.select("id", "tie", "n_chars", "row", "sha", "of.kind", "of.text"), common, ["id", "tie", "n_chars", "row", "sha", "kind"])
-    paired = prints.groupBy("id", "tie", "n_chars", "row", "sha").agg(F.max(F.when(F.col("kind") == 0, F.col("fingerprint"))).alias("fingerprint"), F.max(F.when(F.col("kind") == 1, F.col("fingerprint"))).alias("edited_fingerprint"))
-    paired = with_next(stored(paired.drop("row"), "fingerprints"), "id", "tie", ["fingerprint"])
-    return paired.select(
-        F.col("id").alias(id_col), "n_chars", F.col("sha").alias("edited_sha256"), "fingerprint", "edited_fingerprint",
-        likeness("fingerprint", "edited_fingerprint").alias("near_edited"), likeness("fingerprint", "next_fingerprint").alias("near_next"),
+    edited = F.concat(F.substring(F.col("text"), F.lit(1), n - half), F.substring(F.coalesce("next_text", F.lit("")), F.lit(1), half))
+    rows = rows.select("range", "place", "own", "id", n.cast("long").alias("n_chars"), "text", edited.alias("edited"))
+    both = F.array(F.struct(F.lit(0).alias("kind"), F.col("text").alias("text")), F.struct(F.lit(1).alias("kind"), F.col("edited").alias("text")))
+    keys = ["range", "place", "own", "id", "n_chars", "sha"]
+    both = rows.select(*keys[:-1], F.unhex(F.sha2(F.col("edited").cast("binary"), 256)).alias("sha"), F.explode(both).alias("of")).select(*keys, "of.kind", "of.text")
+    cells = subset_codes(both, common, keys)
+    prints = cells.groupBy(*keys).agg(F.collect_list(F.struct("kind", "cell", "code", "x", "n")).alias("found"))
+    of = lambda kind: listed(F.filter("found", lambda z: z["kind"] == kind))
+    prints = prints.select(*keys, of(0).alias("codes"), of(1).alias("edited_codes"))
+    prints = prints.withColumn("next_codes", F.lag("codes").over(Window.partitionBy("range").orderBy("place"))).where("own = 1")
+    return prints.select(
+        F.col("id").alias(id_col), "n_chars", F.lower(F.hex("sha")).alias("edited_sha256"), as_text(F.col("codes")).alias("fingerprint"), as_text(F.col("edited_codes")).alias("edited_fingerprint"),
+        likeness(F.col("codes"), F.col("edited_codes")).alias("near_edited"), likeness(F.col("codes"), F.col("next_codes")).alias("near_next"),
     )
