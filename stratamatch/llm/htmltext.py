@@ -232,7 +232,7 @@ def main_text(html: str | None, paths=()) -> str:
     mine = text_at(found, own[0])
     for path in paths or ():
         text = text_at(found, path)
-        if len(text) * 2 >= len(mine) and text:  # a winning path that holds a side piece only is no main text here
+        if len(text) * 4 >= len(mine) and text:  # a winning path that holds a side piece only is no main text here
             return text
     return mine
 

@@ -55,7 +55,7 @@ def source_targets(sizes: DataFrame, weights=WEIGHTS, budget: float = BUDGET, mo
 
 
 def copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", carry=(), **shares) -> DataFrame:
-    """id, size, source_size, target, copies for every row, and the columns ``carry``."""
+    """id, size, source_size, target, copies for every row, and the struct ``carried`` of the columns ``carry``."""
     source = F.col(source_col).cast("string")
     # Draws and sizes are taken from the text once; texts travel only if carried.
     rows = docs.select(
@@ -93,7 +93,7 @@ def copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sour
     own = F.struct("u", "id", "size")
     drawn = F.when(F.col("cut1").isNull(), F.col("rest") > 0).when(at != edge, at < edge).otherwise(F.coalesce(own <= F.col("last"), F.lit(False)))
     return rows.join(ends, "source_key").select(
-        F.col("id").alias(id_col), "size", "source_size", "target", (F.col("whole") + drawn.cast("int")).alias("copies"), *(f"carried.{c}" for c in carry)
+        F.col("id").alias(id_col), "size", "source_size", "target", (F.col("whole") + drawn.cast("int")).alias("copies"), *(["carried"] if carry else [])
     )
 
 
@@ -102,4 +102,4 @@ def mix(docs: DataFrame, **shares) -> DataFrame:
     names = docs.columns
     packed = docs.select(F.col("doc_id").alias("mix_id"), F.col("text").alias("mix_text"), F.col("source").alias("mix_source"), *names)
     out = copies(packed, "mix_id", "mix_text", "mix_source", carry=tuple(names), **shares)
-    return out.where("copies > 0").withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies")))).select(*names)
+    return out.where("copies > 0").select("carried", F.explode(F.sequence(F.lit(1), F.col("copies")))).select("carried.*")
