@@ -150,7 +150,7 @@ def greedy_local(edges: DataFrame) -> DataFrame:
                 keep.append(row)
         return pdf.__class__(keep, columns=pdf.columns)[["t_uid", "c_uid", "distance"]].astype({"t_uid": "int64", "c_uid": "int64", "distance": "float64"})
 
-    return edges.groupBy(F.lit(0)).applyInPandas(scan, "t_uid long, c_uid long, distance double")
+    return edges.withColumn("_one", F.lit(0)).groupBy("_one").applyInPandas(scan, "t_uid long, c_uid long, distance double")
 
 
 def greedy_violations(edges: DataFrame, result: DataFrame, k: int) -> DataFrame:

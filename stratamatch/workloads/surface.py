@@ -139,12 +139,22 @@ def json_covariate(spark, folder):
     return table(spark, folder, "events").select("event_id", F.get_json_object("props", "$.k").cast("int").alias("k"))
 
 
-@query(units("SELECT round(corr(CAST(t_bulk AS DOUBLE), CAST(t_disc AS DOUBLE)), 9) AS bulk_disc, round(corr(CAST(t_combo AS DOUBLE), CAST(t_bulk AS DOUBLE)), 9) AS combo_bulk, round(corr(CAST(t_urgent AS DOUBLE), CAST(t_heavy AS DOUBLE)), 9) AS urgent_heavy FROM units"))
+def _corr_sql(a, b):
+    return f"round(covar_pop(CAST({a} AS DOUBLE), CAST({b} AS DOUBLE)) / nullif((stddev_pop({a}) FILTER ({b} IS NOT NULL)) * (stddev_pop({b}) FILTER ({a} IS NOT NULL)), 0), 9)"
+
+
+_PAIRS = (("t_bulk", "t_disc"), ("t_combo", "t_bulk"), ("t_urgent", "t_heavy"))
+
+
+@query(units("SELECT " + ", ".join(f"{_corr_sql(a, b)} AS {a[2:]}_{b[2:]}" for a, b in _PAIRS) + " FROM units"))
 def corr_pairs(spark, folder):
-    """phi is the correlation of the pairwise complete columns."""
-    u = line_units(spark, folder)
-    c = lambda a, b: F.corr(F.when(F.col(b).isNotNull(), F.col(a)).cast("double"), F.when(F.col(a).isNotNull(), F.col(b)).cast("double"))
-    return u.agg(F.round(c("t_bulk", "t_disc"), 9).alias("bulk_disc"), F.round(c("t_combo", "t_bulk"), 9).alias("combo_bulk"), F.round(c("t_urgent", "t_heavy"), 9).alias("urgent_heavy"))
+    """phi is the correlation of the pairwise complete columns; null without variance."""
+
+    def corr(a, b):
+        x, y = (F.when(F.col(q).isNotNull(), F.col(p)).cast("double") for p, q in ((a, b), (b, a)))
+        return F.round(F.try_divide(F.covar_pop(x, y), F.stddev_pop(x) * F.stddev_pop(y)), 9)
+
+    return line_units(spark, folder).agg(*(corr(a, b).alias(f"{a[2:]}_{b[2:]}") for a, b in _PAIRS))
 
 
 def _epochs(df, *keys):
