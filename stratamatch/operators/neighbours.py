@@ -7,9 +7,12 @@ of the score, never from a nested loop over units.
 
 from __future__ import annotations
 
+from itertools import product
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.distances import covariance, whitened
 from ..plans.spec import UnitSpec, checked_treatment
 from ..sources.shared import materialized
 from .ranking import range_cuts, range_of
@@ -98,7 +101,7 @@ def nearest_sorted(df: DataFrame, spec: UnitSpec, score: str, k: int = 1, calipe
     return nearest_with_replacement(edges, k)
 
 
-def nearest_without_replacement(edges: DataFrame, k: int = 1, mode: str = "greedy", max_rounds: int = ROUNDS) -> DataFrame:
+def nearest_without_replacement(edges: DataFrame, k: int = 1, mode: str = "greedy", max_rounds: int = ROUNDS, order=("distance", "t_uid", "c_uid")) -> DataFrame:
     """Each control once at most, each treated unit k at most.
 
     ``single_pass``: an edge stays if it is the first of its control and among the k first of
@@ -106,7 +109,8 @@ def nearest_without_replacement(edges: DataFrame, k: int = 1, mode: str = "greed
     treated unit its k first of these. ``greedy``: what a scan of all edges in ascending order
     accepts, by rounds: an alive edge is accepted if it is the first alive one of its control
     and within the remaining capacity of its treated unit; then edges of used controls and full
-    units go. After ``max_rounds`` what is left is finished by ``greedy_local``."""
+    units go. After ``max_rounds`` what is left is finished by ``greedy_local``. ``order`` names the
+    columns of the scan's total order, for example a priority of treated units first."""
     if k < 1:
         raise ValueError("k must be at least 1")
     at_c = Window.partitionBy("c_uid").orderBy("distance", "t_uid")
@@ -118,22 +122,25 @@ def nearest_without_replacement(edges: DataFrame, k: int = 1, mode: str = "greed
         return best.withColumn("rnk", F.row_number().over(at_t)).where(F.col("rnk") <= k)
     if mode != "greedy":
         raise ValueError(mode)
-    alive, accepted = materialized(edges.select("t_uid", "c_uid", "distance").withColumn("left", F.lit(k)), "edges"), None
+    extra = [c for c in order if c not in ("t_uid", "c_uid", "distance")]
+    names = ["t_uid", "c_uid", "distance", *extra]
+    by_c, by_t = Window.partitionBy("c_uid").orderBy(*order), Window.partitionBy("t_uid").orderBy(*order)
+    alive, accepted = materialized(edges.select(*names).withColumn("left", F.lit(k)), "edges"), None
     for _ in range(max_rounds):
-        now = alive.select("*", F.row_number().over(at_c).alias("_c"), F.row_number().over(at_t).alias("_t")).where("_c = 1 and _t <= left").select("t_uid", "c_uid", "distance")
+        now = alive.select("*", F.row_number().over(by_c).alias("_c"), F.row_number().over(by_t).alias("_t")).where("_c = 1 and _t <= left").select("t_uid", "c_uid", "distance")
         now = materialized(now, "accepted")
         accepted = now if accepted is None else accepted.unionByName(now)
         used = now.groupBy("t_uid").agg(F.count("*").cast("int").alias("_n"))
         rest = alive.join(now.select("c_uid"), "c_uid", "left_anti").join(used, "t_uid", "left").withColumn("left", F.col("left") - F.coalesce("_n", F.lit(0)))
-        alive = materialized(rest.where("left > 0").select("t_uid", "c_uid", "distance", "left"), "edges")
+        alive = materialized(rest.where("left > 0").select(*names, "left"), "edges")
         if alive.isEmpty():
             break
     else:
-        accepted = accepted.unionByName(greedy_local(alive))
+        accepted = accepted.unionByName(greedy_local(alive, order))
     return accepted.withColumn("rnk", F.row_number().over(at_t))
 
 
-def greedy_local(edges: DataFrame) -> DataFrame:
+def greedy_local(edges: DataFrame, order=("distance", "t_uid", "c_uid")) -> DataFrame:
     """The scan itself in one task, for edge sets of at most ``LOCAL_EDGES`` rows (checked);
     ``left`` is the capacity of a treated unit."""
     n = edges.limit(LOCAL_EDGES + 1).count()
@@ -142,7 +149,7 @@ def greedy_local(edges: DataFrame) -> DataFrame:
 
     def scan(pdf):
         room, used, keep = {}, set(), []
-        for row in pdf.sort_values(["distance", "t_uid", "c_uid"]).itertuples(index=False):
+        for row in pdf.sort_values(list(order)).itertuples(index=False):
             left = room.setdefault(row.t_uid, row.left)
             if left and row.c_uid not in used:
                 room[row.t_uid] = left - 1
@@ -167,3 +174,27 @@ def greedy_violations(edges: DataFrame, result: DataFrame, k: int) -> DataFrame:
     t_open = F.col("t_n").isNull() | (F.col("t_n") < k) | (F.col("t_last") > place)
     blocking = free.where(c_open & t_open).agg(F.count("*").alias("blocking_edges"))
     return twice.crossJoin(over).crossJoin(blocking)  # one row each
+
+
+def nearest_mahalanobis(df: DataFrame, spec: UnitSpec, columns, width: float = 0.25) -> DataFrame:
+    """Exact nearest control of each treated unit by Mahalanobis distance. In whitened columns a
+    unit looks at grid cells within one step; where the best found lies within the looked-at
+    border it is final, the others go on with cells of twice the width."""
+    df = checked_treatment(df, spec).dropna(subset=list(columns))
+    white = materialized(whitened(df, list(columns), covariance(df, list(columns))), "whitened")
+    w = [f"w_{i}" for i in range(len(columns))]
+    todo = white.where(F.col(spec.treatment) == 1).select(F.col(spec.id).alias("t_uid"), *(F.col(c).alias(f"t_{c}") for c in w))
+    controls = white.where(F.col(spec.treatment) == 0).select(F.col(spec.id).alias("c_uid"), *(F.col(c).alias(f"c_{c}") for c in w))
+    done = todo.limit(0).select("t_uid", F.lit(0).cast("long").alias("c_uid"), F.lit(0.0).alias("distance"))
+    while not (todo.isEmpty() or controls.isEmpty()):
+        grid = lambda p: F.array(*(F.floor(F.col(f"{p}_{c}") / width) for c in w))
+        around = [[F.floor(F.col(f"t_{c}") / width) + s for s in (-1, 0, 1)] for c in w]
+        around = F.array(*(F.array(*cell) for cell in product(*around)))
+        near = todo.withColumn("cell", F.explode(around)).join(controls.withColumn("cell", grid("c")), "cell")
+        square = sum(((F.col(f"t_{c}") - F.col(f"c_{c}")) * (F.col(f"t_{c}") - F.col(f"c_{c}")) for c in w), F.lit(0.0))
+        best = near.groupBy("t_uid").agg(F.min(F.struct(square.alias("distance"), F.col("c_uid").alias("c_uid"))).alias("m")).select("t_uid", "m.c_uid", "m.distance")
+        best = materialized(best.where(F.sqrt("distance") <= width), "nearest")  # all within one width have been seen
+        done = done.unionByName(best)
+        todo = materialized(todo.join(best.select("t_uid"), "t_uid", "left_anti"), "todo")
+        width *= 2
+    return done

@@ -41,12 +41,19 @@ def fit_propensity(df: DataFrame, spec: UnitSpec, numeric=(), categorical=(), ma
     return 1 / (1 + F.exp(-z)), dict(zip((k for k, _ in terms), map(float, model.coefficients))), float(model.intercept)
 
 
-def grouped_moments(dimension: DataFrame, fact: DataFrame, on: str, treatment: str) -> DataFrame:
-    """Rows to learn a dimension-side score from without the join's rows: one per dimension row
-    with the number of its facts, all and treated (a weighted binomial), pre-aggregated below the join."""
+def fit_propensity_factorized(dimension: DataFrame, facts: DataFrame, on: str, treatment: str, numeric, max_iter: int = 50):
+    """The logistic regression of a fact-side treatment on dimension columns without the join's
+    rows: facts are counted per key and arm below the join, and each dimension row enters with
+    these counts as weights. Returns (score column, weights, intercept), as the joined fit gives. Action."""
+    from pyspark.ml.classification import LogisticRegression
+    from pyspark.ml.feature import VectorAssembler
+
     t = F.col(treatment)
-    facts = fact.where(t.isNotNull()).groupBy(on).agg(F.count("*").alias("n"), F.count_if(t == 1).alias("n1"))
-    return dimension.join(facts, on)
+    counts = facts.where(t.isNotNull()).groupBy(on, t.cast("double").alias("label")).agg(F.count("*").cast("double").alias("weight"))
+    rows = VectorAssembler(inputCols=list(numeric), outputCol="features").transform(dimension.join(counts, on).select("label", "weight", *(F.col(c).cast("double").alias(c) for c in numeric)))
+    model = LogisticRegression(maxIter=max_iter, tol=1e-9, weightCol="weight").fit(rows)
+    weights = dict(zip(numeric, map(float, model.coefficients)))
+    return score_expr(weights, float(model.intercept)), weights, float(model.intercept)
 
 
 def cell_propensity(df: DataFrame, spec: UnitSpec) -> DataFrame:

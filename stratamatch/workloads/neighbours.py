@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from itertools import product
-
 from pyspark.sql import functions as F
 
 from ..functions import distances
@@ -12,6 +10,7 @@ from ..operators.effects import matched_effect
 from ..operators.neighbours import (
     candidate_pairs,
     greedy_violations,
+    nearest_mahalanobis,
     nearest_sorted,
     nearest_with_replacement,
     nearest_without_replacement,
@@ -25,6 +24,7 @@ from . import query
 from .oracle import EDGES, PAIRS, SCORED, units
 
 SPEC = UnitSpec("uid", "t_bulk", ())
+SPEC_T = UnitSpec("uid", "t", ())
 _E = EDGES.format(caliper=1000)
 _NARROW = EDGES.format(caliper=200)
 
@@ -99,12 +99,28 @@ def nnmnr_refill(spark, folder):
     return nearest_without_replacement(edges(spark, folder), 3, "refill")
 
 
-@query()
+def _scan_sql(k, order, extra=""):
+    """The sequential scan of edges in a total order, one edge a step."""
+    return units(f"""SELECT t_uid, c_uid, distance, CAST(row_number() OVER (PARTITION BY t_uid ORDER BY distance, c_uid) AS INTEGER) AS rnk FROM scan WHERE ok""", SCORED, _E,
+        f"o AS MATERIALIZED (SELECT edges.*, row_number() OVER (ORDER BY {order}) AS i FROM edges {extra})",
+        f"""scan AS (SELECT CAST(0 AS BIGINT) AS i, CAST([] AS BIGINT[]) AS cs, CAST([] AS BIGINT[]) AS ts, CAST(NULL AS BIGINT) AS t_uid, CAST(NULL AS BIGINT) AS c_uid, CAST(NULL AS DOUBLE) AS distance, false AS ok
+UNION ALL SELECT i, CASE WHEN a THEN list_append(cs, c_uid) ELSE cs END, CASE WHEN a THEN list_append(ts, t_uid) ELSE ts END, t_uid, c_uid, distance, a
+FROM (SELECT o.i, o.t_uid, o.c_uid, o.distance, s.cs, s.ts, NOT list_contains(s.cs, o.c_uid) AND len(list_filter(s.ts, lambda x: x = o.t_uid)) < {k} AS a FROM scan s JOIN o ON o.i = s.i + 1))""").replace("WITH ", "WITH RECURSIVE ", 1)
+
+
+@query(_scan_sql(3, "distance, t_uid, c_uid"))
 def nnmnr_greedy(spark, folder):
     """The sequential greedy scan, by rounds."""
     return nearest_without_replacement(edges(spark, folder), 3, "greedy")
 
 
+@query(_scan_sql(1, "s.ps DESC, t_uid, distance, c_uid", "JOIN scored s ON s.uid = t_uid"))
+def nnmnr_greedy_by_score(spark, folder):
+    """Greedy with the treated units in descending order of score, each taking its nearest free control."""
+    e = edges(spark, folder).join(rows(spark, folder).select(F.col("uid").alias("t_uid"), (-F.col("ps")).alias("priority")), "t_uid")
+    return nearest_without_replacement(e, 1, "greedy", order=("priority", "t_uid", "distance", "c_uid"))
+
+
 @query("SELECT CAST(0 AS BIGINT) AS controls_reused, CAST(0 AS BIGINT) AS treated_over, CAST(0 AS BIGINT) AS blocking_edges")
 def nnmnr_greedy_violations(spark, folder):
     e = edges(spark, folder)
@@ -186,34 +202,7 @@ def md_pairs(spark, folder):
     """Nearest control by Mahalanobis distance on two vector components: whitened, then cells of a
     grid around each treated unit widen until every one has its exact nearest."""
     e = table(spark, folder, "embeddings").select(F.col("vec_id").alias("uid"), F.when(F.col("label") > 4, 1).otherwise(0).alias("t"), F.get("embedding", F.lit(0)).cast("double").alias("a"), F.get("embedding", F.lit(1)).cast("double").alias("b"))
-    return grid_nearest(e, ("a", "b")).withColumn("distance", F.round("distance", 6))
-
-
-def grid_nearest(df, columns, width: float = 0.25):
-    """Exact nearest control of each treated unit by Mahalanobis distance. In whitened columns a
-    unit looks at grid cells within one step; where the best found lies within the looked-at
-    border it is final, the others go on with cells of twice the width."""
-    from ..sources.shared import materialized
-
-    white = materialized(distances.whitened(df, list(columns), distances.covariance(df, list(columns))), "whitened")
-    w = [f"w_{i}" for i in range(len(columns))]
-    todo = white.where("t = 1").select(F.col("uid").alias("t_uid"), *(F.col(c).alias(f"t_{c}") for c in w))
-    controls = white.where("t = 0").select(F.col("uid").alias("c_uid"), *(F.col(c).alias(f"c_{c}") for c in w))
-    done, n = None, controls.count()
-    while n:
-        grid = lambda p: F.array(*(F.floor(F.col(f"{p}_{c}") / width) for c in w))
-        around = [[F.floor(F.col(f"t_{c}") / width) + s for s in (-1, 0, 1)] for c in w]
-        around = F.array(*(F.array(*cell) for cell in product(*around)))
-        near = todo.withColumn("cell", F.explode(around)).join(controls.withColumn("cell", grid("c")), "cell")
-        square = sum(((F.col(f"t_{c}") - F.col(f"c_{c}")) * (F.col(f"t_{c}") - F.col(f"c_{c}")) for c in w), F.lit(0.0))
-        best = near.groupBy("t_uid").agg(F.min(F.struct(square.alias("distance"), F.col("c_uid").alias("c_uid"))).alias("m")).select("t_uid", "m.c_uid", "m.distance")
-        best = materialized(best.where(F.sqrt("distance") <= width), "nearest")  # all within one width have been seen
-        done = best if done is None else done.unionByName(best)
-        todo = materialized(todo.join(best.select("t_uid"), "t_uid", "left_anti"), "todo")
-        width *= 2
-        if todo.isEmpty():
-            break
-    return done
+    return nearest_mahalanobis(e, SPEC_T, ("a", "b")).withColumn("distance", F.round("distance", 6))
 
 
 @query("""WITH v AS (SELECT vec_id, label, unnest(embedding) AS x, unnest(range(64)) AS i FROM embeddings),

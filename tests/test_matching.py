@@ -107,6 +107,32 @@ def test_greedy_rounds_equal_the_scan(spark, k):
     assert {(r.t_uid, r.c_uid) for r in nearest_without_replacement(df, k, "greedy", max_rounds=1).collect()} == got
 
 
+def test_greedy_in_order_of_priority(spark):
+    rng = random.Random(9)
+    edges = [(t, c, d, -(t % 3)) for t, c, d in _edges(rng, 9, 9, 0.5)]
+    df = frame(spark, edges, "t_uid long, c_uid long, distance double, priority int")
+    order = ("priority", "t_uid", "distance", "c_uid")
+    want, used, full = set(), set(), set()
+    for t, c, _, _ in sorted(edges, key=lambda e: (e[3], e[0], e[2], e[1])):
+        if t not in full and c not in used:
+            want.add((t, c))
+            full.add(t)
+            used.add(c)
+    for rounds in (1, 40):
+        assert {(r.t_uid, r.c_uid) for r in nearest_without_replacement(df, 1, "greedy", rounds, order).collect()} == want
+
+
+def test_factorized_fit_equals_the_joined_fit(spark):
+    from stratamatch.operators.propensity import fit_propensity, fit_propensity_factorized
+
+    rng = random.Random(4)
+    dim = spark.createDataFrame([(k, rng.random(), rng.random()) for k in range(40)], "k long, a double, b double")
+    fact = spark.createDataFrame([(i, i % 40, int(rng.random() < 0.3 + 0.4 * (i % 40) / 40)) for i in range(800)], "uid long, k long, t int")
+    _, w, b = fit_propensity_factorized(dim, fact, "k", "t", ("a", "b"))
+    _, v, c = fit_propensity(fact.join(dim, "k"), UnitSpec("uid", "t", ()), numeric=("a", "b"))
+    assert [*w.values(), b] == pytest.approx([*v.values(), c], abs=1e-4)
+
+
 def _best_size(edges):
     """Maximum number of disjoint pairs (augmenting paths)."""
     near, mate = {}, {}
