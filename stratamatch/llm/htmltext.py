@@ -25,6 +25,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .durable import stored
+from .wordhash import portions
 
 PATHS, BROADCAST_BYTES = 4, 8 << 20
 
@@ -246,7 +247,7 @@ def host_paths(pages: DataFrame, keep: int = PATHS) -> DataFrame:
     """host, paths (strongest first): the consensus of the best containers of its pages."""
 
     def vote(batches):
-        for batch in batches:
+        for batch in portions(batches, "html"):
             out = []
             for host, html in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 best = best_path(blocks(html or ""))
@@ -271,7 +272,7 @@ def extract(pages: DataFrame, keep: int = PATHS) -> DataFrame:
         winners = F.broadcast(winners)
 
     def take(batches):
-        for batch in batches:
+        for batch in portions(batches, "html"):
             ids, urls, htmls, paths, hosts = batch.columns
             texts = [main_text(h, p) for h, p in zip(htmls.to_pylist(), paths.to_pylist())]
             yield pa.RecordBatch.from_arrays([ids, urls, pa.array(texts, type=pa.string()), pa.array(list(map(len, texts)), type=pa.int64()), hosts], names=["page_id", "url", "text", "n_chars", "host"])

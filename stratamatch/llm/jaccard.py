@@ -30,12 +30,14 @@ from math import ceil
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected_components
 from .durable import slices, stored
-from .wordhash import WordHasher, _mix, bucket_of, cuts, hashed_runs, pack, portions, spread, text_windows, unpack, windows
+from .substring import packed
+from .wordhash import WordHasher, _mix, blobs, bucket_of, cuts, hashed_runs, pack, portions, spread, text_windows, unpack, windows
 
 BLOCK = 4000
 #: Sets of one batch that make a shingle common: its list is then taken as the longest kind everywhere.
@@ -80,8 +82,8 @@ def jaccard_components(docs: DataFrame, width: int, percent: int, id_col: str =
         raise ValueError("percent is 1 to 100 and width at least 1")
     slim = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
     n = slices(slim)
-    sets = stored(slim.select(F.coalesce("id", F.lit(0)).alias("id"), F.col("id").isNotNull().alias("known"), "text").mapInPandas(_sizes(width), "id long, known boolean, n long, digest long"), "sets")
-    lists = slim.select("text").mapInPandas(_entries(width, n), "bucket int, kind int, data binary")
+    sets = stored(slim.select(F.coalesce("id", F.lit(0)).alias("id"), F.col("id").isNotNull().alias("known"), "text").mapInArrow(_sizes(width), "id long, known boolean, n long, digest long"), "sets")
+    lists = slim.select("text").mapInArrow(_entries(width, n), "bucket int, kind int, data binary")
     shared = lists.groupBy("bucket").applyInPandas(_frequencies(n), "part int, kind int, data binary")
     entities = stored(shared.groupBy("part").applyInPandas(_short_lists(percent), "node long, n long, shared binary, short array<long>"), "short-lists")
     groups = _candidate_groups(entities)
@@ -99,14 +101,10 @@ def jaccard_components(docs: DataFrame, width: int, percent: int, id_col: str =
 def _sizes(width):
     def run(batches):
         hasher = WordHasher(lower=True)
-        for batch in batches:
-            if batch.empty:
-                continue
-            rows = [(len(s), digest(s) if len(s) else None) for s in shingle_sets(batch["text"], width, hasher)]
-            out = pd.DataFrame({"id": batch["id"], "known": batch["known"]})
-            out["n"] = [r[0] for r in rows]
-            out["digest"] = pd.array([r[1] for r in rows], dtype="Int64")
-            yield out
+        for batch in portions(batches, "text"):
+            rows = [(len(s), digest(s) if len(s) else None) for s in shingle_sets(blobs(batch, "text"), width, hasher)]
+            sizes, digests = pa.array([r[0] for r in rows], type=pa.int64()), pa.array([r[1] for r in rows], type=pa.int64())
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), sizes, digests], names=["id", "known", "n", "digest"])
 
     return run
 
@@ -117,9 +115,9 @@ def _entries(width, n):
 
     def run(batches):
         hasher = WordHasher(lower=True)
-        for batch in (part for whole in batches for part in portions(whole)):
+        for batch in portions(batches, "text"):
             found = {}
-            for s in shingle_sets(batch["text"], width, hasher):
+            for s in shingle_sets(blobs(batch, "text"), width, hasher):
                 if len(s):
                     found.setdefault(digest(s), s)
             if not found:
@@ -146,7 +144,7 @@ def _entries(width, n):
             edge = cuts(part[by])
             rows.extend((int(part[by[a]]), 2, _sized(nodes[by[a:b]], sizes[by[a:b]])) for a, b in zip(edge[:-1], edge[1:]))
             rows.extend((p, 3, blob) for p, blob in _answers(node[often], h[often], np.full(int(often.sum()), _LONG), n))
-            yield pd.DataFrame(rows, columns=["bucket", "kind", "data"])
+            yield packed(rows)
 
     return run
 

@@ -27,6 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .durable import slices
+from .wordhash import portions
 
 LENGTH, END, LINEAR, QUADRATIC, LOOKED_AT = 2048, 1, 1.0, 1.0 / 2048, 32
 #: The file's own way of cutting texts into pieces before merging (fixed value).
@@ -72,7 +73,7 @@ def pack(docs: DataFrame, tokenizer: str, length: int = LENGTH, end: int = END,
 
     def cut(batches):
         encode = token_encoder(tokenizer)
-        for batch in batches:
+        for batch in portions(batches, "text"):
             out = []
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 ids = np.append(np.array(encode(text or ""), dtype="<u4"), np.array([end], dtype="<u4"))

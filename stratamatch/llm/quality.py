@@ -23,12 +23,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .durable import stored
-from .wordhash import WordHasher, windows
+from .wordhash import WordHasher, blobs, portions, windows
 
 #: Names of the statistics, in the order of the vectors.
 STATISTICS = (
-    "log_bytes", "upper", "digits", "stops", "symbols", "bangs", "bars", "line_ends", "word_length", "distinct_words",
-    "distinct_pairs", "distinct_lines", "non_ascii", "capitals", "entropy", "longest_word", "symbol_words", "one_letter_words",
+    "upper", "digits", "stops", "symbols", "bangs", "bars", "line_ends", "word_length", "distinct_words",
+    "distinct_pairs", "distinct_lines", "non_ascii", "capitals", "entropy", "symbol_words", "one_letter_words",
 )
 
 
@@ -49,8 +49,11 @@ class Discriminant:
         return 1 / (1 + np.exp(np.clip(log[0] - log[1], -500, 500)))
 
 
-def _odds(part, whole):
-    return np.log((part + 0.5) / (whole - part + 0.5)) if whole >= part else 0.0
+def _odds(part, whole, usual, weight):
+    """Log-odds of a share, drawn to a usual share by ``weight`` imagined cases: what a short
+    text cannot tell stays near the usual value."""
+    p = (part + usual * weight) / (max(whole, part) + weight)
+    return np.log(p / (1 - p))
 
 
 def statistics(text: bytes, hasher: WordHasher) -> list[float]:
@@ -69,25 +72,24 @@ def statistics(text: bytes, hasher: WordHasher) -> list[float]:
     share = count[count > 0] / max(n, 1)
     head, tail = raw[starts] if k else raw[:0], raw[ends - 1] if k else raw[:0]
     ends_odd = ((tail >= 33) & (tail <= 47) & (tail != 44) & (tail != 46)) | ((tail >= 91) & (tail <= 96)) | (tail >= 123) & (tail < 127)
+    most = float(-(share * np.log(share)).sum()) if n else 0.0
     return [
-        np.log1p(n),
-        _odds(upper, upper + lower),
-        _odds(digits, n),
-        _odds(stops, n),
-        _odds(punct - stops, n),
-        _odds(int(count[33]), n),
-        _odds(int(count[124]), n),
-        _odds(int(count[10]), max(k, int(count[10]))),
-        np.log1p(float(lengths.mean())) if k else 0.0,
-        np.log((len(np.unique(hashes)) + 1) / (k + 1)),
-        np.log((len(np.unique(pairs)) + 1) / (len(pairs) + 1)),
-        np.log(len(set(lines)) / len(lines)),
-        _odds(int(count[128:].sum()), n),
-        _odds(int(((head >= 65) & (head <= 90)).sum()), k),
-        float(-(share * np.log(share)).sum()) if n else 0.0,
-        np.log1p(float(lengths.max())) if k else 0.0,
-        _odds(int(ends_odd.sum()), k),
-        _odds(int((lengths == 1).sum()), k),
+        _odds(upper, upper + lower, 0.03, 60),
+        _odds(digits, n, 0.01, 60),
+        _odds(stops, n, 0.025, 60),
+        _odds(punct - stops, n, 0.005, 60),
+        _odds(int(count[33]), n, 0.003, 60),
+        _odds(int(count[124]), n, 0.003, 60),
+        _odds(int(count[10]), k, 0.03, 30),
+        np.log((float(lengths.sum()) + 30 * 5.5) / (k + 30)),
+        np.log((len(np.unique(hashes)) + 30) / (k + 30)),
+        np.log((len(np.unique(pairs)) + 30) / (len(pairs) + 30)),
+        np.log((len(set(lines)) + 10) / (len(lines) + 10)),
+        _odds(int(count[128:].sum()), n, 0.05, 60),
+        _odds(int(((head >= 65) & (head <= 90)).sum()), k, 0.12, 30),
+        (n * most + 100 * 3.0) / (n + 100),
+        _odds(int(ends_odd.sum()), k, 0.01, 30),
+        _odds(int((lengths == 1).sum()), k, 0.02, 30),
     ]
 
 
@@ -96,8 +98,8 @@ def document_statistics(docs: DataFrame, id_col: str = "doc_id", text_col: str =
 
     def run(batches):
         hasher = WordHasher()
-        for batch in batches:
-            texts = batch.column(1).cast(pa.binary()).to_pylist()
+        for batch in portions(batches, "text"):
+            texts = blobs(batch, "text")
             x = [statistics(t or b"", hasher) for t in texts]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(x, type=pa.list_(pa.float64()))], names=[id_col, "x"])
 
@@ -163,10 +165,8 @@ def keep_good(docs: DataFrame, labels: DataFrame, threshold: float = 0.3) -> Dat
 
     def run(batches):
         hasher = WordHasher()
-        for batch in batches:
-            texts = batch.column(batch.schema.get_field_index("text")).cast(pa.binary()).to_pylist()
-            if texts:
-                good = model.score(np.array([statistics(t or b"", hasher) for t in texts])) >= threshold
-                yield batch.filter(pa.array(good))
+        for batch in portions(batches, "text"):
+            good = model.score(np.array([statistics(t or b"", hasher) for t in blobs(batch, "text")])) >= threshold
+            yield batch.filter(pa.array(good))
 
     return docs.mapInArrow(run, docs.schema)

@@ -23,11 +23,12 @@ import hashlib
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .durable import slices
-from .wordhash import WordHasher, bucket_of, cuts, hashed_runs, pack, part_column, part_of, portions, text_windows, unpack
+from .wordhash import WordHasher, blobs, bucket_of, cuts, hashed_runs, pack, part_column, part_of, portions, text_windows, unpack
 
 WIDTH = 13
 
@@ -41,7 +42,7 @@ def remove_repeats(docs: DataFrame, width: int = WIDTH, id_col: str = "doc_id",
     extra = [F.col(c).cast("string").alias(f"carry_{i}") for i, c in enumerate(carry)]
     slim = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"), *extra)
     n = slices(slim)
-    entries = slim.where("id is not null").select("id", "text").mapInPandas(_entries(width, n), "bucket int, kind int, data binary")
+    entries = slim.where("id is not null").select("id", "text").mapInArrow(_entries(width, n), "bucket int, kind int, data binary")
     answers = entries.groupBy("bucket").applyInPandas(_judge(n), "part int, kind int, data binary")
     known = F.col("id").isNotNull()
     part = F.when(known, part_column("id", n)).otherwise(F.pmod(F.xxhash64("text"), F.lit(n)).cast("int"))
@@ -53,11 +54,11 @@ def remove_repeats(docs: DataFrame, width: int = WIDTH, id_col: str = "doc_id",
 def _entries(width, n):
     def run(batches):
         hasher = WordHasher()
-        for batch in (part for whole in batches for part in portions(whole)):
-            batch = batch.sort_values("id", kind="stable")
-            ids = batch["id"].to_numpy(np.int64)
-            found = []
-            for first, _, hashes, _, _, bounds in hashed_runs(batch["text"], hasher):
+        for batch in portions(batches, "text"):
+            ids, texts = batch.column(0).to_numpy(), blobs(batch, "text")
+            order = np.argsort(ids, kind="stable")
+            ids, texts, found = ids[order], [texts[i] for i in order], []
+            for first, _, hashes, _, _, bounds in hashed_runs(texts, hasher):
                 h, at, owner = text_windows(hashes, bounds, width)
                 found.append((h, at - bounds[owner], owner + first))
             h, at, owner = (np.concatenate(x) for x in zip(*found))
@@ -79,11 +80,17 @@ def _entries(width, n):
                 rows.append((int(bucket[a]), 0, pack(d[c[:-1]], np.diff(c), e_hash[a:b][by])))
             if late.any():
                 rows.extend(_intervals(owner[late], at[late], ids, width, n))
-            yield pd.DataFrame(rows, columns=["bucket", "kind", "data"])
+            yield packed(rows)
 
     return run
 
 
+def packed(rows):
+    """Rows of (bucket, kind, data) as an Arrow batch."""
+    kinds = (pa.int32(), pa.int32(), pa.binary())
+    return pa.RecordBatch.from_arrays([pa.array(c, type=k) for c, k in zip(zip(*rows) if rows else ((), (), ()), kinds)], names=["bucket", "kind", "data"])
+
+
 def _intervals(owner, at, ids, width, n):
     """Rows of kind 1: word ranges known to go, merged, packed by document part."""
     order = np.lexsort((at, owner))

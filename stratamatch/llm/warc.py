@@ -29,6 +29,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .durable import new_folder
+from .wordhash import portions
 
 LEAST, SEGMENT, PER_FILE = 100, 2 << 20, 6
 _LEVEL = 5
@@ -72,7 +73,7 @@ def write_warc(pages: DataFrame, path: str, least: int = LEAST) -> None:
 
 def _segments(batches):
     run, size = [], 0
-    for batch in batches:
+    for batch in portions(batches, "payload"):
         ids, urls, payloads, digests, refers = (c.to_pylist() for c in batch.columns)
         for row in zip(ids, urls, payloads, digests, refers):
             run.append(_member(record_bytes(*row)))

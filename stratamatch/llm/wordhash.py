@@ -99,11 +99,11 @@ def windows(words, width):
     return _mix(out)
 
 
-def encoded(texts, most=1 << 21):
-    """Cut a column of texts into runs of about ``most`` bytes: (first, blobs)."""
+def encoded(texts, most=1 << 20):
+    """Cut a list of texts (bytes, str or None) into runs of about ``most`` bytes: (first, blobs)."""
     run, size, first = [], 0, 0
     for i, text in enumerate(texts):
-        blob = text.encode("utf-8", "surrogatepass") if isinstance(text, str) else b""
+        blob = text if isinstance(text, bytes) else text.encode("utf-8", "surrogatepass") if isinstance(text, str) else b""
         if run and size + len(blob) > most:
             yield first, run
             run, size, first = [], 0, i
@@ -113,16 +113,40 @@ def encoded(texts, most=1 << 21):
         yield first, run
 
 
-def portions(batch, most=8 << 20):
-    """Cut a frame with a ``text`` column into runs of rows of about ``most`` characters."""
-    sizes = np.array([len(t) if isinstance(t, str) else 0 for t in batch["text"]], dtype=np.int64)
-    part = np.cumsum(sizes) // most
-    edge = cuts(part)
-    for a, b in zip(edge[:-1], edge[1:]):
-        yield batch.iloc[a:b]
+def portions(batches, column, most=4 << 20):
+    """Cut Arrow batches into slices of about ``most`` bytes of ``column``; memory that a
+    slice's work leaves unused goes back to the system, as workers live on."""
+    import pyarrow as pa
+    import pyarrow.compute as pc
 
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        sizes = pc.fill_null(pc.binary_length(batch.column(batch.schema.get_field_index(column))), 0).to_numpy(zero_copy_only=False)
+        edge = cuts(np.cumsum(sizes.astype(np.int64) + 64) // most)
+        for a, b in zip(edge[:-1], edge[1:]):
+            yield batch.slice(int(a), int(b - a))
+            pa.default_memory_pool().release_unused()
+            _trim()
 
-def hashed_runs(texts, hasher, most=1 << 21):
+
+def _trim():
+    import ctypes
+
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        pass
+
+
+def blobs(batch, column):
+    """A string column of an Arrow batch as a list of bytes and None."""
+    import pyarrow as pa
+
+    return batch.column(batch.schema.get_field_index(column)).cast(pa.binary()).to_pylist()
+
+
+def hashed_runs(texts, hasher, most=1 << 20):
     """For each run: (first, blobs, word hashes, starts, ends, word offset of each text)."""
     for first, blobs in encoded(texts, most):
         data = b"\n".join(blobs)
