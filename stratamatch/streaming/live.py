@@ -55,3 +55,24 @@ def running_counts(stream: DataFrame, spec: UnitSpec) -> DataFrame:
     """Arm counts per stratum for update or complete mode."""
     t = F.col(spec.treatment)
     return stream.where(t.isNotNull()).groupBy(*spec.covariates).agg(F.count_if(t == 1).alias("n1"), F.count_if(t == 0).alias("n0"))
+
+
+def running_differences(stream: DataFrame, spec: UnitSpec, outcome: str) -> DataFrame:
+    """Per stratum, after each micro-batch that touches it: arm counts so far and the difference
+    of arm means (null while an arm is empty). State is four numbers a stratum; update mode."""
+    import pandas as pd
+    from pyspark.sql.streaming.state import GroupStateTimeout
+
+    keys, treatment = list(spec.covariates), spec.treatment
+
+    def update(key, frames, state):
+        n1, n0, s1, s0 = state.get if state.exists else (0, 0, 0.0, 0.0)
+        for f in frames:
+            one, zero = f[f[treatment] == 1][outcome], f[f[treatment] == 0][outcome]
+            n1, n0, s1, s0 = n1 + len(one), n0 + len(zero), s1 + float(one.sum()), s0 + float(zero.sum())
+        state.update((n1, n0, s1, s0))
+        yield pd.DataFrame({**{k: [v] for k, v in zip(keys, key)}, "n1": [n1], "n0": [n0], "difference": [s1 / n1 - s0 / n0 if n1 and n0 else None]})
+
+    kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in stream.select(*keys).schema)
+    rows = stream.where(F.col(treatment).isNotNull()).select(*keys, treatment, F.col(outcome).cast("double").alias(outcome))
+    return rows.groupBy(*keys).applyInPandasWithState(update, f"{kinds}, n1 long, n0 long, difference double", "n1 long, n0 long, s1 double, s0 double", "update", GroupStateTimeout.NoTimeout)

@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from ..operators import balance, effects
 from ..operators.effects import stratified_effect
-from ..operators.strata import cem, exact_match, overlap_report as report, overlapping, summarize
+from ..operators.strata import cem, exact_match as match_exactly, overlap_report as report, overlapping, summarize
 from ..operators.subclass import subclassify
 from ..operators.propensity import trim
 from ..plans.spec import UnitSpec
@@ -228,8 +228,8 @@ def cem_groupby(spark, folder):
 
 
 @query(units(_MATCHED.replace(COARSE, EXACT)))
-def exact_match_units(spark, folder):
-    return exact_match(line_units(spark, folder), line_spec(covariates=EM)).select("uid", "t_bulk", "subclass")
+def exact_match(spark, folder):
+    return match_exactly(line_units(spark, folder), line_spec(covariates=EM)).select("uid", "t_bulk", "subclass")
 
 
 @query(units(f"SELECT {COARSE}, subclass, n, n1, n0, sum1_y_rev, sum0_y_rev FROM strata", strata()))

@@ -195,6 +195,21 @@ def test_ranked_quantiles_equal_ntile(spark, n):
     assert a == b
 
 
+def test_approximate_quantiles_are_near(spark):
+    df = frame(spark, [(i, i % 2, i % 400, 0) for i in range(2000)])
+    sizes = [r["count"] for r in subclassify(df, UnitSpec("uid", "t", ()), "x", 5, "approx").groupBy("quantile").count().collect()]
+    assert len(sizes) == 5 and max(sizes) - min(sizes) <= 20
+
+
+def test_precision_grows_with_the_sample(spark, small):
+    from stratamatch.sources.units import hash_sample, line_units
+
+    spec = UnitSpec("uid", "t_bulk", ("o_orderstatus",), ("y_rev",))
+    u = line_units(spark, small)
+    errors = [effects.standard_error(hash_sample(u, n), spec, "y_rev").first()["se_y_rev"] for n in (50, 200, 1000)]
+    assert errors[0] > errors[1] > errors[2] > 0
+
+
 def test_rank_with_one_hot_score(spark):
     df = frame(spark, [(i, 0, 5, 0) for i in range(50)])
     assert sorted((r["rank"], r.uid) for r in with_rank(df, ["x", "uid"]).collect()) == [(i + 1, i) for i in range(50)]

@@ -7,7 +7,7 @@ from stratamatch.operators.strata import overlapping, summarize
 from stratamatch.plans.spec import UnitSpec
 from stratamatch.sources.catalog import READINGS, read_as, write_bucketed, write_partitioned
 from stratamatch.sqlapi import grouped_metric, register
-from stratamatch.streaming.live import current_effect, join_streams, live_strata, running_counts, windowed_traffic
+from stratamatch.streaming.live import current_effect, join_streams, live_strata, running_counts, running_differences, windowed_traffic
 
 SPEC = UnitSpec("uid", "t", ("x",), ("y",))
 
@@ -38,6 +38,18 @@ def test_running_counts_in_complete_mode(spark, tmp_path):
     assert spark.table("counts").agg(F.sum("n1") + F.sum("n0")).first()[0] == 60
 
 
+def test_running_differences_end_at_the_batch_result(spark, tmp_path):
+    units, seen = _units(spark), {}
+    for part in (units.where("uid < 20"), units.where("uid >= 20")):
+        part.coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+        q = running_differences(spark.readStream.schema(units.schema).parquet(str(tmp_path / "in")), SPEC, "y").writeStream.outputMode("update")
+        q = q.foreachBatch(lambda df, _: seen.update({r.x: r for r in df.collect()})).option("checkpointLocation", str(tmp_path / "check")).trigger(availableNow=True).start()
+        q.awaitTermination()
+    for r in summarize(units, SPEC).collect():
+        assert (seen[r.x].n1, seen[r.x].n0) == (r.n1, r.n0)
+        assert abs(seen[r.x].difference - (r.sum1_y / r.n1 - r.sum0_y / r.n0)) < 1e-9
+
+
 def _events(spark, rows):
     return spark.createDataFrame(rows, "event_id long, at string, site int").select("event_id", F.col("at").cast("timestamp").alias("ts"), "site")
 
