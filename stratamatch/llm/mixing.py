@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 
 from .durable import stored
 
-BUDGET, MOST, WEIGHTS, SEED = 1.5, 2, (3, 1, 2), "mix-1"
+BUDGET, MOST, WEIGHTS, SEED, BROADCAST_SOURCES = 1.5, 2, (3, 1, 2), "mix-1", 50_000
 
 
 def word_count(text: Column) -> Column:
@@ -67,6 +67,8 @@ def copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sour
     targets = stored(source_targets(slim.select("source_key", "source", "size"), **shares), "targets")
     rate = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(0)
     targets = targets.withColumn("whole", rate.cast("int")).withColumn("rest", F.col("target") - F.col("whole") * F.col("source_size"))
+    # One row a source: a hot source's rows stay where they are, unless there are very many sources.
+    small = F.broadcast if targets.count() <= BROADCAST_SOURCES else (lambda df: df)
     placed = slim.select("source_key", "size", "u", "id")
     for level, shift in ((1, 36), (2, 24)):
         keys = ["source_key"] + [f"c{i}" for i in range(1, level)]
@@ -75,14 +77,14 @@ def copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sour
         cells = placed.groupBy(*keys, f"c{level}").agg(F.sum("size").alias("cell_size"))
         before = F.coalesce(F.sum("cell_size").over(Window.partitionBy(*keys).orderBy(f"c{level}").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
         base = targets.select("source_key", "rest") if level == 1 else cut
-        cells = cells.join(base, keys).withColumn("start", before + (F.lit(0) if level == 1 else F.col("base")))
+        cells = cells.join(small(base), keys).withColumn("start", before + (F.lit(0) if level == 1 else F.col("base")))
         # The cell in which the running sum of words passes the wanted words.
         cut = cells.where((F.col("start") <= F.col("rest")) & (F.col("start") + F.col("cell_size") > F.col("rest"))).select(*keys, f"c{level}", "rest", F.col("start").alias("base"))
         cut = stored(cut, "cut")
         if level == 1:
             top = cut.select("source_key", F.col("c1").alias("cut1"))
-        placed = placed.join(cut.select(*keys, f"c{level}"), [*keys, f"c{level}"], "left_semi")
-    inside = placed.join(cut, ["source_key", "c1", "c2"])
+        placed = placed.join(small(cut.select(*keys, f"c{level}")), [*keys, f"c{level}"], "left_semi")
+    inside = placed.join(small(cut), ["source_key", "c1", "c2"])
     order = Window.partitionBy("source_key", "c1", "c2").orderBy("u", "id", "size").rowsBetween(Window.unboundedPreceding, 0)
     middle = F.col("base") + F.sum("size").over(order) - F.col("size") / 2
     last = inside.withColumn("middle", middle).where(F.col("middle") <= F.col("rest")).groupBy("source_key").agg(F.max(F.struct("u", "id", "size")).alias("last"))
@@ -92,7 +94,7 @@ def copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sour
     # Below the cut cell all are drawn; in it, those up to the last one; without a cut cell, all or none.
     own = F.struct("u", "id", "size")
     drawn = F.when(F.col("cut1").isNull(), F.col("rest") > 0).when(at != edge, at < edge).otherwise(F.coalesce(own <= F.col("last"), F.lit(False)))
-    return rows.join(ends, "source_key").select(
+    return rows.join(small(ends), "source_key").select(
         F.col("id").alias(id_col), "size", "source_size", "target", (F.col("whole") + drawn.cast("int")).alias("copies"), *(["carried"] if carry else [])
     )
 
