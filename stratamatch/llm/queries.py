@@ -68,7 +68,7 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_warc": OP2, "op3_substring": OP3, "op7_mixing": OP7}
+    return {"op2_warc": OP2, "op3_substring": OP3, "op7_mixing": OP7, "op8_jaccard": OP8}
 
 
 OP2 = """
@@ -109,3 +109,13 @@ WITH d AS (SELECT doc_id, source, CAST(len(list_filter(regexp_split_to_array(coa
            FROM d JOIN g ON d.source IS NOT DISTINCT FROM g.source)
 SELECT doc_id, size, source_size, target, CAST(size * (whole + CASE WHEN middle <= target - whole * source_size AND target > whole * source_size THEN 1 ELSE 0 END) AS BIGINT) AS taken FROM q
 """
+
+OP8 = """
+WITH RECURSIVE w AS (SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\\x20\\x09-\\x0D]+'), lambda x: x <> '') AS words FROM documents),
+     s AS (SELECT DISTINCT doc_id, array_to_string(words[i : i + 3], ' ') AS sh FROM (SELECT doc_id, words, unnest(range(1, greatest(len(words) - 2, CASE WHEN len(words) > 0 THEN 2 ELSE 1 END))) AS i FROM w)),
+     n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY 1),
+     p AS (SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS c FROM s a JOIN s b ON a.sh = b.sh AND a.doc_id <> b.doc_id GROUP BY 1, 2),
+     l AS (SELECT x, y FROM p JOIN n a ON a.doc_id = x JOIN n b ON b.doc_id = y WHERE 100 * c >= 85 * (a.n + b.n - c)),
+     r AS (SELECT doc_id AS x, doc_id AS y FROM w UNION SELECT r.x, l.y FROM r JOIN l ON l.x = r.y)
+SELECT w.doc_id, coalesce(n.n, 0) AS n_shingles, m.component_id FROM w LEFT JOIN n USING (doc_id) JOIN (SELECT x AS doc_id, min(y) AS component_id FROM r GROUP BY 1) m USING (doc_id)
+"""

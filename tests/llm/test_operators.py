@@ -483,3 +483,7 @@ def test_discriminant_equals_the_formula(spark):
 
 def test_substring_sql(spark, small):
     assert_same(queries.op3_substring(spark, small), queries.oracle_sql()["op3_substring"], small)
+
+
+def test_jaccard_sql(spark, small):
+    assert_same(queries.op8_jaccard(spark, small), queries.oracle_sql()["op8_jaccard"], small)
