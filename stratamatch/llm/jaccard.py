@@ -37,7 +37,7 @@ from pyspark.sql import functions as F
 from .components import connected_components
 from .durable import slices, stored
 from .substring import packed
-from .wordhash import WordHasher, _mix, blobs, bucket_of, cuts, hashed_runs, pack, portions, spread, text_windows, unpack, windows
+from .wordhash import WordHasher, _mix, blobs, bucket_of, cuts, give_back, hashed_runs, pack, portions, spread, text_windows, unpack, windows
 
 BLOCK = 4000
 #: Sets of one batch that make a shingle common: its list is then taken as the longest kind everywhere.
@@ -166,6 +166,7 @@ def _answers(node, h, df, n):
 
 def _frequencies(n):
     def run(key, rows):
+        give_back()
         out = [(int(key[0]), kind, x) for kind, x in zip(rows["kind"], rows["data"]) if kind >= 2]
         hashes, nodes = [], []
         for blob in rows.loc[rows["kind"] == 0, "data"]:
@@ -193,6 +194,7 @@ def _frequencies(n):
 
 def _short_lists(percent):
     def run(key, rows):
+        give_back()
         sizes, nodes, hashes, freqs = {}, [], [], []
         for kind, blob in zip(rows["kind"], rows["data"]):
             if kind == 2:
@@ -233,7 +235,7 @@ def _linked(entities, groups, percent, block):
     """(node, root) of linked sets: tasks of at most two blocks, then the components of their links."""
     groups = stored(groups, "groups")
     total = groups.count()
-    bundles = max(1, ceil(total / block))
+    bundles = max(1, ceil(4 * total / block))  # several whole groups a task
     sizes = groups.groupBy("root").agg(F.ceil(F.count("*") / block).cast("int").alias("k"))
     here = groups.join(sizes, "root").join(entities, "node")
     own = F.pmod(F.xxhash64("node"), F.col("k")).cast("int")
@@ -250,6 +252,7 @@ def _linked(entities, groups, percent, block):
 
 def _divide_skip(percent):
     def run(rows):
+        give_back()
         found = link_all(rows["node"].to_numpy(np.int64), rows["n"].to_numpy(np.int64), [np.frombuffer(x, dtype=np.uint64) for x in rows["shared"]], percent)
         split = dict(zip(rows["node"].tolist(), rows["k"].tolist()))
         return pd.DataFrame([(a, b, split[a]) for a, b in found], columns=["a", "b", "k"]).astype({"a": "int64", "b": "int64", "k": "int32"})

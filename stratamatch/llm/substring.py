@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .durable import slices
-from .wordhash import WordHasher, blobs, bucket_of, cuts, hashed_runs, pack, part_column, part_of, portions, text_windows, unpack
+from .wordhash import WordHasher, blobs, bucket_of, cuts, give_back, hashed_runs, pack, part_column, part_of, portions, text_windows, unpack
 
 WIDTH = 13
 
@@ -110,6 +110,7 @@ def _intervals(owner, at, ids, width, n):
 
 def _judge(n):
     def run(key, rows):
+        give_back()
         out = [(int(key[0]), 1, x) for x in rows.loc[rows["kind"] == 1, "data"]]  # made for this part
         hashes, docs = [], []
         for blob in rows.loc[rows["kind"] == 0, "data"]:
@@ -139,6 +140,7 @@ def _cut(width, names, carry):
     with_text = "kept_text" in names[5:]
 
     def run(texts, answers):
+        give_back()
         hashes, docs, ranges = [], [], {}
         for kind, blob in zip(answers["kind"], answers["data"]):
             if kind == 1:

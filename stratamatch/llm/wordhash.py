@@ -116,7 +116,6 @@ def encoded(texts, most=1 << 20):
 def portions(batches, column, most=4 << 20):
     """Cut Arrow batches into slices of about ``most`` bytes of ``column``; memory that a
     slice's work leaves unused goes back to the system, as workers live on."""
-    import pyarrow as pa
     import pyarrow.compute as pc
 
     for batch in batches:
@@ -126,13 +125,16 @@ def portions(batches, column, most=4 << 20):
         edge = cuts(np.cumsum(sizes.astype(np.int64) + 64) // most)
         for a, b in zip(edge[:-1], edge[1:]):
             yield batch.slice(int(a), int(b - a))
-            pa.default_memory_pool().release_unused()
-            _trim()
+            give_back()
 
 
-def _trim():
+def give_back():
+    """Return the worker's unused memory to the system."""
     import ctypes
 
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
     try:
         ctypes.CDLL(None).malloc_trim(0)
     except (AttributeError, OSError):  # another C library
