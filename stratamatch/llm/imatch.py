@@ -4,14 +4,14 @@ The lexicon is the terms whose inverse document frequency lies in a band: a term
 more than ``1 / commonest`` of the documents is left out (at most ``commonest`` times
 the distinct terms of a mean document are so common, which bounds what is broadcast;
 the size is checked), and there is no upper end. The lexicon falls into random subsets
-of densities 1/8, 1/16, ...: four of each. A document's distinct terms in a subset
+of densities 1/16, 1/32, ...: eight of each. A document's distinct terms in a subset
 are hashed together; the exclusive or of term hashes stands for hashing them in sorted
 order, as it too depends on the set alone, and lets partial aggregation collapse a
 document before its shuffle. A fingerprint is the list of subset hashes (blank: no
 term there). Short documents speak through dense subsets, long ones through sparse ones.
 
 Likeness is the share of subsets whose hashes agree, over those densities at which the
-smaller of the two documents fills at most three of four subsets (or its sparsest ones).
+smaller of the two documents fills at most three quarters of the subsets.
 
 Defined results: null text is empty; a document without a term in the band is
 fingerprinted by all its terms; two documents without any terms are alike (1).
@@ -19,12 +19,15 @@ fingerprinted by all its terms; two documents without any terms are alike (1).
 
 from __future__ import annotations
 
+from functools import reduce
+from operator import add
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .durable import stored
 
-COMMONEST, LEVELS, EACH, BROADCAST_ROWS = 50, 13, 4, 2_000_000
+COMMONEST, LEVELS, EACH, BROADCAST_ROWS = 50, 13, 8, 2_000_000
 _WIDTH = 6
 
 
@@ -42,7 +45,7 @@ def common_terms(texts: DataFrame, commonest: int = COMMONEST) -> DataFrame:
 
 
 def cell_of(term: Column) -> Column:
-    """Subset of a term hash: level (trailing zeros of a second hash) and one of four in it."""
+    """Subset of a term hash: level (trailing zeros of a second hash) and one of eight in it."""
     h = F.xxhash64(term, F.lit(17))
     g = F.shiftrightunsigned(h, 1)
     level = F.least(F.bit_count(g.bitwiseXOR(g - 1)) - 1, F.lit(LEVELS - 1))
@@ -93,9 +96,9 @@ def likeness(a: Column, b: Column) -> Column:
     # Per level: how many subsets each fills, and how many agree, in one number: a + 16 b + 256 same.
     number = F.transform(pairs, lambda p: F.when(p == 3, F.lit(1 + 16 + 256)).otherwise(p))
     starts = F.sequence(F.lit(0), F.lit(LEVELS - 1))
-    levels = _let(number, lambda z: F.transform(starts, lambda k: F.get(z, k * EACH) + F.get(z, k * EACH + 1) + F.get(z, k * EACH + 2) + F.get(z, k * EACH + 3)))
+    levels = _let(number, lambda z: F.transform(starts, lambda k: reduce(add, (F.get(z, k * EACH + i) for i in range(EACH)))))
     least = lambda z: F.least(z.bitwiseAND(15), F.shiftright(z, 4).bitwiseAND(15))
-    total = F.aggregate(levels, F.lit(0), lambda acc, z: acc + F.when(least(z) < EACH, least(z) + 4096 * F.shiftright(z, 8)).otherwise(0))
+    total = F.aggregate(levels, F.lit(0), lambda acc, z: acc + F.when(least(z) <= EACH * 3 // 4, least(z) + 4096 * F.shiftright(z, 8)).otherwise(0))
     share = _let(total, lambda t: F.when(t.bitwiseAND(4095) > 0, F.shiftright(t, 12) / t.bitwiseAND(4095)).otherwise(0.0))
     return F.when(a == b, F.lit(1.0)).when((F.size(a) > 1) & (F.size(b) > 1), share).otherwise(F.lit(0.0))
 
