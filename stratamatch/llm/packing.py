@@ -26,10 +26,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .durable import slices
-from .wordhash import portions
+from .wordhash import give_back, portions
 
 LENGTH, END, LINEAR, QUADRATIC, LOOKED_AT = 2048, 1, 1.0, 1.0 / 2048, 32
+#: Documents of a group on average; only their tails, below ``length`` ids each, are held together.
+GROUP = 3000
 #: The file's own way of cutting texts into pieces before merging (fixed value).
 _PIECES = r"""'(?:[sdmt]|ll|ve|re)| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 
@@ -69,7 +70,7 @@ def _encoder(path):
 def pack(docs: DataFrame, tokenizer: str, length: int = LENGTH, end: int = END, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """id, start, length, ids_crc32, doc_tokens, sequence_id, offset for every piece."""
     slim = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
-    groups = slices(slim)
+    groups = max(1, -(-docs.count() // GROUP))
 
     def cut(batches):
         encode = token_encoder(tokenizer)
@@ -92,6 +93,7 @@ def pack(docs: DataFrame, tokenizer: str, length: int = LENGTH, end: int = END,
     names = [x.split()[0] for x in schema.split(", ")]
 
     def place(table: pa.Table) -> pa.Table:
+        give_back()
         return pa.table(list(map(list, zip(*placed_pieces(table, length)))) or [[]] * 7, schema=pa.schema([(n, pa.int64()) for n in names]))
 
     pieces = slim.mapInArrow(cut, "grp int, id long, start long, length long, crc long, n long, tail binary")
