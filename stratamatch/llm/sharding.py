@@ -7,12 +7,13 @@ added or a slot grows. Three laws fill the map:
 * ``key``: slots of the id; map version n has n shards, and version n + 1 only
   moves slots to the new shard.
 * ``bytes``: slots of the text; slots in descending bytes go to the least filled
-  shard. A slot above its fair part is first split by id into as many sub-slots.
+  shard. A slot of more than an eighth of a shard goes by its sub-slots (by id) instead.
 * ``rows``: slots of the text in a fixed order; contiguous ranges of rows, cut so
   that counts differ by one at most.
 
-Hashing by text keeps copies together as far as a law allows; a text that a third
-of all rows share spreads over sub-slots. Only tables of slots (a few thousand
+Hashing by text keeps copies together as far as a law allows; a slot with more than
+its fair part, such as that of a text that a third of all rows share, has sub-slots,
+in which places are counted. Only tables of slots (a few thousand
 rows, whatever the input) are ordered on the driver. DataFrame functions only.
 
 Defined results: null text is 0 bytes, so size 1 and crc32 0; a null id is a key
@@ -22,6 +23,7 @@ as any other; repeated rows get places of their own; an empty table gives none.
 from __future__ import annotations
 
 import heapq
+from collections import Counter
 from itertools import count
 
 from pyspark.sql import DataFrame, Window
@@ -129,7 +131,18 @@ def _placed(cells, shards, slots):
     out, now, grown = [], slot_map(shards, slots), slot_map(shards + 1, slots)
     for law in dict.fromkeys(c[0] for c in cells):
         own = [c for c in cells if c[0] == law]
-        where = balanced_map([((c[1], c[2]), c[4]) for c in own], shards) if law == "bytes" else {(c[1], c[2]): now[c[1]] for c in own}
+        if law == "bytes":
+            slot_bytes, units = Counter(), Counter()
+            for c in own:
+                slot_bytes[c[1]] += c[4]
+            # A slot moves as one, so copies stay together, unless it is an eighth of a shard.
+            unit = {c[1:3]: (c[1], c[2] if 8 * shards * slot_bytes[c[1]] > slot_bytes.total() else -1) for c in own}
+            for c in own:
+                units[unit[c[1:3]]] += c[4]
+            chosen = balanced_map(list(units.items()), shards)
+            where = {cell: chosen[u] for cell, u in unit.items()}
+        else:
+            where = {c[1:3]: now[c[1]] for c in own}
         filled, base, total = [0] * shards, 0, sum(c[3] for c in own)
         for _, cell, sub, n, _ in own:
             s = where[cell, sub]
