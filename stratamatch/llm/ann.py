@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 from .durable import stored
 
-CURVES, DIMENSIONS, BITS, WINDOW, SAMPLE, BLOCK, LEAST_BLOCKS, SEED = 4, 8, 4, 0.4, 20_000, 8192, 40, 11
+CURVES, DIMENSIONS, BITS, WINDOW, SAMPLE, BLOCK, LEAST_BLOCKS, SEED = 4, 8, 4, 0.4, 5_000, 8192, 40, 11
 
 
 def hilbert_keys(cells: np.ndarray, bits: int) -> np.ndarray:
