@@ -55,7 +55,7 @@ def pushdown_reordered(spark, folder):
 ORDERS = """WITH o AS (SELECT o_orderkey, CASE WHEN o_orderpriority = '1-URGENT' THEN 1 ELSE 0 END AS t, o_orderstatus, CAST(date_trunc('week', o_orderdate) AS DATE) AS cx_week, CAST(floor(o_totalprice / 50000) AS INTEGER) AS cx_total FROM orders)"""
 
 
-@query(f"{ORDERS} SELECT count(*) AS orders_kept, CAST(sum(t) AS BIGINT) AS treated_kept FROM (SELECT * FROM o QUALIFY min(t) OVER w <> max(t) OVER w WINDOW w AS (PARTITION BY o_orderstatus, cx_week, cx_total))".replace("QUALIFY min(t) OVER w <> max(t) OVER w WINDOW w AS (PARTITION BY o_orderstatus, cx_week, cx_total)", "WINDOW w AS (PARTITION BY o_orderstatus, cx_week, cx_total) QUALIFY min(t) OVER w <> max(t) OVER w"))
+@query(f"{ORDERS} SELECT count(*) AS orders_kept, CAST(sum(t) AS BIGINT) AS treated_kept FROM (SELECT * FROM o WINDOW w AS (PARTITION BY o_orderstatus, cx_week, cx_total) QUALIFY min(t) OVER w <> max(t) OVER w)")
 def pushdown_semi(spark, folder):
     """Orders that survive matching before any join (a semi-join with the kept strata)."""
     from ..functions.coarsening import week
@@ -81,8 +81,8 @@ _EDGES = EDGES.format(caliper=1000)
 _WITH = f"pairs AS ({PAIRS['with_replacement'].format(k=1)})"
 
 
-def _sizes(spark, folder, treated):
-    """(method, n1, n0) of four methods over their own units, and all treated units."""
+def _sizes(spark, folder):
+    """(method, n1, n0) of four methods, and the units they choose from."""
     base = line_units(spark, folder)
     rows = scored_units(base, 50)
     pairs = nearest_with_replacement(candidate_pairs(rows, UnitSpec("uid", "t_bulk", ()), "ps", 1000), 1)
@@ -103,12 +103,12 @@ UNION ALL SELECT 'exact', CAST(coalesce(sum(n1), 0) AS BIGINT), CAST(coalesce(su
 
 @query(units("SELECT method, n1, n0 FROM sizes", *_SIZES))
 def match_sizes(spark, folder):
-    return _sizes(spark, folder, None)[0]
+    return _sizes(spark, folder)[0]
 
 
 @query(units("SELECT method, round(CAST(n1 AS DOUBLE) / (SELECT count(*) FROM scored WHERE t_bulk = 1), 9) AS treated_share, round(CAST(n0 AS DOUBLE) / nullif(n1, 0), 9) AS controls_per_treated FROM sizes", *_SIZES))
 def match_rates(spark, folder):
-    out, rows = _sizes(spark, folder, None)
+    out, rows = _sizes(spark, folder)
     whole = rows.agg(F.count_if(F.col("t_bulk") == 1).alias("treated"))
     out = out.crossJoin(F.broadcast(whole)).select("method", *rates("n1", "n0", "treated"))  # one row
     return out.select("method", *(F.round(c, 9).alias(c) for c in ("treated_share", "controls_per_treated")))

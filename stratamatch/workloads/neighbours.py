@@ -221,7 +221,7 @@ def embedding_nn(spark, folder):
     return best.select("t_uid", "m.c_uid", F.round("m.distance", 6).alias("distance"))
 
 
-@query(units("SELECT t_uid, c_uid, sqrt(distance) AS d FROM edges", SCORED, _NARROW).replace("sqrt(distance) AS d", "round(sqrt(distance), 6) AS d"))
+@query(units("SELECT t_uid, c_uid, round(sqrt(distance), 6) AS d FROM edges", SCORED, _NARROW))
 def udf_distance(spark, folder):
     """A user's distance as a vectorised function over candidate pairs."""
     d = distance_udf(lambda a, b: (a - b) ** 0.5)

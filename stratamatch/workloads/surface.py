@@ -177,7 +177,7 @@ def sliding_traffic(spark, folder):
     return _epochs(windowed_traffic(events, ["site"], slide="15 minutes"), "site")
 
 
-@query("""SELECT CAST(epoch(min(ts)) AS BIGINT) AS start, user_id, count(*) AS n FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY user_id, s""".replace("CAST(epoch(min(ts)) AS BIGINT)", "CAST(floor(epoch(min(ts))) AS BIGINT)"))
+@query("""SELECT CAST(floor(epoch(min(ts))) AS BIGINT) AS start, user_id, count(*) AS n FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY user_id, s""")
 def session_units(spark, folder):
     _, _, events = trips_and_readings(spark, folder)
     return _epochs(sessions(events, ["user_id"]), "user_id").select("start", "user_id", "n")
