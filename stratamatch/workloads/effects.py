@@ -11,7 +11,7 @@ from ..operators.subclass import subclassify
 from ..operators.propensity import trim
 from ..plans.spec import UnitSpec
 from ..sources.units import document_units, line_spec, line_units, planted_units, scored_units
-from . import query
+from . import query, sampled
 from .oracle import COARSE, EXACT, PLANTED, SCORED, awmd, difference, effect, strata, totals, units
 
 EM = ("p_partkey", "c_mktsegment", "tax", "o_orderstatus")
@@ -93,44 +93,44 @@ QUANTILES = """trimmed AS (SELECT *, CAST(ntile({n}) OVER (ORDER BY {score}, uid
 kept AS (SELECT quantile, max(uid) AS subclass FROM trimmed GROUP BY 1 HAVING min(t_bulk) <> max(t_bulk))"""
 
 
-def _subclasses(spark, folder, plan="ranked", n=5, score="ps"):
-    rows = trim(scored_units(line_units(spark, folder), 50), "ps", 100_000, 900_000)
+def _subclasses(spark, folder, keep=50, plan="ranked", n=5, score="ps"):
+    rows = trim(scored_units(line_units(spark, folder), keep), "ps", 100_000, 900_000)
     return subclassify(rows, UnitSpec("uid", "t_bulk", ()), score, n, plan)
 
 
 _IN_CLASS = "SELECT uid, quantile, subclass FROM trimmed JOIN kept USING (quantile)"
 
 
-@query(units(_IN_CLASS, SCORED, QUANTILES.format(n=5, score="ps")))
-def subclass_ntile5(spark, folder):
-    return _subclasses(spark, folder, "ntile").select("uid", "quantile", "subclass")
+@sampled(units(_IN_CLASS, SCORED, QUANTILES.format(n=5, score="ps")))
+def subclass_ntile5(spark, folder, keep=50):
+    return _subclasses(spark, folder, keep, "ntile").select("uid", "quantile", "subclass")
 
 
-@query(units(_IN_CLASS, SCORED, QUANTILES.format(n=5, score="ps")))
-def subclass_ranked(spark, folder):
-    return _subclasses(spark, folder).select("uid", "quantile", "subclass")
+@sampled(units(_IN_CLASS, SCORED, QUANTILES.format(n=5, score="ps")))
+def subclass_ranked(spark, folder, keep=50):
+    return _subclasses(spark, folder, keep).select("uid", "quantile", "subclass")
 
 
-@query(units(_IN_CLASS, SCORED, QUANTILES.format(n=10, score="acct")))
-def subclass_univariate(spark, folder):
-    return _subclasses(spark, folder, n=10, score="acct").select("uid", "quantile", "subclass")
+@sampled(units(_IN_CLASS, SCORED, QUANTILES.format(n=10, score="acct")))
+def subclass_univariate(spark, folder, keep=50):
+    return _subclasses(spark, folder, keep, n=10, score="acct").select("uid", "quantile", "subclass")
 
 
 CLASS_STRATA = strata(keys="subclass", source="(SELECT * FROM trimmed JOIN kept USING (quantile))", values=("y_rev", "total", "acct")).replace(", max(uid) AS subclass", "")
 
 
-def _class_strata(spark, folder):
-    return summarize(_subclasses(spark, folder).withColumnRenamed("subclass", "class"), UnitSpec("uid", "t_bulk", ("class",), ("y_rev",), ("total", "acct")))
+def _class_strata(spark, folder, keep=50):
+    return summarize(_subclasses(spark, folder, keep).withColumnRenamed("subclass", "class"), UnitSpec("uid", "t_bulk", ("class",), ("y_rev",), ("total", "acct")))
 
 
-@query(units(f"SELECT {totals()}, {effect('y_rev', 10000.0)} FROM strata", SCORED, QUANTILES.format(n=5, score="ps"), CLASS_STRATA))
-def ate_subclass(spark, folder):
-    return scaled(stratified_effect(_class_strata(spark, folder), ("y_rev",)), **REV)
+@sampled(units(f"SELECT {totals()}, {effect('y_rev', 10000.0)} FROM strata", SCORED, QUANTILES.format(n=5, score="ps"), CLASS_STRATA))
+def ate_subclass(spark, folder, keep=50):
+    return scaled(stratified_effect(_class_strata(spark, folder, keep), ("y_rev",)), **REV)
 
 
-@query(units(f"SELECT {awmd('total', 100.0)}, {awmd('acct', 100.0)} FROM strata", SCORED, QUANTILES.format(n=5, score="ps"), CLASS_STRATA))
-def awmd_subclass(spark, folder):
-    return scaled(balance.awmd(_class_strata(spark, folder), ("total", "acct")), total=100.0, acct=100.0)
+@sampled(units(f"SELECT {awmd('total', 100.0)}, {awmd('acct', 100.0)} FROM strata", SCORED, QUANTILES.format(n=5, score="ps"), CLASS_STRATA))
+def awmd_subclass(spark, folder, keep=50):
+    return scaled(balance.awmd(_class_strata(spark, folder, keep), ("total", "acct")), total=100.0, acct=100.0)
 
 
 @query(units(f"SELECT {awmd('total', 100.0)}, {awmd('acct', 100.0)} FROM strata", "one AS (SELECT *, 1 AS k FROM units)", strata(keys="k", source="one", values=("total", "acct"))))

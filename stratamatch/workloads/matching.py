@@ -11,7 +11,7 @@ from ..operators.strata import cem, overlapping, summarize
 from ..plans.spec import Hop, UnitSpec
 from ..sources.catalog import table
 from ..sources.units import keyed_lines, line_spec, line_units, scored_units
-from . import query
+from . import query, sampled
 from .effects import EM, QUANTILES, _subclasses
 from .oracle import COARSE, EDGES, EXACT, LINES, PAIRS, SCORED, strata, units
 
@@ -81,13 +81,13 @@ _EDGES = EDGES.format(caliper=1000)
 _WITH = f"pairs AS ({PAIRS['with_replacement'].format(k=1)})"
 
 
-def _sizes(spark, folder):
+def _sizes(spark, folder, keep=50):
     """(method, n1, n0) of four methods, and the units they choose from."""
     base = line_units(spark, folder)
-    rows = scored_units(base, 50)
+    rows = scored_units(base, keep)
     pairs = nearest_with_replacement(candidate_pairs(rows, UnitSpec("uid", "t_bulk", ()), "ps", 1000), 1)
     out = pairs.agg(F.lit("nn_with_replacement").alias("method"), F.count_distinct("t_uid").alias("n1"), F.count_distinct("c_uid").alias("n0"))
-    sub = _subclasses(spark, folder).agg(F.lit("subclass").alias("method"), F.count_if(F.col("t_bulk") == 1).alias("n1"), F.count_if(F.col("t_bulk") == 0).alias("n0"))
+    sub = _subclasses(spark, folder, keep).agg(F.lit("subclass").alias("method"), F.count_if(F.col("t_bulk") == 1).alias("n1"), F.count_if(F.col("t_bulk") == 0).alias("n0"))
     out = out.unionByName(sub)
     for name, keys in (("exact", EM), ("coarsened", line_spec().covariates)):
         s = overlapping(summarize(rows, UnitSpec("uid", "t_bulk", keys)))
@@ -101,34 +101,34 @@ UNION ALL SELECT 'subclass', count(*) FILTER (t_bulk = 1), count(*) FILTER (t_bu
 UNION ALL SELECT 'exact', CAST(coalesce(sum(n1), 0) AS BIGINT), CAST(coalesce(sum(n0), 0) AS BIGINT) FROM em UNION ALL SELECT 'coarsened', CAST(coalesce(sum(n1), 0) AS BIGINT), CAST(coalesce(sum(n0), 0) AS BIGINT) FROM co)""")
 
 
-@query(units("SELECT method, n1, n0 FROM sizes", *_SIZES))
-def match_sizes(spark, folder):
-    return _sizes(spark, folder)[0]
+@sampled(units("SELECT method, n1, n0 FROM sizes", *_SIZES))
+def match_sizes(spark, folder, keep=50):
+    return _sizes(spark, folder, keep)[0]
 
 
-@query(units("SELECT method, round(CAST(n1 AS DOUBLE) / (SELECT count(*) FROM scored WHERE t_bulk = 1), 9) AS treated_share, round(CAST(n0 AS DOUBLE) / nullif(n1, 0), 9) AS controls_per_treated FROM sizes", *_SIZES))
-def match_rates(spark, folder):
-    out, rows = _sizes(spark, folder)
+@sampled(units("SELECT method, round(CAST(n1 AS DOUBLE) / (SELECT count(*) FROM scored WHERE t_bulk = 1), 9) AS treated_share, round(CAST(n0 AS DOUBLE) / nullif(n1, 0), 9) AS controls_per_treated FROM sizes", *_SIZES))
+def match_rates(spark, folder, keep=50):
+    out, rows = _sizes(spark, folder, keep)
     whole = rows.agg(F.count_if(F.col("t_bulk") == 1).alias("treated"))
     out = out.crossJoin(F.broadcast(whole)).select("method", *rates("n1", "n0", "treated"))  # one row
     return out.select("method", *(F.round(c, 9).alias(c) for c in ("treated_share", "controls_per_treated")))
 
 
 
-@query(units("""SELECT 'raw' AS method, round(abs(avg(total) FILTER (t_bulk = 1) - avg(total) FILTER (t_bulk = 0)) / 100, 4) AS awmd_total FROM scored
+@sampled(units("""SELECT 'raw' AS method, round(abs(avg(total) FILTER (t_bulk = 1) - avg(total) FILTER (t_bulk = 0)) / 100, 4) AS awmd_total FROM scored
 UNION ALL SELECT 'nn_with_replacement', round(abs(avg(t.total) - avg(c.total)) / 100, 4) FROM pairs JOIN scored t ON t.uid = t_uid JOIN scored c ON c.uid = c_uid
 UNION ALL SELECT 'subclass', round(sum(n * abs(CAST(sum1_total AS DOUBLE) / n1 - CAST(sum0_total AS DOUBLE) / n0)) / CAST(sum(n) AS DOUBLE) / 100, 4) FROM sc
 UNION ALL SELECT 'coarsened', round(sum(n * abs(CAST(sum1_total AS DOUBLE) / n1 - CAST(sum0_total AS DOUBLE) / n0)) / CAST(sum(n) AS DOUBLE) / 100, 4) FROM co""",
     SCORED, _EDGES, _WITH, QUANTILES.format(n=5, score="ps"), strata(keys="subclass", source="(SELECT * FROM trimmed JOIN kept USING (quantile))", values=("total",), name="sc").replace(", max(uid) AS subclass", ""),
     strata(keys="cx_total", source="scored", values=("total",), name="co")))
-def method_comparison(spark, folder):
+def method_comparison(spark, folder, keep=50):
     """Imbalance of the order's price under raw, nearest neighbour, subclasses and coarsening by it."""
     from ..operators.balance import awmd, awmd_pairs
 
-    rows = scored_units(line_units(spark, folder), 50)
+    rows = scored_units(line_units(spark, folder), keep)
     pairs = nearest_with_replacement(candidate_pairs(rows, UnitSpec("uid", "t_bulk", ()), "ps", 1000), 1)
     raw = awmd(summarize(rows, UnitSpec("uid", "t_bulk", (), (), ("total",))), ("total",))
-    sub = awmd(summarize(_subclasses(spark, folder).withColumnRenamed("subclass", "class"), UnitSpec("uid", "t_bulk", ("class",), (), ("total",))), ("total",))
+    sub = awmd(summarize(_subclasses(spark, folder, keep).withColumnRenamed("subclass", "class"), UnitSpec("uid", "t_bulk", ("class",), (), ("total",))), ("total",))
     coarse = awmd(overlapping(summarize(rows, UnitSpec("uid", "t_bulk", ("cx_total",), (), ("total",)))), ("total",))
     out = None
     for name, one in (("raw", raw), ("nn_with_replacement", awmd_pairs(pairs, rows, "uid", ("total",))), ("subclass", sub), ("coarsened", coarse)):

@@ -20,7 +20,7 @@ from ..plans.spec import UnitSpec
 from ..sources.catalog import table
 from ..sources.units import line_units, scored_units
 from ..sqlapi import distance_udf
-from . import query
+from . import query, sampled
 from .oracle import EDGES, PAIRS, SCORED, units
 
 SPEC = UnitSpec("uid", "t_bulk", ())
@@ -33,70 +33,70 @@ def _pairs(mode, k=1):
     return f"pairs AS ({PAIRS[mode].format(k=k)})"
 
 
-def rows(spark, folder):
-    return scored_units(line_units(spark, folder), 50)
+def rows(spark, folder, keep=50):
+    return scored_units(line_units(spark, folder), keep)
 
 
-def edges(spark, folder, caliper=1000, within=()):
-    return candidate_pairs(rows(spark, folder), SPEC, "ps", caliper, within)
+def edges(spark, folder, keep=50, caliper=1000, within=()):
+    return candidate_pairs(rows(spark, folder, keep), SPEC, "ps", caliper, within)
 
 
-@query(units("SELECT t_uid, c_uid, distance FROM edges", SCORED, _E))
-def nn_candidates(spark, folder):
-    return edges(spark, folder)
+@sampled(units("SELECT t_uid, c_uid, distance FROM edges", SCORED, _E))
+def nn_candidates(spark, folder, keep=50):
+    return edges(spark, folder, keep)
 
 
-@query(units("SELECT t_uid, c_uid, distance FROM edges", SCORED, _NARROW))
-def nn_theta_baseline(spark, folder):
+@sampled(units("SELECT t_uid, c_uid, distance FROM edges", SCORED, _NARROW))
+def nn_theta_baseline(spark, folder, keep=50):
     """The nested-loop join of units that bands replace."""
-    return theta_pairs(rows(spark, folder), SPEC, "ps", 200)
+    return theta_pairs(rows(spark, folder, keep), SPEC, "ps", 200)
 
 
-@query(units(PAIRS["with_replacement"].format(k=1), SCORED, _E))
-def nnmwr_k1(spark, folder):
-    return nearest_with_replacement(edges(spark, folder), 1)
+@sampled(units(PAIRS["with_replacement"].format(k=1), SCORED, _E))
+def nnmwr_k1(spark, folder, keep=50):
+    return nearest_with_replacement(edges(spark, folder, keep), 1)
 
 
-@query(units(PAIRS["with_replacement"].format(k=3), SCORED, _E))
-def nnmwr_k3(spark, folder):
-    return nearest_with_replacement(edges(spark, folder), 3)
+@sampled(units(PAIRS["with_replacement"].format(k=3), SCORED, _E))
+def nnmwr_k3(spark, folder, keep=50):
+    return nearest_with_replacement(edges(spark, folder, keep), 3)
 
 
-@query(units(PAIRS["with_replacement"].format(k=3), SCORED, _E))
-def nnmwr_antijoin(spark, folder):
-    return nearest_with_replacement(edges(spark, folder), 3, plan="antijoin")
+@sampled(units(PAIRS["with_replacement"].format(k=3), SCORED, _E))
+def nnmwr_antijoin(spark, folder, keep=50):
+    return nearest_with_replacement(edges(spark, folder, keep), 3, plan="antijoin")
 
 
-@query(units(PAIRS["with_replacement"].format(k=3), SCORED, _E))
-def nnmwr_sorted(spark, folder):
-    return nearest_sorted(rows(spark, folder), SPEC, "ps", 3, caliper=1000)
+@sampled(units(PAIRS["with_replacement"].format(k=3), SCORED, _E))
+def nnmwr_sorted(spark, folder, keep=50):
+    return nearest_sorted(rows(spark, folder, keep), SPEC, "ps", 3, caliper=1000)
 
 
-@query(units(PAIRS["with_replacement"].format(k=1), SCORED, "edges AS (SELECT t.uid AS t_uid, c.uid AS c_uid, CAST(abs(t.ps - c.ps) AS DOUBLE) AS distance FROM scored t JOIN scored c ON t.t_bulk = 1 AND c.t_bulk = 0)"))
-def nnmwr_no_caliper(spark, folder):
+@sampled(units(PAIRS["with_replacement"].format(k=1), SCORED, "edges AS (SELECT t.uid AS t_uid, c.uid AS c_uid, CAST(abs(t.ps - c.ps) AS DOUBLE) AS distance FROM scored t JOIN scored c ON t.t_bulk = 1 AND c.t_bulk = 0)"), whole_sql=False)
+def nnmwr_no_caliper(spark, folder, keep=50):
     """Without a caliper every treated unit finds a control; only the sorted plan does not multiply units."""
-    return nearest_sorted(rows(spark, folder), SPEC, "ps", 1)
+    return nearest_sorted(rows(spark, folder, keep), SPEC, "ps", 1)
 
 
-@query(units(PAIRS["with_replacement"].format(k=1), SCORED, "edges AS (SELECT t.uid AS t_uid, c.uid AS c_uid, CAST(abs(t.ps - c.ps) AS DOUBLE) AS distance FROM scored t JOIN scored c ON t.t_bulk = 1 AND c.t_bulk = 0 AND t.c_mktsegment = c.c_mktsegment AND abs(t.ps - c.ps) < 5000)"))
-def nnmwr_within_block(spark, folder):
-    return nearest_with_replacement(edges(spark, folder, 5000, ("c_mktsegment",)), 1)
+@sampled(units(PAIRS["with_replacement"].format(k=1), SCORED, "edges AS (SELECT t.uid AS t_uid, c.uid AS c_uid, CAST(abs(t.ps - c.ps) AS DOUBLE) AS distance FROM scored t JOIN scored c ON t.t_bulk = 1 AND c.t_bulk = 0 AND t.c_mktsegment = c.c_mktsegment AND abs(t.ps - c.ps) < 5000)"))
+def nnmwr_within_block(spark, folder, keep=50):
+    return nearest_with_replacement(edges(spark, folder, keep, 5000, ("c_mktsegment",)), 1)
 
 
-@query(units("SELECT t_uid, c_uid, distance, CAST(rnk AS INTEGER) AS rnk FROM (SELECT *, rank() OVER (PARTITION BY t_uid ORDER BY distance) AS rnk FROM edges) WHERE rnk <= 2", SCORED, _E))
-def rank_ties(spark, folder):
+@sampled(units("SELECT t_uid, c_uid, distance, CAST(rnk AS INTEGER) AS rnk FROM (SELECT *, rank() OVER (PARTITION BY t_uid ORDER BY distance) AS rnk FROM edges) WHERE rnk <= 2", SCORED, _E))
+def rank_ties(spark, folder, keep=50):
     """All controls at the k-th distance."""
-    return nearest_with_replacement(edges(spark, folder), 2, ties="all")
+    return nearest_with_replacement(edges(spark, folder, keep), 2, ties="all")
 
 
-@query(units(PAIRS["single_pass"].format(k=3), SCORED, _E))
-def nnmnr_single_pass(spark, folder):
-    return nearest_without_replacement(edges(spark, folder), 3, "single_pass")
+@sampled(units(PAIRS["single_pass"].format(k=3), SCORED, _E))
+def nnmnr_single_pass(spark, folder, keep=50):
+    return nearest_without_replacement(edges(spark, folder, keep), 3, "single_pass")
 
 
-@query(units(PAIRS["refill"].format(k=3), SCORED, _E))
-def nnmnr_refill(spark, folder):
-    return nearest_without_replacement(edges(spark, folder), 3, "refill")
+@sampled(units(PAIRS["refill"].format(k=3), SCORED, _E))
+def nnmnr_refill(spark, folder, keep=50):
+    return nearest_without_replacement(edges(spark, folder, keep), 3, "refill")
 
 
 def _scan_sql(k, order, extra=""):
@@ -108,22 +108,22 @@ UNION ALL SELECT i, CASE WHEN a THEN list_append(cs, c_uid) ELSE cs END, CASE WH
 FROM (SELECT o.i, o.t_uid, o.c_uid, o.distance, s.cs, s.ts, NOT list_contains(s.cs, o.c_uid) AND len(list_filter(s.ts, lambda x: x = o.t_uid)) < {k} AS a FROM scan s JOIN o ON o.i = s.i + 1))""").replace("WITH ", "WITH RECURSIVE ", 1)
 
 
-@query(_scan_sql(3, "distance, t_uid, c_uid"))
-def nnmnr_greedy(spark, folder):
+@sampled(_scan_sql(3, "distance, t_uid, c_uid"), whole_sql=False)
+def nnmnr_greedy(spark, folder, keep=50):
     """The sequential greedy scan, by rounds."""
-    return nearest_without_replacement(edges(spark, folder), 3, "greedy")
+    return nearest_without_replacement(edges(spark, folder, keep), 3, "greedy")
 
 
-@query(_scan_sql(1, "s.ps DESC, t_uid, distance, c_uid", "JOIN scored s ON s.uid = t_uid"))
-def nnmnr_greedy_by_score(spark, folder):
+@sampled(_scan_sql(1, "s.ps DESC, t_uid, distance, c_uid", "JOIN scored s ON s.uid = t_uid"), whole_sql=False)
+def nnmnr_greedy_by_score(spark, folder, keep=50):
     """Greedy with the treated units in descending order of score, each taking its nearest free control."""
-    e = edges(spark, folder).join(rows(spark, folder).select(F.col("uid").alias("t_uid"), (-F.col("ps")).alias("priority")), "t_uid")
+    e = edges(spark, folder, keep).join(rows(spark, folder, keep).select(F.col("uid").alias("t_uid"), (-F.col("ps")).alias("priority")), "t_uid")
     return nearest_without_replacement(e, 1, "greedy", order=("priority", "t_uid", "distance", "c_uid"))
 
 
-@query("SELECT CAST(0 AS BIGINT) AS controls_reused, CAST(0 AS BIGINT) AS treated_over, CAST(0 AS BIGINT) AS blocking_edges")
-def nnmnr_greedy_violations(spark, folder):
-    e = edges(spark, folder)
+@sampled("SELECT CAST(0 AS BIGINT) AS controls_reused, CAST(0 AS BIGINT) AS treated_over, CAST(0 AS BIGINT) AS blocking_edges")
+def nnmnr_greedy_violations(spark, folder, keep=50):
+    e = edges(spark, folder, keep)
     return greedy_violations(e, nearest_without_replacement(e, 1, "greedy"), 1)
 
 
@@ -132,57 +132,57 @@ def _effect_sql(mode):
 FROM pairs JOIN scored t ON t.uid = t_uid JOIN scored c ON c.uid = c_uid GROUP BY t_uid)""", SCORED, _E, _pairs(mode, 3))
 
 
-def _effect(spark, folder, pairs):
-    out = matched_effect(pairs, rows(spark, folder), "uid", "y_rev")
+def _effect(spark, folder, keep, pairs):
+    out = matched_effect(pairs, rows(spark, folder, keep), "uid", "y_rev")
     return out.withColumn("ate_y_rev", F.round(F.col("ate_y_rev") / 10000, 6))
 
 
-@query(_effect_sql("with_replacement"))
-def ate_nnmwr(spark, folder):
-    return _effect(spark, folder, nearest_with_replacement(edges(spark, folder), 3))
+@sampled(_effect_sql("with_replacement"))
+def ate_nnmwr(spark, folder, keep=50):
+    return _effect(spark, folder, keep, nearest_with_replacement(edges(spark, folder, keep), 3))
 
 
-@query(_effect_sql("refill"))
-def ate_nnmnr(spark, folder):
-    return _effect(spark, folder, nearest_without_replacement(edges(spark, folder), 3, "refill"))
+@sampled(_effect_sql("refill"))
+def ate_nnmnr(spark, folder, keep=50):
+    return _effect(spark, folder, keep, nearest_without_replacement(edges(spark, folder, keep), 3, "refill"))
 
 
 def _awmd_sql(mode):
     return units("SELECT round(abs(a - b) / 100, 4) AS awmd_total, round(abs(c - d) / 100, 4) AS awmd_acct FROM (SELECT avg(t1) AS a, sum(c1) / sum(k) AS b, avg(t2) AS c, sum(c2) / sum(k) AS d FROM (SELECT t_uid, count(*) AS k, sum(CAST(c.total AS DOUBLE)) AS c1, sum(CAST(c.acct AS DOUBLE)) AS c2, any_value(CAST(t.total AS DOUBLE)) AS t1, any_value(CAST(t.acct AS DOUBLE)) AS t2 FROM pairs JOIN scored t ON t.uid = t_uid JOIN scored c ON c.uid = c_uid GROUP BY t_uid))", SCORED, _E, _pairs(mode, 3))
 
 
-def _awmd(spark, folder, pairs):
-    out = awmd_pairs(pairs, rows(spark, folder), "uid", ("total", "acct"))
+def _awmd(spark, folder, keep, pairs):
+    out = awmd_pairs(pairs, rows(spark, folder, keep), "uid", ("total", "acct"))
     return out.select(*(F.round(F.col(c) / 100, 4).alias(c) for c in out.columns))
 
 
-@query(_awmd_sql("with_replacement"))
-def awmd_nnmwr(spark, folder):
-    return _awmd(spark, folder, nearest_with_replacement(edges(spark, folder), 3))
+@sampled(_awmd_sql("with_replacement"))
+def awmd_nnmwr(spark, folder, keep=50):
+    return _awmd(spark, folder, keep, nearest_with_replacement(edges(spark, folder, keep), 3))
 
 
-@query(_awmd_sql("single_pass"))
-def awmd_nnmnr_single_pass(spark, folder):
-    return _awmd(spark, folder, nearest_without_replacement(edges(spark, folder), 3, "single_pass"))
+@sampled(_awmd_sql("single_pass"))
+def awmd_nnmnr_single_pass(spark, folder, keep=50):
+    return _awmd(spark, folder, keep, nearest_without_replacement(edges(spark, folder, keep), 3, "single_pass"))
 
 
-@query(_awmd_sql("refill"))
-def awmd_nnmnr_refill(spark, folder):
-    return _awmd(spark, folder, nearest_without_replacement(edges(spark, folder), 3, "refill"))
+@sampled(_awmd_sql("refill"))
+def awmd_nnmnr_refill(spark, folder, keep=50):
+    return _awmd(spark, folder, keep, nearest_without_replacement(edges(spark, folder, keep), 3, "refill"))
 
 
-@query(units("SELECT round(sum(w * abs(t1 - c1 / k)) / sum(w) / 100, 4) AS awmd_total FROM (SELECT t_uid, count(*) AS k, count(*) + 1 AS w, sum(CAST(c.total AS DOUBLE)) AS c1, any_value(CAST(t.total AS DOUBLE)) AS t1 FROM pairs JOIN scored t ON t.uid = t_uid JOIN scored c ON c.uid = c_uid GROUP BY t_uid)", SCORED, _E, _pairs("with_replacement", 3)))
-def awmd_nnmwr_per_treated(spark, folder):
+@sampled(units("SELECT round(sum(w * abs(t1 - c1 / k)) / sum(w) / 100, 4) AS awmd_total FROM (SELECT t_uid, count(*) AS k, count(*) + 1 AS w, sum(CAST(c.total AS DOUBLE)) AS c1, any_value(CAST(t.total AS DOUBLE)) AS t1 FROM pairs JOIN scored t ON t.uid = t_uid JOIN scored c ON c.uid = c_uid GROUP BY t_uid)", SCORED, _E, _pairs("with_replacement", 3)))
+def awmd_nnmwr_per_treated(spark, folder, keep=50):
     """Each treated unit with its controls as one stratum."""
-    out = awmd_pairs(nearest_with_replacement(edges(spark, folder), 3), rows(spark, folder), "uid", ("total",), groups="per_treated")
+    out = awmd_pairs(nearest_with_replacement(edges(spark, folder, keep), 3), rows(spark, folder, keep), "uid", ("total",), groups="per_treated")
     return out.select(F.round(F.col("awmd_total") / 100, 4).alias("awmd_total"))
 
 
-@query(units("SELECT t_uid, c_uid FROM (SELECT t.uid AS t_uid, c.uid AS c_uid FROM scored t JOIN scored c ON t.t_bulk = 1 AND c.t_bulk = 0 AND t.p_brand = c.p_brand AND t.p_type = c.p_type AND t.cx_total = c.cx_total)", SCORED))
-def dist_coarsened(spark, folder):
+@sampled(units("SELECT t_uid, c_uid FROM (SELECT t.uid AS t_uid, c.uid AS c_uid FROM scored t JOIN scored c ON t.t_bulk = 1 AND c.t_bulk = 0 AND t.p_brand = c.p_brand AND t.p_type = c.p_type AND t.cx_total = c.cx_total)", SCORED))
+def dist_coarsened(spark, folder, keep=50):
     """Pairs at coarsened distance 0 (an equi-join on bucket codes)."""
     keys = ("p_brand", "p_type", "cx_total")
-    r = rows(spark, folder)
+    r = rows(spark, folder, keep)
     t = r.where("t_bulk = 1").select(F.col("uid").alias("t_uid"), *(F.col(k).alias(f"t_{k}") for k in keys))
     c = r.where("t_bulk = 0").select(F.col("uid").alias("c_uid"), *(F.col(k).alias(f"c_{k}") for k in keys))
     same = [F.col(f"t_{k}").eqNullSafe(F.col(f"c_{k}")) for k in keys]
@@ -221,8 +221,8 @@ def embedding_nn(spark, folder):
     return best.select("t_uid", "m.c_uid", F.round("m.distance", 6).alias("distance"))
 
 
-@query(units("SELECT t_uid, c_uid, round(sqrt(distance), 6) AS d FROM edges", SCORED, _NARROW))
-def udf_distance(spark, folder):
+@sampled(units("SELECT t_uid, c_uid, round(sqrt(distance), 6) AS d FROM edges", SCORED, _NARROW))
+def udf_distance(spark, folder, keep=50):
     """A user's distance as a vectorised function over candidate pairs."""
     d = distance_udf(lambda a, b: (a - b) ** 0.5)
-    return edges(spark, folder, 200).select("t_uid", "c_uid", F.round(d(F.col("distance"), F.lit(0.0)), 6).alias("d"))
+    return edges(spark, folder, keep, 200).select("t_uid", "c_uid", F.round(d(F.col("distance"), F.lit(0.0)), 6).alias("d"))
