@@ -9,6 +9,7 @@ from __future__ import annotations
 
 from itertools import product
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -17,7 +18,7 @@ from ..plans.spec import UnitSpec, checked_treatment
 from ..sources.shared import materialized
 from .ranking import range_cuts, range_of
 
-ROUNDS, LOCAL_EDGES = 40, 200_000
+ROUNDS = 40
 
 
 def _arms(df, spec, columns):
@@ -109,8 +110,10 @@ def nearest_without_replacement(edges: DataFrame, k: int = 1, mode: str = "greed
     treated unit its k first of these. ``greedy``: what a scan of all edges in ascending order
     accepts, by rounds: an alive edge is accepted if it is the first alive one of its control
     and within the remaining capacity of its treated unit; then edges of used controls and full
-    units go. After ``max_rounds`` what is left is finished by ``greedy_local``. ``order`` names the
-    columns of the scan's total order, for example a priority of treated units first."""
+    units go. A round that accepts few of many edges (tied distances, or an order by treated units
+    in a dense score) needs as many rounds as there are units in a chain; after ``max_rounds`` what
+    is left, of any size, is finished by ``greedy_local``. ``order`` names the columns of the scan's
+    total order, for example a priority of treated units first."""
     if k < 1:
         raise ValueError("k must be at least 1")
     at_c = Window.partitionBy("c_uid").orderBy("distance", "t_uid")
@@ -141,23 +144,24 @@ def nearest_without_replacement(edges: DataFrame, k: int = 1, mode: str = "greed
 
 
 def greedy_local(edges: DataFrame, order=("distance", "t_uid", "c_uid")) -> DataFrame:
-    """The scan itself in one task, for edge sets of at most ``LOCAL_EDGES`` rows (checked);
-    ``left`` is the capacity of a treated unit."""
-    n = edges.limit(LOCAL_EDGES + 1).count()
-    if n > LOCAL_EDGES:
-        raise ValueError(f"more than {LOCAL_EDGES} edges are left; allow more rounds")
-
-    def scan(pdf):
-        room, used, keep = {}, set(), []
-        for row in pdf.sort_values(list(order)).itertuples(index=False):
-            left = room.setdefault(row.t_uid, row.left)
-            if left and row.c_uid not in used:
-                room[row.t_uid] = left - 1
-                used.add(row.c_uid)
-                keep.append(row)
-        return pdf.__class__(keep, columns=pdf.columns)[["t_uid", "c_uid", "distance"]].astype({"t_uid": "int64", "c_uid": "int64", "distance": "float64"})
-
-    return edges.withColumn("_one", F.lit(0)).groupBy("_one").applyInPandas(scan, "t_uid long, c_uid long, distance double")
+    """The scan itself: one task reads the edges in order, however many there are. It holds the
+    units met, not the edges (these are sorted by Spark, which spills to disk). ``left`` is the
+    capacity of a treated unit."""
+
+    def scan(batches):
+        room, used = {}, set()
+        for batch in batches:
+            t, c, left = (batch.column(name).to_pylist() for name in ("t_uid", "c_uid", "left"))
+            keep = []
+            for i, (own, other) in enumerate(zip(t, c)):
+                if other not in used and room.setdefault(own, left[i]):
+                    room[own] -= 1
+                    used.add(other)
+                    keep.append(i)
+            yield batch.select(["t_uid", "c_uid", "distance"]).take(pa.array(keep, pa.int64()))
+
+    rows = edges.withColumns({"t_uid": F.col("t_uid").cast("long"), "c_uid": F.col("c_uid").cast("long"), "distance": F.col("distance").cast("double")})
+    return rows.repartition(1).sortWithinPartitions(*order).mapInArrow(scan, "t_uid long, c_uid long, distance double")
 
 
 def greedy_violations(edges: DataFrame, result: DataFrame, k: int) -> DataFrame:

@@ -5,6 +5,7 @@ from collections import defaultdict
 import pytest
 
 from stratamatch import workloads
+from stratamatch.operators.neighbours import nearest_without_replacement
 from stratamatch.sources.units import line_units, scored_units
 
 from .oracle import connection
@@ -55,3 +56,14 @@ def test_nearest_of_all_without_caliper(spark, small, scored):
 def test_greedy_of_all_equals_the_scan(spark, small, scored, name, k, key):
     got = {(r.t_uid, r.c_uid, r.distance) for r in workloads.QUERIES[name](spark, small).collect()}
     assert got == _greedy(_edges(scored), k, key)
+
+
+@pytest.mark.parametrize("order", [("distance", "t_uid", "c_uid"), ("priority", "t_uid", "distance", "c_uid")])
+def test_greedy_with_one_score_held_by_many(spark, order):
+    """250000 tied edges, more than the one-task scan once took: unit i takes the i-th control."""
+    n = 500
+    edges = spark.range(n * n).selectExpr(f"id div {n} as t_uid", f"10000 + id % {n} as c_uid", "0.0D as distance", "0 as priority")
+    got = {(r.t_uid, r.c_uid, r.rnk) for r in nearest_without_replacement(edges, 1, "greedy", 1, order).collect()}
+    assert got == {(i, 10000 + i, 1) for i in range(n)}
+    few = nearest_without_replacement(edges, 3, "greedy", 1, order)
+    assert {(r.t_uid, r.c_uid) for r in few.collect()} == {(i // 3, 10000 + i) for i in range(n)}
