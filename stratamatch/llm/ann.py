@@ -10,8 +10,11 @@ of the original vectors in double precision), and the blocks' lists merge.
 The window is a share of the rows (``window``), since on nearly uniform directions
 a place on any curve says little: on the given vectors (64 almost equal principal
 values) four curves with windows of 0.4 of the rows find 0.95 of the true five.
-Clustered vectors need far less. Equal keys are told apart by a hash of the id, so
-a vector that a third of all rows share spreads over blocks.
+Clustered vectors need far less. Every table is cut into blocks on the curves; on
+either side a window spans at least ``LEAST_SIDE`` rows, so that of small tables
+it holds all rows, and its share falls to ``window`` as they grow. Equal keys are
+told apart by a hash of the id, so a vector that a third of all rows share spreads
+over blocks.
 
 Defined results: vectors null, zero, of another than the commonest length, or with
 null or non-finite components take no part; rows without an id neither; if there are
@@ -30,6 +33,7 @@ from pyspark.sql import functions as F
 from .durable import stored
 
 CURVES, DIMENSIONS, BITS, WINDOW, SAMPLE, BLOCK, LEAST_BLOCKS, SEED = 4, 8, 4, 0.4, 5_000, 8192, 40, 11
+LEAST_SIDE = 512  # rows that a window spans on either side of a query at least
 
 
 def hilbert_keys(cells: np.ndarray, bits: int) -> np.ndarray:
@@ -74,6 +78,12 @@ def _curves(sample: np.ndarray, curves: int, dimensions: int, seed: int):
     return out
 
 
+def layout(total: int, window: float = WINDOW, block: int = BLOCK) -> tuple[int, int]:
+    """Blocks of an ordering of ``total`` rows, and how many a query visits on either side of its own."""
+    blocks = max(LEAST_BLOCKS, -(-total // block))
+    return blocks, min(int(np.ceil(max(window / 2, LEAST_SIDE / total) * blocks)), blocks - 1)
+
+
 def cosine(query: np.ndarray, rows: np.ndarray) -> np.ndarray:
     """Cosines in double precision; a pair's value does not depend on other rows."""
     return (rows * query).sum(1) / (np.sqrt((rows * rows).sum(1)) * np.sqrt((query * query).sum()))
@@ -92,9 +102,9 @@ def nearest(vectors: DataFrame, is_query, k: int = 5, id_col: str = "vec_id", ve
     if lengths is None:
         return vectors.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double")
     rows, total = rows.where(F.size("v") == lengths["d"]), lengths["n"]
-    blocks = 1 if total <= 2048 else max(LEAST_BLOCKS, -(-total // block))
-    drawn = rows.select("v").orderBy(F.xxhash64("id", F.lit(seed)), "id").limit(sample).toPandas()["v"] if blocks > 1 else []
-    spaces = _curves(_unit(np.array([list(x) for x in drawn]).reshape(-1, lengths["d"])), curves, dimensions, seed) if blocks > 1 else []
+    blocks, reach = layout(total, window, block)
+    drawn = rows.select("v").orderBy(F.xxhash64("id", F.lit(seed)), "id").limit(sample).toPandas()["v"]
+    spaces = _curves(_unit(np.array([list(x) for x in drawn]).reshape(-1, lengths["d"])), curves, dimensions, seed)
 
     def keys(batches):
         for batch in batches:
@@ -108,21 +118,16 @@ def nearest(vectors: DataFrame, is_query, k: int = 5, id_col: str = "vec_id", ve
                 out.append(hilbert_keys(cells, bits).astype(np.int64))
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(np.array(out).T.tolist(), type=pa.list_(pa.int64()))], names=["id", "v", "is_query", "places"])
 
-    if blocks == 1:
-        dealt = rows.select("id", "v", "is_query", F.lit(0).alias("curve"), F.lit(0).alias("block"))
-        reach = 0
-    else:
-        placed = rows.mapInArrow(keys, "id long, v array<double>, is_query boolean, places array<long>")
-        # 31 bits of a hash below the key: rows with equal keys have an order of their own.
-        tie = F.shiftrightunsigned(F.xxhash64("id"), 33)
-        placed = stored(placed.withColumn("places", F.transform("places", lambda p: F.shiftleft(p, 31).bitwiseOR(tie))), "placed")
-        cuts = placed.agg(*(F.percentile_approx(F.element_at("places", c + 1), [i / blocks for i in range(1, blocks)], 20 * blocks).alias(f"c{c}") for c in range(curves))).first()
-        bounds = F.array(*(F.array(*map(F.lit, sorted(set(cuts[c])))) for c in range(curves)))
-        at = placed.select("id", "v", "is_query", F.posexplode("places").alias("curve", "place")).withColumn("cuts", F.get(bounds, F.col("curve")))
-        steps = F.array(*(F.lit(2**i) for i in range((blocks - 1).bit_length(), -1, -1)))
-        search = F.aggregate(steps, F.lit(0), lambda acc, s: F.when(F.get("cuts", acc + s - 1) <= F.col("place"), acc + s).otherwise(acc))
-        dealt = at.select("id", "v", "is_query", "curve", search.alias("block"))
-        reach = int(np.ceil(window / 2 * blocks))
+    placed = rows.mapInArrow(keys, "id long, v array<double>, is_query boolean, places array<long>")
+    # 31 bits of a hash below the key: rows with equal keys have an order of their own.
+    tie = F.shiftrightunsigned(F.xxhash64("id"), 33)
+    placed = stored(placed.withColumn("places", F.transform("places", lambda p: F.shiftleft(p, 31).bitwiseOR(tie))), "placed")
+    cuts = placed.agg(*(F.percentile_approx(F.element_at("places", c + 1), [i / blocks for i in range(1, blocks)], 20 * blocks).alias(f"c{c}") for c in range(curves))).first()
+    bounds = F.array(*(F.array(*map(F.lit, sorted(set(cuts[c])))) for c in range(curves)))
+    at = placed.select("id", "v", "is_query", F.posexplode("places").alias("curve", "place")).withColumn("cuts", F.get(bounds, F.col("curve")))
+    steps = F.array(*(F.lit(2**i) for i in range((blocks - 1).bit_length(), -1, -1)))
+    search = F.aggregate(steps, F.lit(0), lambda acc, s: F.when(F.get("cuts", acc + s - 1) <= F.col("place"), acc + s).otherwise(acc))
+    dealt = at.select("id", "v", "is_query", "curve", search.alias("block"))
     visits = dealt.where("is_query").select("id", "v", "curve", F.explode(F.sequence(F.greatest(F.col("block") - reach, F.lit(0)), F.least(F.col("block") + reach, F.lit(blocks - 1)))).alias("block"))
 
     def rerank(candidates: pd.DataFrame, queries: pd.DataFrame) -> pd.DataFrame:
