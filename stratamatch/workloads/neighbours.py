@@ -210,9 +210,21 @@ d AS (SELECT t.vec_id AS t_uid, c.vec_id AS c_uid, sqrt(sum((CAST(t.x AS DOUBLE)
 SELECT t_uid, c_uid, round(distance, 6) AS distance FROM d QUALIFY row_number() OVER (PARTITION BY t_uid ORDER BY distance, c_uid) = 1""")
 def embedding_nn(spark, folder):
     """Nearest control vector (label 0) of each treated one (label 9) by Euclidean distance, in blocks."""
+    return _nearest_vectors(spark, folder, F.col("label") == 9, F.col("label") == 0)
+
+
+@query("""WITH v AS (SELECT vec_id, label, unnest(embedding) AS x, unnest(range(64)) AS i FROM embeddings),
+d AS (SELECT t.vec_id AS t_uid, c.vec_id AS c_uid, sqrt(sum((CAST(t.x AS DOUBLE) - CAST(c.x AS DOUBLE)) * (CAST(t.x AS DOUBLE) - CAST(c.x AS DOUBLE)) ORDER BY t.i)) AS distance FROM v t JOIN v c ON t.i = c.i AND t.label > 4 AND c.label <= 4 GROUP BY ALL)
+SELECT t_uid, c_uid, round(distance, 6) AS distance FROM d QUALIFY row_number() OVER (PARTITION BY t_uid ORDER BY distance, c_uid) = 1""")
+def embedding_nn_all(spark, folder):
+    """The same over the whole table: labels above 4 are treated, the others controls."""
+    return _nearest_vectors(spark, folder, F.col("label") > 4, F.col("label") <= 4)
+
+
+def _nearest_vectors(spark, folder, treated, control):
     e = table(spark, folder, "embeddings").select("vec_id", "label", "embedding")
-    t = e.where("label = 9").select(F.col("vec_id").alias("t_uid"), F.col("embedding").alias("t_v"))
-    c = e.where("label = 0").select(F.col("vec_id").alias("c_uid"), F.col("embedding").alias("c_v"))
+    t = e.where(treated).select(F.col("vec_id").alias("t_uid"), F.col("embedding").alias("t_v"))
+    c = e.where(control).select(F.col("vec_id").alias("c_uid"), F.col("embedding").alias("c_v"))
     blocks = 4
     t = t.withColumn("tb", F.pmod(F.xxhash64("t_uid"), F.lit(blocks))).withColumn("cb", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))))
     c = c.withColumn("cb", F.pmod(F.xxhash64("c_uid"), F.lit(blocks)))

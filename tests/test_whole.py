@@ -2,6 +2,7 @@
 
 from collections import defaultdict
 
+import numpy as np
 import pytest
 
 from stratamatch import workloads
@@ -46,6 +47,15 @@ def test_whole_sql_has_no_sample():
     assert {f"{n}_all" for n in sampled} <= set(workloads.QUERIES)
 
 
+def test_vectors_of_all_labels_take_part(spark, small):
+    rows = [(r.vec_id, r.label, np.array(r.embedding, dtype=float)) for r in spark.read.parquet(f"{small}/embeddings.parquet").collect()]
+    controls = [(i, v) for i, label, v in rows if label <= 4]
+    want = {(i, *min((round(float(np.sqrt(((v - w) ** 2).sum())), 6), c) for c, w in controls)) for i, label, v in rows if label > 4}
+    got = {(r.t_uid, r.distance, r.c_uid) for r in workloads.QUERIES["embedding_nn_all"](spark, small).collect()}
+    assert len(got) == len(want) > 200 and {(t, c) for t, _, c in got} == {(t, c) for t, _, c in want}
+    assert dict((t, d) for t, d, _ in got) == pytest.approx(dict((t, d) for t, d, _ in want), abs=2e-6)
+
+
 def test_nearest_of_all_without_caliper(spark, small, scored):
     controls = [(u, p) for u, t, p in scored if t == 0]
     want = {(u, *min((abs(p - q), c) for c, q in controls)) for u, t, p in scored if t == 1}
