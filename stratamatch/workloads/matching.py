@@ -5,9 +5,11 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from ..operators.balance import match_rates as rates
-from ..operators.neighbours import candidate_pairs, nearest_with_replacement
+from ..operators.neighbours import candidate_pairs, nearest_with_replacement, nearest_without_replacement
 from ..operators.pushdown import cem_pushed, joined, ordered, pushdown_report as report
+from ..operators.propensity import trim
 from ..operators.strata import cem, overlapping, summarize
+from ..operators.subclass import subclassify
 from ..plans.spec import Hop, UnitSpec
 from ..sources.catalog import table
 from ..sources.units import keyed_lines, line_spec, line_units, scored_units
@@ -135,3 +137,40 @@ def method_comparison(spark, folder, keep=50):
         one = one.select(F.lit(name).alias("method"), F.round(F.col("awmd_total") / 100, 4).alias("awmd_total"))
         out = one if out is None else out.unionByName(one)
     return out
+
+
+def _rare(sql):
+    """SQL of scored units for the rare treatment, on every unit."""
+    return sql.replace(" AND h < 50", "").replace("scored", "rare").replace("t_bulk", "t_rare")
+
+
+_PAIR_ROW = "SELECT '{name}' AS method, count(DISTINCT t_uid) AS n1, count(DISTINCT c_uid) AS n0, round(abs(avg(t.total) - avg(c.total)) / 100, 4) AS awmd_total FROM {pairs} JOIN rare t ON t.uid = t_uid JOIN rare c ON c.uid = c_uid"
+_STRATA_ROW = "SELECT '{name}', CAST(coalesce(sum(n1), 0) AS BIGINT), CAST(coalesce(sum(n0), 0) AS BIGINT), round(sum(n * abs(CAST(sum1_total AS DOUBLE) / n1 - CAST(sum0_total AS DOUBLE) / n0)) / CAST(sum(n) AS DOUBLE) / 100, 4) FROM {strata}"
+
+
+def _rare_strata(name, keys, source="rare"):
+    return strata("t_rare", keys, source, ("total",), name).replace(", max(uid) AS subclass", "")
+
+
+@query(units("\nUNION ALL ".join([_PAIR_ROW.format(name="nn_with_replacement", pairs="wr"), _PAIR_ROW.format(name="nn_without_replacement", pairs="nr"), *(_STRATA_ROW.format(name=n, strata=s) for n, s in (("raw", "ra"), ("subclass", "sc"), ("exact", "em"), ("coarsened", "co")))]),
+    _rare(SCORED), _rare(_EDGES), f"wr AS ({PAIRS['with_replacement'].format(k=1)})", f"nr AS ({PAIRS['refill'].format(k=1)})", _rare(QUANTILES.format(n=5, score="ps")), "one AS (SELECT *, 1 AS k FROM rare)",
+    _rare_strata("ra", "k", "one"), _rare_strata("sc", "subclass", "(SELECT * FROM trimmed JOIN kept USING (quantile))"), _rare_strata("em", EXACT), _rare_strata("co", COARSE)))
+def method_comparison_rare(spark, folder):
+    """Size and imbalance of the order's price for the rare treatment, every unit, by six methods."""
+    from ..operators.balance import awmd, awmd_pairs
+
+    rows = scored_units(line_units(spark, folder), treatment="t_rare")
+    spec = lambda *keys: UnitSpec("uid", "t_rare", keys, (), ("total",))
+    candidates = candidate_pairs(rows, UnitSpec("uid", "t_rare", ()), "ps", 1000)
+    classes = subclassify(trim(rows, "ps", 100_000, 900_000), UnitSpec("uid", "t_rare", ()), "ps", 5, "ranked").withColumnRenamed("subclass", "class")
+    out = []
+    for name, pairs in (("nn_with_replacement", nearest_with_replacement(candidates, 1)), ("nn_without_replacement", nearest_without_replacement(candidates, 1, "refill"))):
+        out.append((name, pairs.agg(F.count_distinct("t_uid").alias("n1"), F.count_distinct("c_uid").alias("n0")), awmd_pairs(pairs, rows, "uid", ("total",))))
+    for name, units_of, keys in (("raw", rows, ()), ("subclass", classes, ("class",)), ("exact", rows, EM), ("coarsened", rows, line_spec().covariates)):
+        s = overlapping(summarize(units_of, spec(*keys)))
+        out.append((name, s.agg(F.coalesce(F.sum("n1"), F.lit(0)).alias("n1"), F.coalesce(F.sum("n0"), F.lit(0)).alias("n0")), awmd(s, ("total",))))
+    table_of = None
+    for name, sizes, gap in out:
+        one = sizes.crossJoin(F.broadcast(gap)).select(F.lit(name).alias("method"), "n1", "n0", F.round(F.col("awmd_total") / 100, 4).alias("awmd_total"))  # one row each
+        table_of = one if table_of is None else table_of.unionByName(one)
+    return table_of
