@@ -6,32 +6,44 @@ from pyspark.sql import functions as F
 from stratamatch.llm import ann
 
 
-def _recall(e, **options):
-    rows = e.select("vec_id", "embedding").collect()
-    ids, m = np.array([r.vec_id for r in rows]), np.array([r.embedding for r in rows], dtype=float)
-    got = {}
-    for r in ann.nearest(e, F.col("vec_id") % 50 == 0, **options).collect():
+def _recall(ids, m, rows):
+    """(share of the true five found, share of rows a query was compared with)"""
+    got, seen = {}, {}
+    for r in rows:
         got.setdefault(r.query_id, set()).add(r.vec_id)
+        seen[r.query_id] = r.rows_seen
     hits = []
     for q in ids[ids % 50 == 0]:
         s = ann.cosine(m[ids == q][0], m)
-        hits.append(len(got[q] & set([int(ids[i]) for i in np.lexsort((ids, -s)) if ids[i] != q][:5])) / 5)
-    return np.mean(hits)
+        s[ids == q] = -2
+        hits.append(len(got[q] & set(ids[np.argsort(-s)[:5]].tolist())) / 5)
+    return np.mean(hits), np.mean(list(seen.values())) / len(ids)
 
 
 def test_layout_has_no_switch_by_size():
-    assert all(ann.layout(n)[0] == ann.LEAST_BLOCKS > 1 for n in (1, 500, 2000, 2048, 2049, 100_000))
-    assert ann.layout(500)[1] == ann.LEAST_BLOCKS - 1  # the window holds all rows
-    reaches = [ann.layout(n)[1] for n in range(500, 4000)]
-    assert all(0 <= a - b <= 1 for a, b in zip(reaches, reaches[1:])) and reaches[-1] == ann.layout(10**5)[1] == 8
+    blocks = [ann.layout(n)[0] for n in range(1, 10_000)]
+    assert all(0 <= b - a <= 1 for a, b in zip(blocks, blocks[1:])) and blocks[499] == 15 and blocks[1999] == 62 and blocks[-1] == 128
+    assert ann.layout(10**7) == (1221, 14) and all(ann.layout(n)[1] <= 1 for n in range(1, 10**6, 997))
 
 
-def test_recall_on_a_table_cut_into_blocks(spark, monkeypatch):
-    """With the production share of rows in a window, and clearly less with a narrow one."""
+def test_recall_on_the_given_vectors(spark):
     e = spark.read.parquet("/root/testdata/sf0.1/embeddings.parquet")
-    monkeypatch.setattr(ann, "LEAST_SIDE", 0)
-    blocks, reach = ann.layout(e.count())
-    assert blocks > 1 and 2 * reach + 1 < blocks / 2
-    whole, narrow = _recall(e), _recall(e, window=0.05)
-    print("recall", whole, narrow)
-    assert whole >= 0.9 and narrow < 0.8
+    ids, m = (np.array(x) for x in zip(*((r.vec_id, np.array(r.embedding, dtype=float)) for r in e.select("vec_id", "embedding").collect())))
+    assert ann.layout(len(ids)) == (62, 1)
+    found, seen = _recall(ids, m, ann.nearest(e, F.col("vec_id") % 50 == 0).collect())
+    few, looked = _recall(ids, m, ann.nearest(e, F.col("vec_id") % 50 == 0, curves=8).collect())
+    print("recall", found, seen, few, looked)
+    assert found >= 0.9 and seen < 0.85
+    assert few > 1.5 * looked  # random blocks of as many rows hold a share of the neighbours equal to their share of rows
+
+
+def test_recall_on_a_table_of_many_chunks(spark):
+    """20,000 rows near 400 centres: few curves suffice, and a query looks at a small part of the rows."""
+    rng = np.random.default_rng(3)
+    centres = rng.normal(size=(400, 64))
+    m = centres[rng.integers(0, 400, 20_000)] + 0.35 * rng.normal(size=(20_000, 64))
+    ids = np.arange(20_000)
+    df = spark.createDataFrame([(int(i), x.tolist()) for i, x in zip(ids, m)], "vec_id long, embedding array<double>")
+    found, seen = _recall(ids, m, ann.nearest(df, F.col("vec_id") % 50 == 0, curves=12).collect())
+    print("recall", found, seen)
+    assert found >= 0.9 and seen < 0.25
