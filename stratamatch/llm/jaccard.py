@@ -9,24 +9,29 @@ to hash buckets, where each learns in how many sets it occurs; a shingle of one
 set cannot overlap and ends there. (3) Back at its entity, a set whose shared
 shingles are fewer than the least overlap T of any link is finished; of the rest,
 the n - T + 1 rarest shingles are its short lists: a linked pair meets in one of
-them. (4) Short lists span candidate groups (connected components by stars, never
-all pairs of a list). (5) Groups go to tasks in blocks of bounded size, every pair
-of blocks of a large group to one task; there DivideSkip runs: short lists are
-merged and counted, the longest lists are probed by binary search, and documents
-that reach the required overlap link. Documents that are joined already are
+them. (4) Linked sets have sizes within the ratio of the threshold, so they lie in the
+same or in next size bands; stars around each list's smallest set of two next bands
+span candidate groups (connected components, never all pairs of a list). (5) Groups go
+to tasks whole if small. A larger group is dealt in cells of a size band and a hash,
+and a task holds two cells of the same or of next bands, so no task grows with its
+group and no set goes to bands that it cannot link with. In a task DivideSkip runs:
+short lists are merged and counted, the longest lists are probed by binary search, and
+documents that reach the required overlap link. Documents that are joined already are
 skipped, so a group of n copies costs about n links.
 
 Defined results: null, empty or blank text: size 0, linked with nothing; fewer
 words than ``width``: the whole word sequence is the one shingle; rows that repeat
 a doc_id are separate rows of one component if their sets are equal; a row with a
 null id takes part in links, and the smallest non-null id names the component
-(null if there is none). Shingle hashes and digests have 64 bits.
+(null if there is none). Shingles are compared by 64 bits of two Rabin-Karp polynomials;
+sets by a digest of 128 bits (one half names a set; if two sets share it, the other does).
 """
 
 from __future__ import annotations
 
+import hashlib
 import heapq
-from math import ceil
+from math import ceil, log, log2
 
 import numpy as np
 import pandas as pd
@@ -37,11 +42,13 @@ from pyspark.sql import functions as F
 from .components import connected_components
 from .durable import slices, stored
 from .substring import packed
-from .wordhash import WordHasher, _mix, blobs, bucket_of, cuts, give_back, hashed_runs, pack, portions, spread, text_windows, unpack, windows
+from .wordhash import WordHasher, blobs, bucket_of, cuts, give_back, hashed_runs, pack, portions, spread, text_windows, unpack, windows
 
 BLOCK = 4000
 #: Sets of one batch that make a shingle common: its list is then taken as the longest kind everywhere.
 COMMON = 8
+#: Cost of a probe against that of a merged posting, in the choice of the long lists.
+PROBE_COST = 0.0085
 _LONG = np.iinfo(np.int64).max
 
 
@@ -59,11 +66,16 @@ def shingle_sets(texts, width, hasher):
                 yield np.zeros(0, dtype=np.uint64)
 
 
-def digest(values):
-    """64-bit digest of a sorted set of hashes."""
-    with np.errstate(over="ignore"):
-        weights = np.arange(1, len(values) + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15) | np.uint64(1)
-        return int(_mix(np.array([np.sum(values * weights, dtype=np.uint64) + np.uint64(len(values))], dtype=np.uint64)).view(np.int64)[0])
+def digests(values):
+    """Two 64-bit digests of a sorted set of hashes."""
+    whole = hashlib.blake2b(np.ascontiguousarray(values).tobytes(), digest_size=16).digest()
+    return int.from_bytes(whole[:8], "little", signed=True), int.from_bytes(whole[8:], "little", signed=True)
+
+
+def node_of(values, clashes):
+    """Name of a set: its first digest, or the second one where different sets share the first."""
+    first, second = digests(values)
+    return second if first in clashes else first
 
 
 def least_overlap(n, percent):
@@ -82,11 +94,16 @@ def jaccard_components(docs: DataFrame, width: int, percent: int, id_col: str =
         raise ValueError("percent is 1 to 100 and width at least 1")
     slim = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
     n = slices(slim)
-    sets = stored(slim.select(F.coalesce("id", F.lit(0)).alias("id"), F.col("id").isNotNull().alias("known"), "text").mapInArrow(_sizes(width), "id long, known boolean, n long, digest long"), "sets")
-    lists = slim.select("text").mapInArrow(_entries(width, n), "bucket int, kind int, data binary")
+    sets = stored(slim.select(F.coalesce("id", F.lit(0)).alias("id"), F.col("id").isNotNull().alias("known"), "text").mapInArrow(_sizes(width), "id long, known boolean, n long, digest long, check long"), "sets")
+    # Different sets with one digest: about (distinct sets)**2 / 2**65, so 3 among 10**10.
+    shared = sets.where("n > 0").groupBy("digest").agg(F.min("check").alias("a"), F.max("check").alias("b")).where("a != b").select("digest")
+    clashes = frozenset(r[0] for r in shared.collect())
+    if clashes:
+        sets = sets.withColumn("digest", F.when(F.col("digest").isin(*clashes), F.col("check")).otherwise(F.col("digest")))
+    lists = slim.select("text").mapInArrow(_entries(width, n, clashes), "bucket int, kind int, data binary")
     shared = lists.groupBy("bucket").applyInPandas(_frequencies(n), "part int, kind int, data binary")
     entities = stored(shared.groupBy("part").applyInPandas(_short_lists(percent), "node long, n long, shared binary, short array<long>"), "short-lists")
-    groups = _candidate_groups(entities)
+    groups = _candidate_groups(entities, percent)
     roots = _linked(entities, groups, percent, block)
     by_set = sets.where("n > 0").groupBy("digest").agg(F.min(F.when(F.col("known"), F.col("id"))).alias("low"))
     by_set = by_set.join(roots.select(F.col("node").alias("digest"), "root"), "digest", "left").withColumn("root", F.coalesce("root", "digest"))
@@ -102,14 +119,14 @@ def _sizes(width):
     def run(batches):
         hasher = WordHasher(lower=True)
         for batch in portions(batches, "text"):
-            rows = [(len(s), digest(s) if len(s) else None) for s in shingle_sets(blobs(batch, "text"), width, hasher)]
-            sizes, digests = pa.array([r[0] for r in rows], type=pa.int64()), pa.array([r[1] for r in rows], type=pa.int64())
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), sizes, digests], names=["id", "known", "n", "digest"])
+            rows = [(len(s), *(digests(s) if len(s) else (None, None))) for s in shingle_sets(blobs(batch, "text"), width, hasher)]
+            found = [pa.array(c, type=pa.int64()) for c in zip(*rows)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *found], names=["id", "known", "n", "digest", "check"])
 
     return run
 
 
-def _entries(width, n):
+def _entries(width, n, clashes=frozenset()):
     """Kind 0: (sets, counts, hashes) of a bucket; 1: common shingles there; 2: what is
     known already at a set's own part (sizes, and its common shingles)."""
 
@@ -119,7 +136,7 @@ def _entries(width, n):
             found = {}
             for s in shingle_sets(blobs(batch, "text"), width, hasher):
                 if len(s):
-                    found.setdefault(digest(s), s)
+                    found.setdefault(node_of(s, clashes), s)
             if not found:
                 continue
             nodes = np.array(sorted(found), dtype=np.int64)
@@ -224,44 +241,61 @@ def _short_lists(percent):
     return run
 
 
-def _candidate_groups(entities):
-    """(node, root) of sets that meet in a short list, as stars around each list's smallest set."""
-    met = entities.select("node", F.explode("short").alias("token"))
-    lists = met.groupBy("token").agg(F.min("node").alias("low"), F.max("node").alias("high")).where("low != high").select("token", "low")
-    return connected_components(met.join(lists, "token").where("node != low").select(F.col("node").alias("a"), F.col("low").alias("b")))
+def _band(percent):
+    """Size band: sizes of a linked pair lie in the same or in next bands."""
+    if percent == 100:
+        return F.col("n").cast("int")
+    return F.floor(F.log(F.col("n").cast("double")) / F.lit(-log(percent / 100) * (1 + 1e-6))).cast("int")
+
+
+def _candidate_groups(entities, percent):
+    """(node, root) of sets that meet in a short list and whose bands are the same or next, as
+    stars around the smallest set of each list in two next bands."""
+    both = F.array(_band(percent), _band(percent) + 1)
+    met = entities.select("node", F.explode("short").alias("token"), both.alias("bands")).select("node", "token", F.explode("bands").alias("upto"))
+    lists = met.groupBy("token", "upto").agg(F.min("node").alias("low"), F.max("node").alias("high")).where("low != high").select("token", "upto", "low")
+    return connected_components(met.join(lists, ["token", "upto"]).where("node != low").select(F.col("node").alias("a"), F.col("low").alias("b")))
 
 
 def _linked(entities, groups, percent, block):
-    """(node, root) of linked sets: tasks of at most two blocks, then the components of their links."""
-    groups = stored(groups, "groups")
-    total = groups.count()
+    """(node, root) of linked sets: tasks of whole groups or of two cells, then the components of their links."""
+    here = stored(groups.join(entities, "node").withColumn("band", _band(percent)), "groups")
+    total = here.count()
     bundles = max(1, ceil(4 * total / block))  # several whole groups a task
-    sizes = groups.groupBy("root").agg(F.ceil(F.count("*") / block).cast("int").alias("k"))
-    here = groups.join(sizes, "root").join(entities, "node")
-    own = F.pmod(F.xxhash64("node"), F.col("k")).cast("int")
-    others = F.when(F.col("k") == 1, F.array(F.lit(0))).otherwise(F.sequence(F.lit(0), F.col("k") - 1))
-    here = here.withColumn("own", own).withColumn("other", F.explode(others))
-    task = F.when(F.col("k") == 1, F.pmod(F.xxhash64("root"), F.lit(bundles))).otherwise(F.xxhash64("root", F.least("own", "other"), F.greatest("own", "other")))
-    links = here.select(task.alias("task"), F.col("k").alias("k"), "node", "n", "shared").groupBy("task").applyInPandas(_divide_skip(percent), "a long, b long, k int")
+    sizes = here.groupBy("root").agg(F.count("*").alias("size"))
+    large = sizes.where(F.col("size") > block).select("root")
+    small = here.join(large, "root", "left_anti").select(F.pmod(F.xxhash64("root"), F.lit(bundles)).alias("task"), F.lit(0).alias("cell"), F.lit(0).alias("other"), "node", "n", "shared")
+    # Cells of a large group: by band, and by a hash into cells of half a block.
+    cells = here.join(large, "root").groupBy("root", "band").agg(F.ceil(2 * F.count("*") / block).cast("int").alias("k"))
+    near = cells.select("root", F.explode(F.array(F.col("band") - 1, F.col("band"), F.col("band") + 1)).alias("band"), F.col("band").alias("to"), F.col("k").alias("to_k"))
+    cut = here.join(cells, ["root", "band"]).withColumn("cell", F.pmod(F.xxhash64("node"), F.col("k")).cast("int")).join(near, ["root", "band"])
+    cut = cut.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("to_k") - 1)))
+    own, to = F.struct(F.col("band").alias("b"), F.col("cell").alias("c")), F.struct(F.col("to").alias("b"), F.col("other").alias("c"))
+    task = F.xxhash64("root", F.least(own, to), F.greatest(own, to))
+    # A cell alone is compared in itself only where it meets itself.
+    cut = cut.select(task.alias("task"), F.when(own == to, 0).when(own < to, 1).otherwise(2).alias("cell"), F.lit(1).alias("other"), "node", "n", "shared")
+    links = small.unionByName(cut).groupBy("task").applyInPandas(_divide_skip(percent), "a long, b long, k int")
     links = stored(links, "links")
-    whole = links.where("k = 1").select(F.col("a").alias("node"), F.col("b").alias("root"))
-    if links.where("k > 1").isEmpty():
+    whole = links.where("k = 0").select(F.col("a").alias("node"), F.col("b").alias("root"))
+    if links.where("k = 1").isEmpty():
         return whole
-    return whole.unionAll(connected_components(links.where("k > 1").select("a", "b")))
+    return whole.unionAll(connected_components(links.where("k = 1").select("a", "b")))
 
 
 def _divide_skip(percent):
     def run(rows):
         give_back()
-        found = link_all(rows["node"].to_numpy(np.int64), rows["n"].to_numpy(np.int64), [np.frombuffer(x, dtype=np.uint64) for x in rows["shared"]], percent)
-        split = dict(zip(rows["node"].tolist(), rows["k"].tolist()))
-        return pd.DataFrame([(a, b, split[a]) for a, b in found], columns=["a", "b", "k"]).astype({"a": "int64", "b": "int64", "k": "int32"})
+        side = rows["cell"].to_numpy(np.int64)
+        found = link_all(rows["node"].to_numpy(np.int64), rows["n"].to_numpy(np.int64), [np.frombuffer(x, dtype=np.uint64) for x in rows["shared"]], percent, side if side.any() else None)
+        split = int(rows["other"].iloc[0])
+        return pd.DataFrame([(a, b, split) for a, b in found], columns=["a", "b", "k"]).astype({"a": "int64", "b": "int64", "k": "int32"})
 
     return run
 
 
-def link_all(nodes, sizes, sets, percent):
-    """(node, smallest node of its component) under the links among these sets."""
+def link_all(nodes, sizes, sets, percent, side=None):
+    """(node, smallest node of its component) under the links among these sets; with ``side``
+    (1 or 2), under the links between the sides."""
     order = np.lexsort((nodes, sizes))
     root = np.arange(len(nodes))
 
@@ -284,10 +318,10 @@ def link_all(nodes, sizes, sets, percent):
         least = needed_overlap(n, least_overlap(n, percent), percent)
         if least <= len(own):
             own = own[np.lexsort((own, filled[own]))]
-            skip = min(least - 1, len(own) - 1)  # the longest lists are only probed
+            skip = long_lists(least, int(filled[own[-1]]), len(own))
             for other in _reach(own, skip, least, postings, at, filled):
                 j = int(order[other])
-                if find(i) == find(j):
+                if (side is not None and side[i] == side[j]) or find(i) == find(j):
                     continue
                 need = needed_overlap(n, int(sizes[j]), percent)
                 if need <= min(len(own), edge[j + 1] - edge[j]) and _overlap(own, other, postings, at, filled, need):
@@ -299,16 +333,24 @@ def link_all(nodes, sizes, sets, percent):
     return [(int(nodes[i]), int(nodes[find(i)])) for i in range(len(nodes))]
 
 
+def long_lists(least, longest, lists):
+    """How many of the longest lists are only probed: fewer as they grow, ``least`` - 1 at most."""
+    return min(least - 1, lists - 1, int(least / (PROBE_COST * log2(max(longest, 1) + 1) + 1)))
+
+
 def _reach(own, skip, least, postings, at, filled):
     """Merge the short lists; candidates with enough occurrences there, most first."""
     short = own[: len(own) - skip]
     runs = [postings[at[t] : at[t] + filled[t]] for t in short if filled[t]]
     if not runs:
         return []
-    if sum(map(len, runs)) <= 64:
-        merged = np.fromiter(heapq.merge(*runs), dtype=np.int32)
-    else:
-        merged = np.sort(np.concatenate(runs), kind="stable")
+    heapq.heapify(runs := [(len(r), i, r) for i, r in enumerate(runs)])
+    while len(runs) > 1:  # the two shortest runs merge first
+        (_, i, a), (_, _, b) = heapq.heappop(runs), heapq.heappop(runs)
+        both = np.concatenate([a, b])
+        both.sort(kind="stable")  # merges sorted runs
+        heapq.heappush(runs, (len(both), i, both))
+    merged = runs[0][2]
     edge = cuts(merged)
     count = np.diff(edge)
     enough = count >= least - skip

@@ -9,7 +9,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from stratamatch.llm import ann, htmltext, imatch, jaccard, mixing, packing, quality, queries, sharding, substring, warc
+from stratamatch.llm import ann, htmltext, imatch, jaccard, mixing, packing, quality, queries, sharding, substring, warc, wordhash
 from stratamatch.llm.components import connected_components
 
 from ..oracle import assert_same
@@ -283,6 +283,44 @@ def test_packing(request, table):
     assert sum(2048 - n for n in used.values()) <= 2048  # one group
 
 
+def _alternating(n, letters=b"ab"):
+    """Letters by the parity of a place's bits: polynomials modulo a power of two cannot tell these words apart."""
+    return bytes(letters[bin(i).count("1") % 2] for i in range(n)).decode()
+
+
+def test_words_that_polynomial_hashes_confuse(spark):
+    a, b = _alternating(1024), _alternating(1024, b"ba")
+    assert len(set(wordhash.WordHasher(lanes=2).words(f"{a} {b}".encode())[0].ravel().tolist())) == 4
+    texts = [" ".join([a] * 13), " ".join([b] * 13), a, b, a]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    assert {r.n_removed for r in substring.remove_repeats(df).collect()} == {0}
+    got = {r.doc_id: r.component_id for r in jaccard.jaccard_components(df, 4, 85).collect()}
+    assert got == {0: 0, 1: 1, 2: 2, 3: 3, 4: 2}
+
+
+@pytest.mark.parametrize("width", [1, 2, 5, 13, 40])
+def test_window_hashes_are_the_polynomials(width):
+    words = np.random.default_rng(width).integers(0, 2**64, size=(90, 2), dtype=np.uint64)
+    key, check = wordhash.windows(words, width, checks=True)
+    prime = 2**61 - 1
+    for i in range(91 - width):
+        first = second = 0
+        for x, y in words[i : i + width].tolist():
+            first, second = (first * wordhash._BASE_61 + x) % prime, (second * wordhash._BASE_64 + y) % 2**64
+        assert key[i] == wordhash._mix(np.array([(first << 3 | second >> 61) % 2**64], dtype=np.uint64))[0]
+        assert check[i] == wordhash._mix(np.array([second], dtype=np.uint64))[0]
+    assert (wordhash.windows(np.tile(words, (600, 1)), width)[: 91 - width] == key).all()  # worked on in pieces
+
+
+def test_sets_that_share_a_digest(spark, monkeypatch):
+    """With a digest of two bits most sets share one; the other half tells them apart."""
+    rows = [(i, " ".join(f"w{j}" for j in range(30 * (i // 2), 30 * (i // 2) + 20))) for i in range(24)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    whole = jaccard.digests
+    monkeypatch.setattr(jaccard, "digests", lambda v: (whole(v)[0] & 3, whole(v)[1]))
+    assert {r.doc_id: r.component_id for r in jaccard.jaccard_components(df, 3, 85).collect()} == {i: i // 2 * 2 for i in range(24)}
+
+
 def test_balanced_costs():
     sizes = sorted(np.random.default_rng(3).integers(1, 2048, size=500).tolist(), reverse=True)
     cost, used = Counter(), Counter()
