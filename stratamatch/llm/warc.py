@@ -7,10 +7,14 @@ byte for byte, so files go through Hadoop's file systems and the commit protocol
 like any output. The row separator is an empty gzip member.
 
 Reading. Files are read whole (they are bounded), gzip members or plain records
-alike. A record counts if its member's checksum, version line, length and block
-digest hold. After a failed check the reader looks for the next member or version
+alike. A record counts if its version line, length and block digest (hexadecimal or
+base 32) hold. After a failed check the reader looks for the next member or version
 line that begins a valid record, goes on there, and reports the bytes between as a
-row of kind ``gap``.
+row of kind ``gap``. It does the same inside a member that holds several records:
+content lost there is a row of kind ``inner-gap`` with the member's offset and the
+number of content bytes. A member that is cut off or fails its checksum gives the
+valid records of what can be decompressed, and is a gap itself. Lengths of records
+and gaps add up to the file's (records that share a member: the first has its length).
 
 Defined results: null html is an empty payload; payloads under ``least`` bytes are
 always responses; of equal payloads with one null id each, the non-null smallest id
@@ -20,6 +24,7 @@ response's id are responses as well.
 
 from __future__ import annotations
 
+import base64
 import hashlib
 import uuid
 import zlib
@@ -28,10 +33,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .durable import new_folder
+from .durable import new_folder, stored
 from .wordhash import portions
 
-LEAST, SEGMENT, PER_FILE = 100, 2 << 20, 6
+LEAST, SEGMENT, PER_FILE, BROADCAST_ROWS = 100, 2 << 20, 6, 200_000
 _LEVEL = 5
 
 
@@ -63,7 +68,9 @@ def write_warc(pages: DataFrame, path: str, least: int = LEAST) -> None:
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), html.alias("payload"))
     rows = rows.withColumn("digest", F.sha2("payload", 256))
     first = rows.where(F.octet_length("payload") >= least).groupBy("digest").agg(F.min("page_id").alias("first"), F.count("*").alias("n")).where("n > 1").select("digest", "first")
-    rows = rows.join(first, "digest", "left").withColumn("refers_to", F.when((F.col("first") != F.col("page_id")) | F.col("page_id").isNull(), F.col("first")))
+    first = stored(first, "first-pages")
+    # Payloads stay where they are, unless very many of them repeat.
+    rows = rows.join(F.broadcast(first) if first.count() <= BROADCAST_ROWS else first, "digest", "left").withColumn("refers_to", F.when((F.col("first") != F.col("page_id")) | F.col("page_id").isNull(), F.col("first")))
     packed = rows.select("page_id", "url", "payload", "digest", "refers_to").mapInArrow(_segments, "segment binary")
     # Latin-1 keeps the separator's bytes: an empty gzip member.
     packed.select(F.col("segment").cast("string").alias("value")).write.option("encoding", "ISO-8859-1").option("lineSep", _member(b"").decode("latin-1")).option(
@@ -107,49 +114,78 @@ def parse_record(data: bytes, at: int = 0):
     if length < 0 or len(block) < length or data[begin + length : begin + length + 4] != b"\r\n\r\n":
         return None
     method, _, value = headers.get("warc-block-digest", "").partition(":")
-    if method in ("sha1", "sha256") and len(value) == (40 if method == "sha1" else 64) and hashlib.new(method, block).hexdigest() != value.lower():
-        return None
+    if method.lower() in ("sha1", "sha256", "md5"):
+        own = hashlib.new(method.lower(), block).digest()
+        if value.lower() != own.hex() and value.upper().rstrip("=") != base64.b32encode(own).decode().rstrip("="):
+            return None
     return headers, block, begin + length + 4
 
 
+def _content(data: bytes, at: int):
+    """(content, end, whole) of the gzip member at ``at``: as much as can be decompressed; ``whole``
+    says that it ends and its checksum holds."""
+    z, parts, p = zlib.decompressobj(31), [], at
+    try:
+        while not z.eof and p < len(data):
+            parts.append(z.decompress(data[p : p + 4096]))
+            p += 4096
+    except zlib.error:
+        return b"".join(parts), len(data), False
+    return b"".join(parts), min(p, len(data)) - len(z.unused_data), z.eof
+
+
+def _plain(data: bytes):
+    """('record', headers, block) and ('gap', bytes lost, None) of plain records."""
+    at, bad = 0, None
+    while at < len(data):
+        got = parse_record(data, at)
+        if got is None:
+            bad = at if bad is None else bad
+            found = data.find(b"WARC/", at + 1)
+            at = found if found >= 0 else len(data)
+            continue
+        if bad is not None:
+            yield "gap", at - bad, None
+            bad = None
+        yield "record", got[0], got[1]
+        at = got[2]
+    if bad is not None:
+        yield "gap", len(data) - bad, None
+
+
 def _at(data: bytes, at: int):
-    """(records of (headers, block), end) that begin at ``at``; None if damaged."""
+    """(list of rows as ``_plain``, end, whole) of what begins at ``at``; None if nothing valid does."""
     if data.startswith(b"\x1f\x8b\x08", at):
-        z, parts, p = zlib.decompressobj(31), [], at
-        try:
-            while not z.eof and p < len(data):
-                parts.append(z.decompress(data[p : p + 65536]))
-                p += 65536
-        except zlib.error:
-            return None
-        if not z.eof:
-            return None
-        end, plain, q, out = min(p, len(data)) - len(z.unused_data), b"".join(parts), 0, []
-        while q < len(plain):
-            got = parse_record(plain, q)
-            if got is None:
-                return None
-            out.append(got[:2])
-            q = got[2]
-        return out, end
+        content, end, whole = _content(data, at)
+        rows = list(_plain(content))
+        if not whole:
+            rows = [r for r in rows if r[0] == "record"]
+        return (rows, end, whole) if whole and not content or any(r[0] == "record" for r in rows) else None
     got = parse_record(data, at)
-    return None if got is None else ([got[:2]], got[2])
+    return None if got is None else ([("record", got[0], got[1])], got[2], True)
 
 
 def salvage(data: bytes):
-    """('record', offset, length, headers, block) of every valid record and
-    ('gap', offset, length, None, None) of the bytes between."""
+    """('record', offset, length, headers, block) of every valid record, ('gap', offset, length, None,
+    None) of the bytes between, ('inner-gap', offset, length, None, None) of content lost in a member."""
     at, bad = 0, None
     while at < len(data):
         got = _at(data, at)
         if got is not None and (got[0] or bad is None):
-            if bad is not None:
+            rows, end, whole = got
+            if whole and bad is not None:
                 yield "gap", bad, at - bad, None, None
                 bad = None
-            for headers, block in got[0]:
-                yield "record", at, got[1] - at, headers, block
-            at = got[1]
-            continue
+            length = end - at if whole else 0
+            for kind, a, b in rows:
+                if kind == "record":
+                    yield "record", at, length, a, b
+                    length = 0
+                else:
+                    yield "inner-gap", at, a, None, None
+            if whole:
+                at = end
+                continue
         if bad is None:
             bad = at
         marks = [p for p in (data.find(b"\x1f\x8b\x08", at + 1), data.find(b"WARC/", at + 1)) if p >= 0]
@@ -196,7 +232,7 @@ def _number(text):
 
 def _rows(name, data, with_payload):
     for kind, at, length, headers, block in salvage(data):
-        if kind == "gap":
+        if kind != "record":
             yield name, at, length, kind, *[None] * 9
             continue
         head, blank, payload = block.partition(b"\r\n\r\n")
@@ -217,7 +253,7 @@ def _rows(name, data, with_payload):
 
 
 def round_trip(pages: DataFrame) -> DataFrame:
-    """Write ``pages`` to archives in the shared folder and read their records back."""
+    """Write ``pages`` to archives in the shared folder and read them back: records and, if any, gaps."""
     path = new_folder(pages.sparkSession, "warc")
     write_warc(pages, path)
-    return read_warc(pages.sparkSession, path, with_payload=False).where("kind = 'record'")
+    return read_warc(pages.sparkSession, path, with_payload=False)
