@@ -1,10 +1,17 @@
 """Main text of web pages by consensus paths of their hosts.
 
 Pass 1 cuts each page into blocks, scores its containers and names the best one by
-its generalised path (tags with their classes, digits removed). Spark adds the votes
-up by host and path; a host keeps its few strongest paths. Pass 2 cuts each page
-again and takes the text of its host's strongest path that the page has, or else of
-its own best container.
+its generalised path (tags with their classes, digits removed; a chained digest of
+the whole path, however deep). A container without the main heading gives way to its
+parent if that has it. Spark adds the votes up by host and path; a host keeps its few
+strongest paths, those of at least a tenth of the strongest one's votes. Pass 2 cuts
+each page again and takes the host's strongest path there that holds at least a quarter
+of the text of the page's own best container, else the latter. If that one is among
+its host's paths too, only stronger paths inside it go before it.
+
+Hidden elements, form controls and boilerplate blocks are left out. An inline element
+is left out by its class only where it is not part of a paragraph, heading or
+item, and never cuts the block around it.
 
 A host with a third of all pages is counted by partial sums, and its pages are not
 moved: paths of hosts are joined by broadcast if their measured size allows, else by
@@ -18,6 +25,7 @@ damaged; an empty or unreadable host is a host of its own; repeated rows and tie
 from __future__ import annotations
 
 import re
+from hashlib import blake2b
 from html import unescape
 
 import pyarrow as pa
@@ -27,11 +35,11 @@ from pyspark.sql import functions as F
 from .durable import stored
 from .wordhash import portions
 
-PATHS, BROADCAST_BYTES = 4, 8 << 20
+PATHS, LEAST_VOTES, BROADCAST_BYTES = 4, 0.1, 8 << 20
 
 # Tags by their part in a page.
 _RAW = frozenset("script style noscript template svg math iframe object canvas audio video select textarea title head".split())
-_OUTSIDE = frozenset("nav footer aside form dialog menu button header".split())
+_OUTSIDE = frozenset("nav footer aside form dialog menu button header label legend option optgroup datalist output progress meter".split())
 _BLOCKS = frozenset(
     "address article aside blockquote body center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html li main menu nav ol p pre section summary table tbody td tfoot th thead tr ul".split()
 )
@@ -100,7 +108,8 @@ def blocks(html: str):
             elif tag in _BLOCKS or any(x.tag == tag for x in stack[1:]):
                 for i in range(len(stack) - 1, 0, -1):
                     if stack[i].tag == tag:
-                        flush()
+                        if tag in _BLOCKS or any(x.tag in _BLOCKS for x in stack[i:]):  # an inline element cuts no block
+                            flush()
                         del stack[i:], numbers[i:]
                         break
             continue
@@ -122,9 +131,9 @@ def blocks(html: str):
         if tag not in _BLOCKS and tag != "head":
             if tag in _VOID:
                 continue
-            noisy = attributes and _noisy(tag, attributes)
+            in_leaf = stack[-1].tag in _LEAVES or stack[-1].tag not in _BLOCKS
+            noisy = tag in _OUTSIDE or bool(attributes) and (_hidden(attributes) if in_leaf else _noisy(tag, attributes))
             if noisy and not attributes.endswith("/"):
-                flush()
                 serial += 1
                 stack.append(_Node(tag, stack[-1].path, True, len(stack), stack[-1].main))
                 numbers.append(serial)
@@ -145,7 +154,7 @@ def blocks(html: str):
         classes, noisy = _names(tag, attributes)
         out = up.out or tag == "head" or noisy or (tag in _OUTSIDE and not (tag == "header" and up.main))
         serial += 1
-        stack.append(_Node(tag, f"{up.path}/{tag}{classes}", out, len(stack), main))
+        stack.append(_Node(tag, blake2b(f"{up.path}/{tag}{classes}".encode("utf-8", "surrogatepass"), digest_size=12).hexdigest(), out, len(stack), main))
         numbers.append(serial)
     flush()
     return found
@@ -181,20 +190,25 @@ def _values(attributes):
     return out
 
 
-def _noisy(tag, attributes):
+def _hidden(attributes):
     values = _values(attributes)
-    if values.get("role", "").lower() in _ROLES or "hidden" in values or values.get("aria-hidden") == "true" or "display:none" in values.get("style", "").replace(" ", "").lower():
+    return values.get("role", "").lower() in _ROLES or "hidden" in values or values.get("aria-hidden") == "true" or "display:none" in values.get("style", "").replace(" ", "").lower()
+
+
+def _noisy(tag, attributes):
+    if _hidden(attributes):
         return True
     if tag in ("body", "html", "article", "main", "h1"):
         return False
+    values = _values(attributes)
     return bool(_NOISE.search(values.get("class", "").lower()) or _NOISE.search(values.get("id", "").lower()))
 
 
 def _names(tag, attributes):
     if not attributes.strip():
         return "", False
-    words = sorted({_DIGITS.sub("", w) for w in _values(attributes).get("class", "").lower().split()} - {""})[:3]
-    return "".join("." + w[:40] for w in words), _noisy(tag, attributes)
+    words = sorted({_DIGITS.sub("", w) for w in _values(attributes).get("class", "").lower().split()} - {""})
+    return "".join("." + w for w in words), _noisy(tag, attributes)
 
 
 def container_scores(found):
@@ -214,9 +228,23 @@ def container_scores(found):
 
 
 def best_path(found):
-    """(path, score) of the page's best container, None if it has none."""
+    """(path, score) of the page's best container, None if it has none. While the container lacks
+    a main heading that its parent has, the parent stands for it."""
     best = container_scores(found)
-    return min(best.items(), key=lambda x: (-x[1], x[0])) if best else None
+    if not best:
+        return None
+    path, score = min(best.items(), key=lambda x: (-x[1], x[0]))
+    headed = [chain for _, _, chain in found if any(tag == "h1" for _, _, tag in chain)]
+    while headed and not any(p == path for chain in headed for p, _, _ in chain):
+        up = {(chain[i - 1][0], chain[i - 1][2]) for _, _, chain in found for i in range(1, len(chain)) if chain[i][0] == path}
+        if len(up) != 1 or (parent := up.pop())[1] in ("body", "html"):
+            break
+        path = parent[0]
+        if any(p == path for chain in headed for p, _, _ in chain):
+            return path, score
+    else:
+        return path, score
+    return min(best.items(), key=lambda x: (-x[1], x[0]))
 
 
 def text_at(found, path):
@@ -225,14 +253,19 @@ def text_at(found, path):
 
 
 def main_text(html: str | None, paths=()) -> str:
-    """Text of the first of ``paths`` that the page has, else of its own best container."""
+    """Text of the first of the host's ``paths`` (strongest first) that holds a quarter of as much text
+    as the page's own best container, else of that one. If the host knows that one too, only
+    stronger paths inside it go before it."""
     found = blocks(html or "")
     own = best_path(found)
     if own is None:
         return "\n\n".join(x[0] for x in found)
     mine = text_at(found, own[0])
     for path in paths or ():
-        text = text_at(found, path)
+        if path == own[0]:
+            break
+        inside = any(own[0] in (p for p, _, _ in chain) for _, _, chain in found if any(p == path for p, _, _ in chain))
+        text = text_at(found, path) if inside or own[0] not in paths else ""
         if len(text) * 4 >= len(mine) and text:  # a winning path that holds a side piece only is no main text here
             return text
     return mine
@@ -240,7 +273,7 @@ def main_text(html: str | None, paths=()) -> str:
 
 def host_of(url):
     """Host of a url column in lower case; empty if there is none."""
-    return F.lower(F.regexp_extract(F.coalesce(url.cast("string"), F.lit("")), r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]{0,255})", 1))
+    return F.lower(F.regexp_extract(F.coalesce(url.cast("string"), F.lit("")), r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)", 1))
 
 
 def host_paths(pages: DataFrame, keep: int = PATHS) -> DataFrame:
@@ -252,15 +285,17 @@ def host_paths(pages: DataFrame, keep: int = PATHS) -> DataFrame:
             for host, html in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 best = best_path(blocks(html or ""))
                 if best is not None:
-                    out.append((host, best[0][-2000:], best[1] / (best[1] + 500.0)))
+                    out.append((host, best[0], best[1] / (best[1] + 500.0)))
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*out)], names=["host", "path", "vote"])
 
     votes = pages.select(host_of(F.col("url")).alias("host"), F.col("html").cast("string").alias("html")).mapInArrow(vote, "host string, path string, vote double")
     # Rounded sums do not depend on the order of rows.
     sums = votes.groupBy("host", "path").agg(F.round(F.sum("vote"), 3).alias("votes"))
-    place = F.row_number().over(Window.partitionBy("host").orderBy(F.desc("votes"), "path"))
+    own = Window.partitionBy("host")
+    place = F.row_number().over(own.orderBy(F.desc("votes"), "path"))
     top = sums.withColumn("place", place).where(F.col("place") <= keep)
+    top = top.withColumn("most", F.max("votes").over(own)).where(F.col("votes") >= F.lit(LEAST_VOTES) * F.col("most"))
     return top.groupBy("host").agg(F.transform(F.array_sort(F.collect_list(F.struct("place", "path"))), lambda x: x["path"]).alias("paths"))
 
 
