@@ -1,15 +1,15 @@
 """Mixing of sources to target weights by whole repetitions and one drawn copy.
 
 Words are added up per source; targets share ``budget`` of all words by weight and
-stop at ``most`` times a source's words, the excess going to the others by weight.
-A document is taken floor(rate) times and once more if its draw, a hash of seed
-and id, falls under its source's threshold. The threshold is the fraction of the
-rate, calibrated on the draws themselves: documents in the order of their draws
-are taken while their mid-point of cumulated words stays within the fractional
-part of the target. So not only the expectation but the words taken meet the
-target to within half a document. Everything is expressed with DataFrame
-functions; the threshold is found on histograms of draws (two levels of 4096
-cells), and a window sees only the documents of one cell.
+stop at ``most`` times a source's words, the excess going to the others by weight. A
+source's rate is its target over its words. A document is taken floor(rate) times,
+and once more if its draw, a hash of seed and id, falls under the rate's fraction: a
+Bernoulli copy with that probability. So a source's words meet its target in
+expectation, with a standard deviation of sqrt(f (1 - f) * sum of squared sizes).
+
+Plan: one pass reads sizes and draws, one partial aggregate adds sizes up per source,
+and the table of sources goes to the rows by broadcast (checked by its number of
+rows; beyond that by a join that adaptive execution can split).
 
 Defined results: null text has size 0; a null source is a source, the last in
 order; rows that repeat an id share its draw; without words all targets are 0.
@@ -23,6 +23,7 @@ from pyspark.sql import functions as F
 from .durable import stored
 
 BUDGET, MOST, WEIGHTS, SEED, BROADCAST_SOURCES = 1.5, 2, (3, 1, 2), "mix-1", 50_000
+_BITS = 48
 
 
 def word_count(text: Column) -> Column:
@@ -32,7 +33,7 @@ def word_count(text: Column) -> Column:
 
 
 def draw(key: Column, seed: str = SEED) -> Column:
-    """48 hash-seeded bits of an id."""
+    """48 hash-seeded bits of an id, as a whole number."""
     return F.conv(F.substring(F.md5(F.concat(F.lit(seed + ":"), F.coalesce(key.cast("string"), F.lit("null"))).cast("binary")), 1, 12), 16, 10).cast("long")
 
 
@@ -54,47 +55,22 @@ def source_targets(sizes: DataFrame, weights=WEIGHTS, budget: float = BUDGET, mo
     return table.select("source_key", "source_size", F.least(F.lit(float(most)) * F.col("source_size"), F.lit(level) * F.col("weight")).alias("target"))
 
 
-def copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", carry=(), **shares) -> DataFrame:
+def copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", carry=(), seed: str = SEED, **shares) -> DataFrame:
     """id, size, source_size, target, copies for every row, and the struct ``carried`` of the columns ``carry``."""
     source = F.col(source_col).cast("string")
     # Draws and sizes are taken from the text once; texts travel only if carried.
     rows = docs.select(
         F.col(id_col).alias("id"), word_count(F.col(text_col).cast("string")).alias("size"), F.when(source.isNull(), "n").otherwise(F.concat(F.lit("s"), source)).alias("source_key"),
-        source.alias("source"), draw(F.col(id_col)).alias("u"), *(F.struct(*carry).alias("carried") for _ in carry[:1]),
+        source.alias("source"), draw(F.col(id_col), seed).alias("u"), *(F.struct(*carry).alias("carried") for _ in carry[:1]),
     )
     rows = stored(rows, "drawn")
-    slim = rows.select("id", "size", "source_key", "source", "u")
-    targets = stored(source_targets(slim.select("source_key", "source", "size"), **shares), "targets")
-    rate = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(0)
-    targets = targets.withColumn("whole", rate.cast("int")).withColumn("rest", F.col("target") - F.col("whole") * F.col("source_size"))
+    targets = stored(source_targets(rows.select("source_key", "source", "size"), **shares), "targets")
     # One row a source: a hot source's rows stay where they are, unless there are very many sources.
     small = F.broadcast if targets.count() <= BROADCAST_SOURCES else (lambda df: df)
-    placed = slim.select("source_key", "size", "u", "id")
-    for level, shift in ((1, 36), (2, 24)):
-        keys = ["source_key"] + [f"c{i}" for i in range(1, level)]
-        cell = F.shiftright("u", shift).alias(f"c{level}") if level == 1 else F.shiftright("u", shift).bitwiseAND(4095).alias("c2")
-        placed = placed.select("*", cell)
-        cells = placed.groupBy(*keys, f"c{level}").agg(F.sum("size").alias("cell_size"))
-        before = F.coalesce(F.sum("cell_size").over(Window.partitionBy(*keys).orderBy(f"c{level}").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-        base = targets.select("source_key", "rest") if level == 1 else cut
-        cells = cells.join(small(base), keys).withColumn("start", before + (F.lit(0) if level == 1 else F.col("base")))
-        # The cell in which the running sum of words passes the wanted words.
-        cut = cells.where((F.col("start") <= F.col("rest")) & (F.col("start") + F.col("cell_size") > F.col("rest"))).select(*keys, f"c{level}", "rest", F.col("start").alias("base"))
-        cut = stored(cut, "cut")
-        if level == 1:
-            top = cut.select("source_key", F.col("c1").alias("cut1"))
-        placed = placed.join(small(cut.select(*keys, f"c{level}")), [*keys, f"c{level}"], "left_semi")
-    inside = placed.join(small(cut), ["source_key", "c1", "c2"])
-    order = Window.partitionBy("source_key", "c1", "c2").orderBy("u", "id", "size").rowsBetween(Window.unboundedPreceding, 0)
-    middle = F.col("base") + F.sum("size").over(order) - F.col("size") / 2
-    last = inside.withColumn("middle", middle).where(F.col("middle") <= F.col("rest")).groupBy("source_key").agg(F.max(F.struct("u", "id", "size")).alias("last"))
-    ends = targets.join(top, "source_key", "left").join(cut.select("source_key", F.col("c2").alias("cut2")), "source_key", "left").join(last, "source_key", "left")
-    edge = F.col("cut1") * 4096 + F.coalesce("cut2", F.lit(0))
-    at = F.shiftright("u", 24)
-    # Below the cut cell all are drawn; in it, those up to the last one; without a cut cell, all or none.
-    own = F.struct("u", "id", "size")
-    drawn = F.when(F.col("cut1").isNull(), F.col("rest") > 0).when(at != edge, at < edge).otherwise(F.coalesce(own <= F.col("last"), F.lit(False)))
-    return rows.join(small(ends), "source_key").select(
+    rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
+    targets = targets.withColumn("rate", rate).withColumn("whole", F.floor("rate").cast("int"))
+    drawn = F.col("u") < (F.col("rate") - F.col("whole")) * F.lit(float(1 << _BITS))
+    return rows.join(small(targets), "source_key").select(
         F.col("id").alias(id_col), "size", "source_size", "target", (F.col("whole") + drawn.cast("int")).alias("copies"), *(["carried"] if carry else [])
     )
 

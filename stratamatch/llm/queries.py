@@ -27,7 +27,7 @@ def op1_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return warc.round_trip(_read(spark, sf_dir, "pages")).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+    return warc.round_trip(_read(spark, sf_dir, "pages")).where("kind = 'record'").select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
 def op3_substring(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -104,10 +104,9 @@ WITH d AS (SELECT doc_id, source, CAST(len(list_filter(regexp_split_to_array(coa
            FROM s WINDOW r AS (ORDER BY 2 * source_size / weight, source NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
      l AS (SELECT coalesce((SELECT (1.5::DOUBLE * whole - 2 * filled) / (weights - gone) FROM o WHERE (1.5::DOUBLE * whole - 2 * filled) / (weights - gone) <= ratio ORDER BY ratio, source NULLS LAST LIMIT 1), 0) AS level),
      g AS (SELECT source, source_size, least(2.0::DOUBLE * source_size, level * weight) AS target FROM o, l),
-     q AS (SELECT d.doc_id, d.size, g.source_size, g.target, CASE WHEN g.source_size > 0 THEN CAST(floor(g.target / g.source_size) AS BIGINT) ELSE 0 END AS whole,
-                  sum(d.size) OVER (PARTITION BY d.source ORDER BY u, d.doc_id, d.size ROWS UNBOUNDED PRECEDING) - d.size / 2 AS middle
-           FROM d JOIN g ON d.source IS NOT DISTINCT FROM g.source)
-SELECT doc_id, size, source_size, target, CAST(size * (whole + CASE WHEN middle <= target - whole * source_size AND target > whole * source_size THEN 1 ELSE 0 END) AS BIGINT) AS taken FROM q
+     r AS (SELECT *, CASE WHEN source_size > 0 THEN target / source_size ELSE 0 END AS rate FROM g)
+SELECT doc_id, size, source_size, target, CAST(size * (floor(rate) + CASE WHEN u < (rate - floor(rate)) * 281474976710656 THEN 1 ELSE 0 END) AS BIGINT) AS taken
+FROM d JOIN r ON d.source IS NOT DISTINCT FROM r.source
 """
 
 OP8 = """
