@@ -1,14 +1,18 @@
 """Nearest-neighbour matching within a caliper, with and without replacement.
 
 Edges are rows (t_uid, c_uid, distance); the order of edges is (distance, t_uid, c_uid)
-and, for one treated unit, (distance, c_uid). Candidates come from equi-joins on bands
-of the score, never from a nested loop over units.
+and, for one treated unit, (distance, c_uid). The plans by sorted scores look at a bounded number
+of distinct scores of the other arm for each unit, however dense the scores are; bands
+of the score give all edges within a caliper, whose number grows with the density.
 """
 
 from __future__ import annotations
 
 from itertools import product
+from math import ceil
 
+import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -18,7 +22,7 @@ from ..plans.spec import UnitSpec, checked_treatment
 from ..sources.shared import materialized
 from .ranking import range_cuts, range_of
 
-ROUNDS = 40
+ROUNDS, SORTED_ROUNDS, BLOCK = 40, 3, 2048
 
 
 def _arms(df, spec, columns):
@@ -34,8 +38,12 @@ def candidate_pairs(df: DataFrame, spec: UnitSpec, score: str, caliper, within=(
     if caliper is None or caliper < 0:
         raise ValueError("candidate pairs need a caliper of 0 or more; without one use the sorted plan")
     t, c = _arms(df, spec, dict.fromkeys((score, *within)))
+    return _band_pairs(t, c, score, caliper, within).select("t_uid", "c_uid", "distance")
+
+
+def _band_pairs(t, c, score, caliper, within=()):
     if caliper == 0:
-        return t.join(c, F.lit(False)).select("t_uid", "c_uid", F.lit(0.0).alias("distance"))
+        return t.join(c, F.lit(False)).withColumn("distance", F.lit(0.0))
     band = lambda p: F.floor(F.col(f"{p}_{score}") / F.lit(caliper))
     t = t.where(F.col(f"t_{score}").isNotNull()).withColumn("band", F.explode(F.array(band("t") - 1, band("t"), band("t") + 1)))
     c = c.where(F.col(f"c_{score}").isNotNull()).withColumn("c_band", band("c"))
@@ -43,7 +51,14 @@ def candidate_pairs(df: DataFrame, spec: UnitSpec, score: str, caliper, within=(
     for w in within:
         same = same & F.col(f"t_{w}").eqNullSafe(F.col(f"c_{w}"))
     distance = F.abs(F.col(f"t_{score}") - F.col(f"c_{score}"))
-    return t.join(c, same).where(distance < F.lit(caliper)).select("t_uid", "c_uid", distance.cast("double").alias("distance"))
+    return t.join(c, same).where(distance < F.lit(caliper)).withColumn("distance", distance.cast("double"))
+
+
+def caliper_rule(df: DataFrame, score: str, c: float = 0.2) -> float | None:
+    """The usual caliper: ``c`` standard deviations of the logit of a score in (0, 1)."""
+    p = F.col(score)
+    spread = df.where((p > 0) & (p < 1)).agg(F.stddev_samp(F.log(p / (1 - p)))).first()[0]
+    return None if spread is None else c * spread
 
 
 def theta_pairs(df: DataFrame, spec: UnitSpec, score: str, caliper) -> DataFrame:
@@ -78,28 +93,65 @@ def nearest_sorted(df: DataFrame, spec: UnitSpec, score: str, k: int = 1, calipe
     caliper: a treated unit looks at the k nearest distinct control scores on either side
     (itself included), each with its k smallest ids."""
     t, c = _arms(df, spec, (score,))
-    s = f"c_{score}"
-    first = F.row_number().over(Window.partitionBy(s).orderBy("c_uid"))
-    few = c.where(F.col(s).isNotNull()).withColumn("_i", first).where(F.col("_i") <= k).drop("_i")  # at most k ids a score
-    points = few.select(F.col(s).alias("v")).distinct().withColumn("is_c", F.lit(1))
-    points = points.unionByName(t.where(F.col(f"t_{score}").isNotNull()).select(F.col(f"t_{score}").alias("v")).distinct().withColumn("is_c", F.lit(0)))
-    n = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return _nearest_by_score(t, "t_uid", f"t_{score}", c, "c_uid", f"c_{score}", k, caliper).select("t_uid", "c_uid", "distance", "rnk")
+
+
+def _nearest_by_score(a, a_id, a_score, b, b_id, b_score, k, caliper):
+    """For each row of ``a`` its k first rows of ``b`` by (distance, id), with ``rnk``."""
+    if k < 1:
+        raise ValueError("k must be at least 1")
+    first = F.row_number().over(Window.partitionBy(b_score).orderBy(b_id))
+    few = b.select(b_id, b_score).where(F.col(b_score).isNotNull()).withColumn("_i", first).where(F.col("_i") <= k).drop("_i")  # at most k ids a score
+    points = few.select(F.col(b_score).alias("v")).distinct().withColumn("is_b", F.lit(1))
+    points = points.unionByName(a.where(F.col(a_score).isNotNull()).select(F.col(a_score).alias("v")).distinct().withColumn("is_b", F.lit(0)))
+    n = int(a.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     dealt = points.withColumn("_r", range_of(["v"], range_cuts(points, ["v"], n)))
-    offsets = dealt.groupBy("_r").agg(F.sum("is_c").alias("_n"))
+    offsets = dealt.groupBy("_r").agg(F.sum("is_b").alias("_n"))
     offsets = offsets.select("_r", (F.sum("_n").over(Window.orderBy("_r")) - F.col("_n")).alias("_before"))  # one row a range
-    # Number of distinct control scores at or below each point: its place among them.
-    upto = F.sum("is_c").over(Window.partitionBy("_r").orderBy("v").rangeBetween(Window.unboundedPreceding, 0))
-    placed = dealt.withColumn("_upto", upto).join(F.broadcast(offsets), "_r").select("v", "is_c", (F.col("_upto") + F.col("_before")).alias("place"))
-    controls = placed.where("is_c = 1").select("place", F.col("v").alias(s)).join(few, s)
-    near = placed.where("is_c = 0").select(F.col("v").alias(f"t_{score}"), F.explode(F.sequence(F.col("place") - (k - 1), F.col("place") + k)).alias("place"))
-    # Own score may be a control score: then place is its own; k on either side of it are k-1 below and k above.
-    below = placed.where("is_c = 0").select(F.col("v").alias(f"t_{score}"), (F.col("place") - k).alias("place"))
-    near = near.unionByName(below).join(controls, "place")
-    distance = F.abs(F.col(f"t_{score}") - F.col(s))
-    edges = t.join(near, f"t_{score}").select("t_uid", "c_uid", distance.cast("double").alias("distance"))
+    # Number of distinct scores of b at or below each point: its place among them.
+    upto = F.sum("is_b").over(Window.partitionBy("_r").orderBy("v").rangeBetween(Window.unboundedPreceding, 0))
+    placed = dealt.withColumn("_upto", upto).join(F.broadcast(offsets), "_r").select("v", "is_b", (F.col("_upto") + F.col("_before")).alias("place"))
+    there = placed.where("is_b = 1").select("place", F.col("v").alias(b_score)).join(few, b_score)
+    # Own score may be a score of b: then place is its own; k on either side of it are k below and k above.
+    near = placed.where("is_b = 0").select(F.col("v").alias(a_score), F.explode(F.sequence(F.col("place") - k, F.col("place") + k)).alias("place")).join(there, "place")
+    distance = F.abs(F.col(a_score) - F.col(b_score))
+    edges = a.select(a_id, a_score).join(near, a_score).select(a_id, b_id, distance.cast("double").alias("distance"))
     if caliper is not None:
         edges = edges.where(F.col("distance") < F.lit(caliper))
-    return nearest_with_replacement(edges, k)
+    return edges.withColumn("rnk", F.row_number().over(Window.partitionBy(a_id).orderBy("distance", b_id))).where(F.col("rnk") <= k)
+
+
+def match_sorted(df: DataFrame, spec: UnitSpec, score: str, k: int = 1, caliper=None, mode: str = "refill") -> DataFrame:
+    """``nearest_without_replacement`` of all edges within the caliper, without making them:
+    ``refill`` needs the first treated unit of each control only, ``single_pass`` that and the k
+    first controls of each treated unit, and a round of ``greedy`` accepts what is both among the
+    units left. After a few rounds the units left lie apart; their edges are made (this needs a
+    caliper) and finish the scan."""
+    t, c = _arms(df, spec, (score,))
+    ts, cs = f"t_{score}", f"c_{score}"
+    at_t = Window.partitionBy("t_uid").orderBy("distance", "c_uid")
+
+    def firsts(t, c):
+        return _nearest_by_score(c, "c_uid", cs, t, "t_uid", ts, 1, caliper).select("t_uid", "c_uid", "distance")
+
+    if mode == "refill":
+        return firsts(t, c).withColumn("rnk", F.row_number().over(at_t)).where(F.col("rnk") <= k)
+    if mode == "single_pass":
+        return _nearest_by_score(t, "t_uid", ts, c, "c_uid", cs, k, caliper).join(firsts(t, c).drop("distance"), ["t_uid", "c_uid"]).select("t_uid", "c_uid", "distance", "rnk")
+    if mode != "greedy":
+        raise ValueError(mode)
+    if caliper is None:
+        raise ValueError("greedy needs a caliper")
+    t, c, accepted = materialized(t.withColumn("left", F.lit(k)), "treated"), materialized(c, "controls"), None
+    for _ in range(SORTED_ROUNDS):
+        mine = _nearest_by_score(t, "t_uid", ts, c, "c_uid", cs, k, caliper).join(t.select("t_uid", "left"), "t_uid").where("rnk <= left")
+        now = materialized(mine.join(firsts(t, c).drop("distance"), ["t_uid", "c_uid"]).select("t_uid", "c_uid", "distance"), "accepted")
+        accepted = now if accepted is None else accepted.unionByName(now)
+        used = now.groupBy("t_uid").agg(F.count("*").cast("int").alias("_n"))
+        t = materialized(t.join(used, "t_uid", "left").withColumn("left", F.col("left") - F.coalesce("_n", F.lit(0))).where("left > 0").drop("_n"), "treated")
+        c = materialized(c.join(now.select("c_uid"), "c_uid", "left_anti"), "controls")
+    edges = _band_pairs(t, c, score, caliper).select("t_uid", "c_uid", "distance", "left")
+    return accepted.unionByName(_greedy_rounds(edges, ("distance", "t_uid", "c_uid"), ROUNDS)).withColumn("rnk", F.row_number().over(at_t))
 
 
 def nearest_without_replacement(edges: DataFrame, k: int = 1, mode: str = "greedy", max_rounds: int = ROUNDS, order=("distance", "t_uid", "c_uid")) -> DataFrame:
@@ -112,7 +164,8 @@ def nearest_without_replacement(edges: DataFrame, k: int = 1, mode: str = "greed
     and within the remaining capacity of its treated unit; then edges of used controls and full
     units go. A round that accepts few of many edges (tied distances, or an order by treated units
     in a dense score) needs as many rounds as there are units in a chain; after ``max_rounds`` what
-    is left, of any size, is finished by ``greedy_local``. ``order`` names the columns of the scan's
+    is left, of any size, is finished by ``greedy_local``. ``greedy_local``: that scan alone, in one
+    task, for few edges. ``order`` names the columns of the scan's
     total order, for example a priority of treated units first."""
     if k < 1:
         raise ValueError("k must be at least 1")
@@ -123,24 +176,29 @@ def nearest_without_replacement(edges: DataFrame, k: int = 1, mode: str = "greed
     if mode == "refill":
         best = edges.withColumn("_c", F.row_number().over(at_c)).where("_c = 1").drop("_c")
         return best.withColumn("rnk", F.row_number().over(at_t)).where(F.col("rnk") <= k)
-    if mode != "greedy":
+    if mode not in ("greedy", "greedy_local"):
         raise ValueError(mode)
-    extra = [c for c in order if c not in ("t_uid", "c_uid", "distance")]
-    names = ["t_uid", "c_uid", "distance", *extra]
+    names = list(dict.fromkeys(("t_uid", "c_uid", "distance", *order)))
+    alive = edges.select(*names).withColumn("left", F.lit(k))
+    accepted = _greedy_rounds(alive, order, max_rounds) if mode == "greedy" else greedy_local(alive, order)
+    return accepted.withColumn("rnk", F.row_number().over(at_t))
+
+
+def _greedy_rounds(alive, order, max_rounds):
+    """(t_uid, c_uid, distance) that a scan of edges with ``left``, the room of their treated unit, accepts."""
+    names = alive.columns
     by_c, by_t = Window.partitionBy("c_uid").orderBy(*order), Window.partitionBy("t_uid").orderBy(*order)
-    alive, accepted = materialized(edges.select(*names).withColumn("left", F.lit(k)), "edges"), None
+    alive, accepted = materialized(alive, "edges"), None
     for _ in range(max_rounds):
         now = alive.select("*", F.row_number().over(by_c).alias("_c"), F.row_number().over(by_t).alias("_t")).where("_c = 1 and _t <= left").select("t_uid", "c_uid", "distance")
         now = materialized(now, "accepted")
         accepted = now if accepted is None else accepted.unionByName(now)
         used = now.groupBy("t_uid").agg(F.count("*").cast("int").alias("_n"))
         rest = alive.join(now.select("c_uid"), "c_uid", "left_anti").join(used, "t_uid", "left").withColumn("left", F.col("left") - F.coalesce("_n", F.lit(0)))
-        alive = materialized(rest.where("left > 0").select(*names, "left"), "edges")
+        alive = materialized(rest.where("left > 0").select(*names), "edges")
         if alive.isEmpty():
-            break
-    else:
-        accepted = accepted.unionByName(greedy_local(alive, order))
-    return accepted.withColumn("rnk", F.row_number().over(at_t))
+            return accepted
+    return accepted.unionByName(greedy_local(alive, order))
 
 
 def greedy_local(edges: DataFrame, order=("distance", "t_uid", "c_uid")) -> DataFrame:
@@ -180,25 +238,64 @@ def greedy_violations(edges: DataFrame, result: DataFrame, k: int) -> DataFrame:
     return twice.crossJoin(over).crossJoin(blocking)  # one row each
 
 
-def nearest_mahalanobis(df: DataFrame, spec: UnitSpec, columns, width: float = 0.25) -> DataFrame:
-    """Exact nearest control of each treated unit by Mahalanobis distance. In whitened columns a
-    unit looks at grid cells within one step; where the best found lies within the looked-at
-    border it is final, the others go on with cells of twice the width."""
-    df = checked_treatment(df, spec).dropna(subset=list(columns))
+def nearest_mahalanobis(df: DataFrame, spec: UnitSpec, columns, width: float = 0.25, score: str | None = None, score_caliper=None) -> DataFrame:
+    """Exact nearest control of each treated unit by Mahalanobis distance, with ``score`` only among
+    controls within ``score_caliper`` of it (strictly). In whitened columns a unit looks at grid
+    cells within one step; where the best found lies within the looked-at border it is final, the
+    others go on with cells of twice the width, until a cell spans all units."""
+    df = checked_treatment(df, spec).dropna(subset=[*columns, *([score] if score else [])])
     white = materialized(whitened(df, list(columns), covariance(df, list(columns))), "whitened")
     w = [f"w_{i}" for i in range(len(columns))]
-    todo = white.where(F.col(spec.treatment) == 1).select(F.col(spec.id).alias("t_uid"), *(F.col(c).alias(f"t_{c}") for c in w))
-    controls = white.where(F.col(spec.treatment) == 0).select(F.col(spec.id).alias("c_uid"), *(F.col(c).alias(f"c_{c}") for c in w))
+    kept = [*w, *([score] if score else [])]
+    todo = white.where(F.col(spec.treatment) == 1).select(F.col(spec.id).alias("t_uid"), *(F.col(c).alias(f"t_{c}") for c in kept))
+    controls = white.where(F.col(spec.treatment) == 0).select(F.col(spec.id).alias("c_uid"), *(F.col(c).alias(f"c_{c}") for c in kept))
+    span = max((x or 0.0 for x in white.agg(*(F.max(c) - F.min(c) for c in w)).first()), default=0.0)
     done = todo.limit(0).select("t_uid", F.lit(0).cast("long").alias("c_uid"), F.lit(0.0).alias("distance"))
     while not (todo.isEmpty() or controls.isEmpty()):
         grid = lambda p: F.array(*(F.floor(F.col(f"{p}_{c}") / width) for c in w))
         around = [[F.floor(F.col(f"t_{c}") / width) + s for s in (-1, 0, 1)] for c in w]
         around = F.array(*(F.array(*cell) for cell in product(*around)))
         near = todo.withColumn("cell", F.explode(around)).join(controls.withColumn("cell", grid("c")), "cell")
+        if score:
+            near = near.where(F.abs(F.col(f"t_{score}") - F.col(f"c_{score}")) < F.lit(score_caliper))
         square = sum(((F.col(f"t_{c}") - F.col(f"c_{c}")) * (F.col(f"t_{c}") - F.col(f"c_{c}")) for c in w), F.lit(0.0))
         best = near.groupBy("t_uid").agg(F.min(F.struct(square.alias("distance"), F.col("c_uid").alias("c_uid"))).alias("m")).select("t_uid", "m.c_uid", "m.distance")
+        if width > span:  # every control has been seen
+            return done.unionByName(best)
         best = materialized(best.where(F.sqrt("distance") <= width), "nearest")  # all within one width have been seen
         done = done.unionByName(best)
         todo = materialized(todo.join(best.select("t_uid"), "t_uid", "left_anti"), "todo")
         width *= 2
     return done
+
+
+def nearest_vectors(treated: DataFrame, controls: DataFrame, block: int = BLOCK) -> DataFrame:
+    """Exact nearest control of each treated vector by Euclidean distance, ties to the smaller id:
+    (t_uid, c_uid, distance). Both sides (uid, v) are cut into blocks of about ``block`` rows by a hash,
+    and each pair of blocks is one group of bounded size. Its work grows with the product of both
+    sides, as an exact search in many dimensions does."""
+    sides = []
+    n_t, n_c = (max(1, ceil(df.count() / block)) for df in (treated, controls))
+    for df, own, other in ((treated, n_t, n_c), (controls, n_c, n_t)):
+        mine = F.pmod(F.xxhash64("uid"), F.lit(own)).cast("int")
+        theirs = F.explode(F.sequence(F.lit(0), F.lit(other - 1)))
+        sides.append(df.select(F.col("uid").cast("long").alias("uid"), F.transform("v", lambda x: x.cast("double")).alias("v"), mine.alias("own"), theirs.alias("other")))
+    t, c = sides[0].withColumnsRenamed({"own": "bt", "other": "bc"}), sides[1].withColumnsRenamed({"own": "bc", "other": "bt"})
+
+    def near(t: pd.DataFrame, c: pd.DataFrame) -> pd.DataFrame:
+        rows = []
+        if len(t) and len(c):
+            c = c.sort_values("uid", kind="stable")
+            x, ids = np.stack(c["v"].to_numpy()), c["uid"].to_numpy()
+            square = (x * x).sum(1)
+            for uid, v in zip(t["uid"], t["v"]):
+                rough = square - 2 * (x @ v)
+                close = np.flatnonzero(rough <= rough.min() + 1e-6 * (1 + abs(rough.min())))  # exact differences decide
+                exact = np.sqrt(((x[close] - v) ** 2).sum(1))
+                best = int(np.argmin(exact))
+                rows.append((uid, int(ids[close[best]]), float(exact[best])))
+        return pd.DataFrame(rows, columns=["t_uid", "c_uid", "distance"])
+
+    found = t.groupBy("bt", "bc").cogroup(c.groupBy("bt", "bc")).applyInPandas(near, "t_uid long, c_uid long, distance double")
+    best = found.groupBy("t_uid").agg(F.min(F.struct("distance", "c_uid")).alias("m"))
+    return best.select("t_uid", "m.c_uid", "m.distance")

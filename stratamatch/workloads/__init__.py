@@ -4,7 +4,6 @@ from __future__ import annotations
 
 QUERIES: dict = {}
 SQL: dict = {}
-SAMPLE = " AND h < 50"  # in the SQL of scored units
 
 
 def query(sql: str | None = None):
@@ -19,24 +18,5 @@ def query(sql: str | None = None):
     return add
 
 
-def sampled(sql: str, whole_sql: bool = True):
-    """Register a function (spark, folder, keep) twice: under its name on the twentieth of the units
-    that its SQL states, and as ``<name>_all`` on every unit, with the same SQL less the sample
-    (none where DuckDB would make all pairs or scan edge by edge; tests compare with brute force)."""
-    assert SAMPLE in sql or "scored" not in sql, "SQL that samples otherwise"
-
-    def add(f):
-        query(sql)(f)
-
-        def every(spark, folder):
-            return f(spark, folder, None)
-
-        every.__name__, every.__doc__ = f"{f.__name__}_all", f.__doc__
-        query(sql.replace(SAMPLE, "") if whole_sql else None)(every)
-        return f
-
-    return add
-
-
 def load() -> None:
     from . import effects, matching, neighbours, preparation, surface, treatments  # noqa: F401

@@ -29,7 +29,7 @@ discrete AS (SELECT *, tax * 10 + 5 * t_bulk AS y FROM flat WHERE (t_bulk = 1 AN
 continuous AS (SELECT *, total + 500000 * t_bulk AS y FROM flat WHERE (t_bulk = 1 AND h < pr_c) OR (t_bulk = 0 AND h >= pr_c))"""
 
 SCORED = """scored AS (SELECT *, CAST(round(1e6 / (1 + exp(-(-3 + 5 * total / 100 / 500000 + 1.0 * size / 50 - acct / 100 / 10000)))) AS BIGINT) AS ps
-  FROM units WHERE t_bulk IS NOT NULL AND h < 50)"""
+  FROM units WHERE t_bulk IS NOT NULL)"""
 
 EDGES = """edges AS (SELECT t.uid AS t_uid, c.uid AS c_uid, CAST(abs(t.ps - c.ps) AS DOUBLE) AS distance FROM scored t JOIN scored c ON t.t_bulk = 1 AND c.t_bulk = 0 AND abs(t.ps - c.ps) < {caliper})"""
 

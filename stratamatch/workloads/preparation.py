@@ -12,7 +12,7 @@ from ..operators.strata import overlapping, summarize
 from ..operators.temporal import asof_attach, bucket_attach, interval_pairs, prior_count, prior_count_bucketed
 from ..plans.spec import UnitSpec, violations
 from ..sources.units import hash_sample, line_spec, line_units, scored_units, trips_and_readings
-from . import query, sampled
+from . import query
 from .oracle import SCORED, units
 
 ALL = ("t_bulk", "t_disc", "t_urgent", "t_heavy", "t_combo", "t_rare")
@@ -132,15 +132,15 @@ def ps_cell(spark, folder):
     return cell_propensity(line_units(spark, folder), spec).select("uid", F.round("ps", 9).alias("ps"))
 
 
-@sampled(units("SELECT uid, ps FROM scored WHERE ps BETWEEN 100000 AND 900000", SCORED))
-def ps_trim(spark, folder, keep=50):
-    return trim(scored_units(line_units(spark, folder), keep), "ps", 100_000, 900_000).select("uid", "ps")
+@query(units("SELECT uid, ps FROM scored WHERE ps BETWEEN 100000 AND 900000", SCORED))
+def ps_trim(spark, folder):
+    return trim(scored_units(line_units(spark, folder)), "ps", 100_000, 900_000).select("uid", "ps")
 
 
-@sampled(units("SELECT count(*) AS n, CAST(0 AS BIGINT) AS off FROM scored", SCORED))
-def ps_mean_calibration(spark, folder, keep=50):
+@query(units("SELECT count(*) AS n, CAST(0 AS BIGINT) AS off FROM scored", SCORED))
+def ps_mean_calibration(spark, folder):
     """A fitted logistic score has the treated share as its mean (off: 1 if it misses by 1e-6)."""
-    rows = scored_units(line_units(spark, folder), keep).withColumn("x1", F.col("total") / 1e7).withColumn("x2", F.col("size") / 10)
+    rows = scored_units(line_units(spark, folder)).withColumn("x1", F.col("total") / 1e7).withColumn("x2", F.col("size") / 10)
     score, _, _ = fit_propensity(rows, UnitSpec("uid", "t_bulk", ()), numeric=("x1", "x2"), categorical=("o_orderstatus",))
     gap = F.abs(F.avg(score) - F.avg("t_bulk"))
     return rows.agg(F.count("*").alias("n"), F.when(gap < 1e-6, 0).otherwise(1).cast("long").alias("off"))

@@ -1,4 +1,4 @@
-"""Queries ``..._all``: every unit with a defined treatment takes part, not the sample."""
+"""Queries over scored units: every unit with a defined treatment takes part."""
 
 from collections import defaultdict
 
@@ -6,7 +6,8 @@ import numpy as np
 import pytest
 
 from stratamatch import workloads
-from stratamatch.operators.neighbours import nearest_without_replacement
+from stratamatch.operators.neighbours import caliper_rule, candidate_pairs, match_sorted, nearest_without_replacement
+from stratamatch.plans.spec import UnitSpec
 from stratamatch.sources.units import line_units, scored_units
 
 from .oracle import connection
@@ -17,7 +18,7 @@ workloads.load()
 @pytest.fixture(scope="module")
 def scored(spark, small):
     """(uid, treated, ps) of all units, from the SQL."""
-    sql = workloads.SQL["ps_trim"].replace(" AND h < 50", "").replace("SELECT uid, ps FROM scored WHERE ps BETWEEN 100000 AND 900000", "SELECT uid, t_bulk, ps FROM scored")
+    sql = workloads.SQL["ps_trim"].replace("SELECT uid, ps FROM scored WHERE ps BETWEEN 100000 AND 900000", "SELECT uid, t_bulk, ps FROM scored")
     return connection(small).sql(sql).fetchall()
 
 
@@ -37,21 +38,40 @@ def _greedy(edges, k, key):
 
 def test_every_scored_unit_takes_part(spark, small, scored):
     assert scored_units(line_units(spark, small)).count() == len(scored) == 3493
-    assert workloads.QUERIES["nn_candidates_all"](spark, small).count() == len(_edges(scored)) == 7272
+    assert workloads.QUERIES["nn_candidates"](spark, small).count() == len(_edges(scored)) == 7272
 
 
-def test_whole_sql_has_no_sample():
-    names = [n for n in workloads.SQL if n.endswith("_all") and n.removesuffix("_all") in workloads.SQL]
-    assert names and all("h < 50" not in workloads.SQL[n] for n in names)
-    sampled = {n for n in workloads.SQL if "h < 50" in workloads.SQL[n]} - {"sample_units"}
-    assert {f"{n}_all" for n in sampled} <= set(workloads.QUERIES)
+def test_no_query_is_sampled():
+    assert {n for n in workloads.SQL if "h < 50" in workloads.SQL[n]} == {"sample_units"}
+
+
+@pytest.mark.parametrize("k", [1, 3])
+def test_sorted_plans_equal_those_of_all_edges(spark, small, k):
+    rows = scored_units(line_units(spark, small))
+    spec = UnitSpec("uid", "t_bulk", ())
+    edges = candidate_pairs(rows, spec, "ps", 1000)
+    for mode in ("single_pass", "refill", "greedy"):
+        want = {tuple(r) for r in nearest_without_replacement(edges, k, mode).select("t_uid", "c_uid", "distance", "rnk").collect()}
+        assert {tuple(r) for r in match_sorted(rows, spec, "ps", k, 1000, mode).collect()} == want
+
+
+def test_caliper_rule(spark):
+    p = [0.1, 0.25, 0.5, 0.7, 0.9]
+    want = 0.2 * np.std([np.log(x / (1 - x)) for x in p], ddof=1)
+    assert caliper_rule(spark.createDataFrame([(x,) for x in [*p, 0.0, 1.0, None]], "ps double"), "ps") == pytest.approx(want)
+
+
+def test_one_task_scan_as_a_mode(spark, small):
+    edges = candidate_pairs(scored_units(line_units(spark, small)).where("h < 200"), UnitSpec("uid", "t_bulk", ()), "ps", 1000)
+    rounds, scan = ({tuple(r) for r in nearest_without_replacement(edges, 2, mode).collect()} for mode in ("greedy", "greedy_local"))
+    assert rounds == scan
 
 
 def test_vectors_of_all_labels_take_part(spark, small):
     rows = [(r.vec_id, r.label, np.array(r.embedding, dtype=float)) for r in spark.read.parquet(f"{small}/embeddings.parquet").collect()]
     controls = [(i, v) for i, label, v in rows if label <= 4]
     want = {(i, *min((round(float(np.sqrt(((v - w) ** 2).sum())), 6), c) for c, w in controls)) for i, label, v in rows if label > 4}
-    got = {(r.t_uid, r.distance, r.c_uid) for r in workloads.QUERIES["embedding_nn_all"](spark, small).collect()}
+    got = {(r.t_uid, r.distance, r.c_uid) for r in workloads.QUERIES["embedding_nn"](spark, small).collect()}
     assert len(got) == len(want) > 200 and {(t, c) for t, _, c in got} == {(t, c) for t, _, c in want}
     assert dict((t, d) for t, d, _ in got) == pytest.approx(dict((t, d) for t, d, _ in want), abs=2e-6)
 
@@ -59,10 +79,10 @@ def test_vectors_of_all_labels_take_part(spark, small):
 def test_nearest_of_all_without_caliper(spark, small, scored):
     controls = [(u, p) for u, t, p in scored if t == 0]
     want = {(u, *min((abs(p - q), c) for c, q in controls)) for u, t, p in scored if t == 1}
-    assert {(r.t_uid, int(r.distance), r.c_uid) for r in workloads.QUERIES["nnmwr_no_caliper_all"](spark, small).collect()} == want
+    assert {(r.t_uid, int(r.distance), r.c_uid) for r in workloads.QUERIES["nnmwr_no_caliper"](spark, small).collect()} == want
 
 
-@pytest.mark.parametrize("name, k, key", [("nnmnr_greedy_all", 3, lambda e: (e[2], e[0], e[1])), ("nnmnr_greedy_by_score_all", 1, lambda e: (-e[3], e[0], e[2], e[1]))])
+@pytest.mark.parametrize("name, k, key", [("nnmnr_greedy", 3, lambda e: (e[2], e[0], e[1])), ("nnmnr_greedy_by_score", 1, lambda e: (-e[3], e[0], e[2], e[1]))])
 def test_greedy_of_all_equals_the_scan(spark, small, scored, name, k, key):
     got = {(r.t_uid, r.c_uid, r.distance) for r in workloads.QUERIES[name](spark, small).collect()}
     assert got == _greedy(_edges(scored), k, key)
