@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
+from functools import reduce
 from itertools import combinations
-from math import sqrt
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.spec import TreatmentSet, UnitSpec
+from .lattice import base_cuboid, roll_up, strata_of
 from .strata import attach, overlapping, summarize
 
 
@@ -108,14 +109,31 @@ def cem_from_factored(view: DataFrame, treatments: TreatmentSet, group, treatmen
     return cem(view, UnitSpec(treatments.id, treatment, ("supersubclass", *own), treatments.outcomes))
 
 
-def summaries_multi(df: DataFrame, treatments: TreatmentSet, partition, store) -> dict[str, DataFrame]:
-    """Strata with both arms of every treatment, by factoring; ``store`` keeps a group's rows
-    for its treatments (materialize or persist)."""
+def supergroups(group) -> Column:
+    """Whether a supergroup's cell has both arms of at least one treatment of the group."""
+    return reduce(lambda a, b: a | b, ((F.col(f"n1_{t}") > 0) & (F.col(f"n0_{t}") > 0) for t in group))
+
+
+def summaries_multi(df: DataFrame, treatments: TreatmentSet, partition, store, plan: str = "cells") -> dict[str, DataFrame]:
+    """Strata with both arms of every treatment, by factoring; ``store`` keeps what a group's
+    treatments share. Plans: ``cells`` (one aggregate of the rows into the cells of a group's
+    covariates; supergroups without overlap go there, and strata are added up from cells), ``rows``
+    (the factored rows themselves, needed where later questions filter rows)."""
+    if plan not in ("cells", "rows"):
+        raise ValueError(plan)
     out = {}
     for group, _ in partition:
         if len(group) < 2:
             out[group[0]] = overlapping(summarize(df, treatments.spec(group[0])))
-            continue
-        view = store(factor(df, treatments, group))
-        out |= {t: factored_summary(view, treatments, group, t) for t in group}
+        elif plan == "rows":
+            view = store(factor(df, treatments, group))
+            out |= {t: factored_summary(view, treatments, group, t) for t in group}
+        else:
+            dims, shared = list(dict.fromkeys(c for t in group for c in treatments.covariates[t])), list(treatments.shared(group))
+            cells = store(base_cuboid(df, dims, treatments.id, group, treatments.outcomes))
+            kept = attach(cells, roll_up(cells.select(*shared, *(f"n{a}_{t}" for t in group for a in (1, 0))), shared, shared).where(supergroups(group)), shared, {})
+            for t in group:
+                keys = list(treatments.covariates[t])
+                own = [c for c in cells.columns if c in dims or c == f"max_{t}" or c.startswith((f"n1_{t}", f"n0_{t}", f"sum1_{t}_", f"sum0_{t}_"))]
+                out[t] = strata_of(roll_up(kept.select(*own), keys, dims), t, keys, treatments.outcomes)
     return out

@@ -8,9 +8,9 @@ from ..functions.treatments import conjunction
 from ..operators.effects import stratified_effect
 from ..operators.lattice import Lattice, base_cuboid, cube_baseline as cube, strata_of
 from ..operators.multi import cem_from_factored, factor, partition_treatments, phi_matrix as phi, phi_values, summaries_multi
-from ..operators.prepare import answer, answer_online, prepare, refresh
+from ..operators.prepare import answer_online, answers, prepare, refresh, refreshed
 from ..operators.strata import cem, cem_shared, overlapping, summarize
-from ..sources.shared import materialized, shared_folder
+from ..sources.shared import materialized, new_folder
 from ..sources.units import SHARED, TREATMENTS, line_treatments, line_units
 from . import query
 from .effects import REV, scaled
@@ -96,10 +96,26 @@ def _effect_rows(summaries):
 
 @query(_effects_sql())
 def cem_multi_effects(spark, folder):
-    """Five treatments by correlation, grouping and factoring."""
-    u, ts = line_units(spark, folder), line_treatments()
+    """Five treatments by correlation, grouping and factoring: the rows are joined once into a narrow table."""
+    ts = line_treatments()
+    u = materialized(_narrow(line_units(spark, folder), ts), "narrow")
     groups = partition_treatments(phi_values(u, TREATMENTS), ts)
-    return _effect_rows(summaries_multi(u, ts, groups, lambda df: materialized(df, "factored")))
+    return _effect_rows(summaries_multi(u, ts, groups, lambda df: materialized(df, "cells")))
+
+
+@query(_effects_sql())
+def cem_multi_effects_rows(spark, folder):
+    """The same with factored rows instead of cells."""
+    ts = line_treatments()
+    u = materialized(_narrow(line_units(spark, folder), ts), "narrow")
+    groups = partition_treatments(phi_values(u, TREATMENTS), ts)
+    return _effect_rows(summaries_multi(u, ts, groups, lambda df: materialized(df, "factored"), "rows"))
+
+
+def _narrow(units_of, ts):
+    """The columns that matching on these treatments reads."""
+    own = dict.fromkeys((ts.id, *ts.covariates, *(c for x in ts.covariates.values() for c in x), *ts.outcomes))
+    return units_of.select(*own)
 
 
 @query(_effects_sql())
@@ -166,17 +182,15 @@ def lattice_conjunctions(spark, folder):
 
 
 def _prepared(spark, folder, mode="factored"):
-    import uuid
-
-    path = f"{shared_folder(spark)}/prepared-{uuid.uuid4().hex}"
-    prepare(line_units(spark, folder), line_treatments(), path, mode)
+    path = new_folder(spark, "prepared")
+    prepare(materialized(line_units(spark, folder), "units"), line_treatments(), path, mode)
     return path
 
 
 @query(units("SELECT uid, supersubclass FROM factored", _FACTOR))
 def prepared_rows(spark, folder):
     """Factored rows of the first group after preparation."""
-    return spark.read.parquet(f"{_prepared(spark, folder)}/rows-0").select("uid", "supersubclass")
+    return spark.read.parquet(f"{_prepared(spark, folder)}/v1/rows-0").select("uid", "supersubclass")
 
 
 @query(units(_each_sql()))
@@ -192,30 +206,30 @@ def prepared_matched(spark, folder):
 KEY_WHERE, ROW_WHERE = "c_mktsegment = 'BUILDING'", "site = 'ASIA'"
 
 
-def _answers(spark, folder, where, columns):
-    path, out = _prepared(spark, folder), None
-    for t in TREATMENTS:
-        one = scaled(answer(spark, path, t, where, columns), **REV).select(F.lit(t).alias("treatment"), "strata", "n", "ate_y_rev")
-        out = one if out is None else out.unionByName(one)
-    return out
+def _answers(spark, folder, where):
+    return _scaled_answers(answers(spark, _prepared(spark, folder), TREATMENTS, where))
+
+
+def _scaled_answers(df):
+    return scaled(df, **REV).select("treatment", "strata", "n", "ate_y_rev")
 
 
 @query(_effects_sql(KEY_WHERE))
 def subpop_key_predicate(spark, folder):
     """Sub-population by a covariate: answered from cells."""
-    return _answers(spark, folder, KEY_WHERE, ("c_mktsegment",))
+    return _answers(spark, folder, KEY_WHERE)
 
 
 @query(_effects_sql(ROW_WHERE))
 def subpop_row_predicate(spark, folder):
     """Sub-population by another column: factored rows are filtered and grouped again."""
-    return _answers(spark, folder, ROW_WHERE, ("site",))
+    return _answers(spark, folder, ROW_WHERE)
 
 
 @query(_effects_sql("ship_date >= TIMESTAMP '1998-01-01'"))
 def subpop_since(spark, folder):
     """A date bound inside a week is no function of the key: routed to rows."""
-    return _answers(spark, folder, "ship_date >= timestamp_ntz'1998-01-01'", ("ship_date",))
+    return _answers(spark, folder, "ship_date >= timestamp_ntz'1998-01-01'")
 
 
 @query(_effects_sql(ROW_WHERE))
@@ -229,11 +243,37 @@ def subpop_online(spark, folder):
 
 
 @query(units("SELECT p_brand, c_mktsegment, o_orderstatus, count(*) AS n, count(*) FILTER (t_bulk = 1) AS n1_t_bulk, max(uid) AS max_id FROM units GROUP BY p_brand, c_mktsegment, o_orderstatus"))
-def prepared_refresh(spark, folder):
-    """Cells of the first part of the rows, refreshed with the rest."""
+def refreshed_cells(spark, folder):
+    """Cells of the first part of the rows, and those of the rest added."""
     u = line_units(spark, folder)
     cells = base_cuboid(u.where("h < 700"), DIMS, "uid", ("t_bulk",))
-    return refresh(cells, u.where("h >= 700"), DIMS, "uid", ("t_bulk",)).select(*DIMS, "n", "n1_t_bulk", "max_id")
+    return refreshed(cells, u.where("h >= 700"), DIMS, "uid", ("t_bulk",)).select(*DIMS, "n", "n1_t_bulk", "max_id")
+
+
+def _refreshed(spark, folder):
+    """A folder prepared on the first part of the rows and refreshed with the rest."""
+    u, path = materialized(line_units(spark, folder), "units"), new_folder(spark, "prepared")
+    prepare(u.where("h < 700"), line_treatments(), path)
+    refresh(spark, path, u.where("h >= 700"))
+    return path
+
+
+@query(_effects_sql())
+def prepared_refresh(spark, folder):
+    """Effects of all treatments after a refresh, as on rows prepared at once."""
+    return _scaled_answers(answers(spark, _refreshed(spark, folder), TREATMENTS))
+
+
+@query(_effects_sql(ROW_WHERE))
+def prepared_refresh_rows(spark, folder):
+    """A row predicate after a refresh: rows of supergroups that the new rows complete take part."""
+    return _scaled_answers(answers(spark, _refreshed(spark, folder), TREATMENTS, ROW_WHERE))
+
+
+@query(_effects_sql())
+def prepared_effects(spark, folder):
+    """Effects of all treatments from prepared strata."""
+    return _scaled_answers(answers(spark, _prepared(spark, folder), TREATMENTS))
 
 
 @query(units("""SELECT 'factoring' AS step, (SELECT count(*) FROM units) AS rows_in, (SELECT count(*) FROM factored) AS rows_out""", _FACTOR))
