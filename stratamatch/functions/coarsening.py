@@ -42,19 +42,25 @@ def week(column: Column) -> Column:
 
 
 def equal_frequency(df: DataFrame, name: str, k: int) -> list:
-    """k - 1 cut points that split the rows evenly (exact quantiles; one aggregate)."""
-    got = df.agg(F.percentile(name, [i / k for i in range(1, k)])).first()[0] if k > 1 else []
-    return sorted(set(got or []))
+    """k - 1 cut points that split the rows evenly (exact quantiles from distributed ranks). Action."""
+    from ..operators.ranking import exact_quantiles
+
+    got = exact_quantiles(df, name, [i / k for i in range(1, k)])
+    return sorted({x for x in got if x is not None})
 
 
 def histogram_cuts(df: DataFrame, name: str, rule: str = "sturges") -> list[float]:
     """Equal-width cut points whose number follows a histogram rule: sturges, scott or fd."""
-    n, low, high, sd, q = df.agg(F.count(name), F.min(name), F.max(name), F.stddev_samp(name), F.percentile(name, [0.25, 0.75])).first()
+    n, low, high, sd = df.agg(F.count(name), F.min(name), F.max(name), F.stddev_samp(name)).first()
     if not n or low == high:
         return []
     if rule == "sturges":
         k = ceil(log2(n)) + 1
     elif rule in ("scott", "fd"):
+        from ..operators.ranking import exact_quantiles
+
+        if rule == "fd":
+            q = exact_quantiles(df, name, (0.25, 0.75))
         width = 3.49 * sd / n ** (1 / 3) if rule == "scott" else 2 * (q[1] - q[0]) / n ** (1 / 3)
         k = max(1, ceil((high - low) / width)) if width > 0 else 1
     else:

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..plans.spec import UnitSpec, checked_treatment
 from .effects import difference
+from .ranking import exact_quantiles
 from .strata import arm, attach
 
 
@@ -51,11 +52,11 @@ def moments(df: DataFrame, spec: UnitSpec, x: str) -> DataFrame:
 
 
 def quantiles(df: DataFrame, spec: UnitSpec, x: str, points) -> DataFrame:
-    """Exact quantiles of both arms and their differences: one row for each point."""
-    q = F.percentile
-    row = checked_treatment(df, spec).agg(*(q(arm(spec.treatment, a, x), list(points)).alias(f"q{a}") for a in (1, 0)))
-    at = F.posexplode(F.arrays_zip("q1", "q0", F.array(*(F.lit(float(p)) for p in points)).alias("p"))).alias("i", "z")
-    return row.select(at).select(F.col("z.p").alias("point"), F.col("z.q1").alias("treated"), F.col("z.q0").alias("control"), (F.col("z.q1") - F.col("z.q0")).alias("difference"))
+    """Exact quantiles of both arms and their differences: one row for each point. Action."""
+    rows = checked_treatment(df, spec).select(spec.treatment, x)
+    arms = [exact_quantiles(rows.where(F.col(spec.treatment) == a), x, points) for a in (1, 0)]
+    table = [(float(p), *(None if v is None else float(v) for v in pair), None if None in pair else float(pair[0] - pair[1])) for p, *pair in zip(points, *arms)]
+    return df.sparkSession.createDataFrame(table, "point double, treated double, control double, difference double")
 
 
 def l1_histogram(df: DataFrame, spec: UnitSpec) -> DataFrame:

@@ -80,12 +80,10 @@ def planted_units(units: DataFrame, kind: str) -> DataFrame:
     return units.where("t_bulk is not null").where(kept).withColumn("y", y)
 
 
-def scored_units(units: DataFrame, keep_per_1000: int | None = None, treatment: str = "t_bulk") -> DataFrame:
-    """Units, all or a sample, with a fixed logistic score in whole micro-units ``ps``."""
+def scored_units(units: DataFrame, treatment: str = "t_bulk") -> DataFrame:
+    """Units with a defined treatment and a fixed logistic score in whole micro-units ``ps``."""
     z = -3 + 5 * F.col("total") / 100 / 500000 + 1.0 * F.col("size") / 50 - F.col("acct") / 100 / 10000
-    rows = units.where(F.col(treatment).isNotNull())
-    rows = rows if keep_per_1000 is None else hash_sample(rows, keep_per_1000)
-    return rows.withColumn("ps", F.round(1e6 / (1 + F.exp(-z))).cast("long"))
+    return units.where(F.col(treatment).isNotNull()).withColumn("ps", F.round(1e6 / (1 + F.exp(-z))).cast("long"))
 
 
 def trips_and_readings(spark: SparkSession, folder: str):

@@ -4,17 +4,18 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from ..operators.balance import match_rates as rates
-from ..operators.neighbours import candidate_pairs, nearest_with_replacement, nearest_without_replacement
+from ..operators.balance import awmd, awmd_pairs, match_rates as rates
+from ..operators.neighbours import match_sorted, nearest_sorted
 from ..operators.pushdown import cem_pushed, joined, ordered, pushdown_report as report
-from ..operators.propensity import trim
+from ..operators.propensity import fit_propensity, trim
 from ..operators.strata import cem, overlapping, summarize
 from ..operators.subclass import subclassify
 from ..plans.spec import Hop, UnitSpec
 from ..sources.catalog import table
+from ..sources.shared import materialized
 from ..sources.units import keyed_lines, line_spec, line_units, scored_units
 from . import query
-from .effects import EM, QUANTILES, _subclasses
+from .effects import EM, QUANTILES
 from .oracle import COARSE, EDGES, EXACT, LINES, PAIRS, SCORED, strata, units
 
 CHAIN = f"""WITH {LINES}, chain AS (SELECT l_orderkey * 1000 + seq AS uid, CASE WHEN p_size > 45 THEN 1 ELSE 0 END AS t, p_partkey, p_brand, p_type, CAST(floor(p_retailprice / 20) AS INTEGER) AS cx_retail, o_orderstatus, c_mktsegment
@@ -79,98 +80,83 @@ def pushdown_report(spark, folder):
     return report(chain(spark, folder), CHAIN_SPEC, "p_partkey")
 
 
-_EDGES = EDGES.format(caliper=1000)
-_WITH = f"pairs AS ({PAIRS['with_replacement'].format(k=1)})"
+MEASURED = {"total": 100, "retail": 100, "acct": 100, "size": 1}
+METHODS = ("raw", "nn_with_replacement", "nn_without_replacement", "subclass", "exact", "coarsened")
 
 
-def _sizes(spark, folder):
-    """(method, n1, n0) of four methods, and the units they choose from."""
-    base = line_units(spark, folder)
-    rows = scored_units(base)
-    pairs = nearest_with_replacement(candidate_pairs(rows, UnitSpec("uid", "t_bulk", ()), "ps", 1000), 1)
-    out = pairs.agg(F.lit("nn_with_replacement").alias("method"), F.count_distinct("t_uid").alias("n1"), F.count_distinct("c_uid").alias("n0"))
-    sub = _subclasses(spark, folder).agg(F.lit("subclass").alias("method"), F.count_if(F.col("t_bulk") == 1).alias("n1"), F.count_if(F.col("t_bulk") == 0).alias("n0"))
-    out = out.unionByName(sub)
-    for name, keys in (("exact", EM), ("coarsened", line_spec().covariates)):
-        s = overlapping(summarize(rows, UnitSpec("uid", "t_bulk", keys)))
-        out = out.unionByName(s.agg(F.lit(name).alias("method"), F.coalesce(F.sum("n1"), F.lit(0)).alias("n1"), F.coalesce(F.sum("n0"), F.lit(0)).alias("n0")))
-    return out, rows
+def _methods(rows, treatment, caliper=1000, low=100_000, high=900_000):
+    """(method, n1, n0, awmd of each measured covariate) of six methods for units with the score ``ps``."""
+    columns = dict.fromkeys(("uid", treatment, "ps", *MEASURED, *EM, *line_spec().covariates))
+    rows = materialized(rows.select(*columns), "scored")
+    spec = lambda *keys: UnitSpec("uid", treatment, keys, (), tuple(MEASURED))
+    plain = UnitSpec("uid", treatment, ())
+    classes = subclassify(trim(rows, "ps", low, high), plain, "ps", 5, "ranked").withColumnRenamed("subclass", "class")
+    found = {}
+    for name, pairs in (("nn_with_replacement", nearest_sorted(rows, plain, "ps", 1, caliper)), ("nn_without_replacement", match_sorted(rows, plain, "ps", 1, caliper, "refill"))):
+        pairs = materialized(pairs, "pairs")
+        found[name] = pairs.agg(F.count_distinct("t_uid").alias("n1"), F.count_distinct("c_uid").alias("n0")), awmd_pairs(pairs, rows, "uid", tuple(MEASURED))
+    for name, units_of, keys in (("raw", rows, ()), ("subclass", classes, ("class",)), ("exact", rows, EM), ("coarsened", rows, line_spec().covariates)):
+        s = overlapping(summarize(units_of, spec(*keys)))
+        found[name] = s.agg(F.coalesce(F.sum("n1"), F.lit(0)).alias("n1"), F.coalesce(F.sum("n0"), F.lit(0)).alias("n0")), awmd(s, tuple(MEASURED))
+    out = None
+    for name in METHODS:
+        sizes, gaps = found[name]
+        one = sizes.crossJoin(F.broadcast(gaps)).select(F.lit(name).alias("method"), "n1", "n0", *(F.round(F.col(f"awmd_{x}") / scale, 4).alias(f"awmd_{x}") for x, scale in MEASURED.items()))  # one row each
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
-_SIZES = (SCORED, _EDGES, _WITH, QUANTILES.format(n=5, score="ps"), strata(keys=EXACT, source="scored", values=(), name="em"), strata(source="scored", values=(), name="co"),
-    """sizes AS (SELECT 'nn_with_replacement' AS method, count(DISTINCT t_uid) AS n1, count(DISTINCT c_uid) AS n0 FROM pairs
-UNION ALL SELECT 'subclass', count(*) FILTER (t_bulk = 1), count(*) FILTER (t_bulk = 0) FROM trimmed JOIN kept USING (quantile)
-UNION ALL SELECT 'exact', CAST(coalesce(sum(n1), 0) AS BIGINT), CAST(coalesce(sum(n0), 0) AS BIGINT) FROM em UNION ALL SELECT 'coarsened', CAST(coalesce(sum(n1), 0) AS BIGINT), CAST(coalesce(sum(n0), 0) AS BIGINT) FROM co)""")
+def _methods_sql(treatment, rest="SELECT * FROM methods"):
+    own = lambda sql: sql.replace("t_bulk", treatment)
+    gap = ", ".join(f"round(abs(avg(t.{x}) - avg(c.{x})) / {scale}, 4) AS awmd_{x}" for x, scale in MEASURED.items())
+    parts = [f"SELECT '{name}' AS method, count(DISTINCT t_uid) AS n1, count(DISTINCT c_uid) AS n0, {gap} FROM {pairs} JOIN scored t ON t.uid = t_uid JOIN scored c ON c.uid = c_uid" for name, pairs in (("nn_with_replacement", "wr"), ("nn_without_replacement", "nr"))]
+    gap = ", ".join(f"round(sum(n * abs(CAST(sum1_{x} AS DOUBLE) / n1 - CAST(sum0_{x} AS DOUBLE) / n0)) / CAST(sum(n) AS DOUBLE) / {scale}, 4) AS awmd_{x}" for x, scale in MEASURED.items())
+    tables = {"raw": ("k", "(SELECT *, 1 AS k FROM scored)"), "subclass": ("subclass", "(SELECT * FROM trimmed JOIN kept USING (quantile))"), "exact": (EXACT, "scored"), "coarsened": (COARSE, "scored")}
+    parts += [f"SELECT '{name}', CAST(coalesce(sum(n1), 0) AS BIGINT), CAST(coalesce(sum(n0), 0) AS BIGINT), {gap} FROM s_{name}" for name in tables]
+    groups = [strata(treatment, keys, source, tuple(MEASURED), f"s_{name}").replace(", max(uid) AS subclass", "") for name, (keys, source) in tables.items()]
+    return units(rest, own(SCORED), own(EDGES.format(caliper=1000)), f"wr AS ({PAIRS['with_replacement'].format(k=1)})", f"nr AS ({PAIRS['refill'].format(k=1)})", own(QUANTILES.format(n=5, score="ps")), *groups, "methods AS (" + "\nUNION ALL ".join(parts) + ")")
 
 
-@query(units("SELECT method, n1, n0 FROM sizes", *_SIZES))
-def match_sizes(spark, folder):
-    return _sizes(spark, folder)[0]
+def _bulk(spark, folder):
+    return _methods(scored_units(line_units(spark, folder)), "t_bulk")
 
 
-@query(units("SELECT method, round(CAST(n1 AS DOUBLE) / (SELECT count(*) FROM scored WHERE t_bulk = 1), 9) AS treated_share, round(CAST(n0 AS DOUBLE) / nullif(n1, 0), 9) AS controls_per_treated FROM sizes", *_SIZES))
-def match_rates(spark, folder):
-    out, rows = _sizes(spark, folder)
-    whole = rows.agg(F.count_if(F.col("t_bulk") == 1).alias("treated"))
-    out = out.crossJoin(F.broadcast(whole)).select("method", *rates("n1", "n0", "treated"))  # one row
-    return out.select("method", *(F.round(c, 9).alias(c) for c in ("treated_share", "controls_per_treated")))
-
+@query(_methods_sql("t_bulk"))
+def method_comparison(spark, folder):
+    """Matched sizes and imbalance of all measured covariates by six methods."""
+    return _bulk(spark, folder)
 
 
-@query(units("""SELECT 'raw' AS method, round(abs(avg(total) FILTER (t_bulk = 1) - avg(total) FILTER (t_bulk = 0)) / 100, 4) AS awmd_total FROM scored
-UNION ALL SELECT 'nn_with_replacement', round(abs(avg(t.total) - avg(c.total)) / 100, 4) FROM pairs JOIN scored t ON t.uid = t_uid JOIN scored c ON c.uid = c_uid
-UNION ALL SELECT 'subclass', round(sum(n * abs(CAST(sum1_total AS DOUBLE) / n1 - CAST(sum0_total AS DOUBLE) / n0)) / CAST(sum(n) AS DOUBLE) / 100, 4) FROM sc
-UNION ALL SELECT 'coarsened', round(sum(n * abs(CAST(sum1_total AS DOUBLE) / n1 - CAST(sum0_total AS DOUBLE) / n0)) / CAST(sum(n) AS DOUBLE) / 100, 4) FROM co""",
-    SCORED, _EDGES, _WITH, QUANTILES.format(n=5, score="ps"), strata(keys="subclass", source="(SELECT * FROM trimmed JOIN kept USING (quantile))", values=("total",), name="sc").replace(", max(uid) AS subclass", ""),
-    strata(keys="cx_total", source="scored", values=("total",), name="co")))
-def method_comparison(spark, folder):
-    """Imbalance of the order's price under raw, nearest neighbour, subclasses and coarsening by it."""
-    from ..operators.balance import awmd, awmd_pairs
-
-    rows = scored_units(line_units(spark, folder))
-    pairs = nearest_with_replacement(candidate_pairs(rows, UnitSpec("uid", "t_bulk", ()), "ps", 1000), 1)
-    raw = awmd(summarize(rows, UnitSpec("uid", "t_bulk", (), (), ("total",))), ("total",))
-    sub = awmd(summarize(_subclasses(spark, folder).withColumnRenamed("subclass", "class"), UnitSpec("uid", "t_bulk", ("class",), (), ("total",))), ("total",))
-    coarse = awmd(overlapping(summarize(rows, UnitSpec("uid", "t_bulk", ("cx_total",), (), ("total",)))), ("total",))
-    out = None
-    for name, one in (("raw", raw), ("nn_with_replacement", awmd_pairs(pairs, rows, "uid", ("total",))), ("subclass", sub), ("coarsened", coarse)):
-        one = one.select(F.lit(name).alias("method"), F.round(F.col("awmd_total") / 100, 4).alias("awmd_total"))
-        out = one if out is None else out.unionByName(one)
-    return out
+@query(_methods_sql("t_rare"))
+def method_comparison_rare(spark, folder):
+    """The same for the rare treatment."""
+    return _methods(scored_units(line_units(spark, folder), "t_rare"), "t_rare")
 
 
-def _rare(sql):
-    """SQL of scored units for the rare treatment, on every unit."""
-    return sql.replace(" AND h < 50", "").replace("scored", "rare").replace("t_bulk", "t_rare")
+@query()
+def method_comparison_fitted(spark, folder):
+    """The same for the rare treatment with a score fitted on the covariates (logistic regression)."""
+    return _methods(fitted_units(line_units(spark, folder), "t_rare"), "t_rare")
 
 
-_PAIR_ROW = "SELECT '{name}' AS method, count(DISTINCT t_uid) AS n1, count(DISTINCT c_uid) AS n0, round(abs(avg(t.total) - avg(c.total)) / 100, 4) AS awmd_total FROM {pairs} JOIN rare t ON t.uid = t_uid JOIN rare c ON c.uid = c_uid"
-_STRATA_ROW = "SELECT '{name}', CAST(coalesce(sum(n1), 0) AS BIGINT), CAST(coalesce(sum(n0), 0) AS BIGINT), round(sum(n * abs(CAST(sum1_total AS DOUBLE) / n1 - CAST(sum0_total AS DOUBLE) / n0)) / CAST(sum(n) AS DOUBLE) / 100, 4) FROM {strata}"
+def fitted_units(base, treatment):
+    """Units with a defined treatment and their fitted score in whole micro-units."""
+    rows = base.where(F.col(treatment).isNotNull())
+    for x, scale in (("total", 5e7), ("acct", 1e6), ("retail", 1e5), ("size", 50)):
+        rows = rows.withColumn(f"x_{x}", F.col(x) / scale)
+    rows = materialized(rows, "units")
+    score, _, _ = fit_propensity(rows, UnitSpec("uid", treatment, ()), numeric=("x_total", "x_acct", "x_retail", "x_size"), categorical=("o_orderstatus", "c_mktsegment"))
+    return rows.withColumn("ps", F.round(1e6 * score).cast("long"))
 
 
-def _rare_strata(name, keys, source="rare"):
-    return strata("t_rare", keys, source, ("total",), name).replace(", max(uid) AS subclass", "")
+@query(_methods_sql("t_bulk", "SELECT method, n1, n0 FROM methods WHERE method <> 'raw'"))
+def match_sizes(spark, folder):
+    return _bulk(spark, folder).where("method != 'raw'").select("method", "n1", "n0")
 
 
-@query(units("\nUNION ALL ".join([_PAIR_ROW.format(name="nn_with_replacement", pairs="wr"), _PAIR_ROW.format(name="nn_without_replacement", pairs="nr"), *(_STRATA_ROW.format(name=n, strata=s) for n, s in (("raw", "ra"), ("subclass", "sc"), ("exact", "em"), ("coarsened", "co")))]),
-    _rare(SCORED), _rare(_EDGES), f"wr AS ({PAIRS['with_replacement'].format(k=1)})", f"nr AS ({PAIRS['refill'].format(k=1)})", _rare(QUANTILES.format(n=5, score="ps")), "one AS (SELECT *, 1 AS k FROM rare)",
-    _rare_strata("ra", "k", "one"), _rare_strata("sc", "subclass", "(SELECT * FROM trimmed JOIN kept USING (quantile))"), _rare_strata("em", EXACT), _rare_strata("co", COARSE)))
-def method_comparison_rare(spark, folder):
-    """Size and imbalance of the order's price for the rare treatment, every unit, by six methods."""
-    from ..operators.balance import awmd, awmd_pairs
-
-    rows = scored_units(line_units(spark, folder), treatment="t_rare")
-    spec = lambda *keys: UnitSpec("uid", "t_rare", keys, (), ("total",))
-    candidates = candidate_pairs(rows, UnitSpec("uid", "t_rare", ()), "ps", 1000)
-    classes = subclassify(trim(rows, "ps", 100_000, 900_000), UnitSpec("uid", "t_rare", ()), "ps", 5, "ranked").withColumnRenamed("subclass", "class")
-    out = []
-    for name, pairs in (("nn_with_replacement", nearest_with_replacement(candidates, 1)), ("nn_without_replacement", nearest_without_replacement(candidates, 1, "refill"))):
-        out.append((name, pairs.agg(F.count_distinct("t_uid").alias("n1"), F.count_distinct("c_uid").alias("n0")), awmd_pairs(pairs, rows, "uid", ("total",))))
-    for name, units_of, keys in (("raw", rows, ()), ("subclass", classes, ("class",)), ("exact", rows, EM), ("coarsened", rows, line_spec().covariates)):
-        s = overlapping(summarize(units_of, spec(*keys)))
-        out.append((name, s.agg(F.coalesce(F.sum("n1"), F.lit(0)).alias("n1"), F.coalesce(F.sum("n0"), F.lit(0)).alias("n0")), awmd(s, ("total",))))
-    table_of = None
-    for name, sizes, gap in out:
-        one = sizes.crossJoin(F.broadcast(gap)).select(F.lit(name).alias("method"), "n1", "n0", F.round(F.col("awmd_total") / 100, 4).alias("awmd_total"))  # one row each
-        table_of = one if table_of is None else table_of.unionByName(one)
-    return table_of
+@query(_methods_sql("t_bulk", "SELECT method, round(CAST(n1 AS DOUBLE) / (SELECT count(*) FROM scored WHERE t_bulk = 1), 9) AS treated_share, round(CAST(n0 AS DOUBLE) / nullif(n1, 0), 9) AS controls_per_treated FROM methods WHERE method <> 'raw'"))
+def match_rates(spark, folder):
+    out = _bulk(spark, folder)
+    whole = F.broadcast(out.where("method = 'raw'").select(F.col("n1").alias("treated")))  # one row
+    out = out.where("method != 'raw'").crossJoin(whole).select("method", *rates("n1", "n0", "treated"))
+    return out.select("method", *(F.round(c, 9).alias(c) for c in ("treated_share", "controls_per_treated")))

@@ -181,3 +181,27 @@ def sliding_traffic(spark, folder):
 def session_units(spark, folder):
     _, _, events = trips_and_readings(spark, folder)
     return _epochs(sessions(events, ["user_id"]), "user_id").select("start", "user_id", "n")
+
+
+@query(units("SELECT t.site, p.uid, p.total FROM (SELECT DISTINCT site FROM units) t, LATERAL (SELECT uid, total FROM units u WHERE u.site = t.site AND u.t_bulk = 1 ORDER BY total DESC, uid LIMIT 3) p"))
+def lateral_top_treated(spark, folder):
+    """A lateral join: the three treated units of the highest price of each site."""
+    u = line_units(spark, folder).select("site", "uid", "total", "t_bulk")
+    sites = u.select("site").distinct().alias("t")
+    best = u.alias("u").where(F.col("u.site") == F.col("t.site").outer()).where("u.t_bulk = 1").orderBy(F.desc("u.total"), "u.uid").limit(3)
+    return sites.lateralJoin(best.select("u.uid", "u.total")).select("t.site", "uid", "total")
+
+
+@query(units("SELECT p_type, true AS near FROM units GROUP BY p_type"))
+def approximate_strata(spark, folder):
+    """Distinct strata by a sketch, within a tenth of the exact number."""
+    rows = line_units(spark, folder).select("p_type", F.struct("p_brand", "c_mktsegment", "o_orderstatus").alias("k"))
+    out = rows.groupBy("p_type").agg(F.approx_count_distinct("k", 0.02).alias("a"), F.count_distinct("k").alias("n"))
+    return out.select("p_type", (F.abs(F.col("a") - F.col("n")) <= F.greatest(F.col("n") / 10, F.lit(2))).alias("near"))
+
+
+@query(units("SELECT DISTINCT p_brand, p_type FROM units WHERE t_bulk = 1 INTERSECT SELECT DISTINCT p_brand, p_type FROM units WHERE t_bulk = 0"))
+def overlapping_keys(spark, folder):
+    """Keys that both arms have, by a set operation."""
+    u = line_units(spark, folder)
+    return u.where("t_bulk = 1").select("p_brand", "p_type").intersect(u.where("t_bulk = 0").select("p_brand", "p_type"))

@@ -153,32 +153,50 @@ def cem_lattice(spark, folder):
     return strata_of(_lattice(spark, folder).cuboid(("p_brand", "c_mktsegment")), "t_bulk", ("p_brand", "c_mktsegment"))
 
 
-_CONJ = {"t_bulk": "t_bulk", "t_disc": "t_disc", "t_urgent": "t_urgent"}
+_CONJ = ("t_bulk", "t_disc", "t_urgent")
 
 
-def _conj_sql():
+def _conjunctions():
+    """(parts, covariates): a conjunction is matched on the union of its parts' covariates."""
     from ..functions.treatments import enumerate_treatments
 
+    own = line_treatments().covariates
+    return [(c, tuple(dict.fromkeys(x for t in c for x in own[t]))) for c in enumerate_treatments(_CONJ)]
+
+
+def _conj_sql():
     out = []
-    for c in enumerate_treatments(tuple(_CONJ)):
+    for c, keys in _conjunctions():
         one, zero = " AND ".join(f"{x} = 1" for x in c), " OR ".join(f"{x} = 0" for x in c)
-        out.append(f"SELECT '{','.join(c)}' AS treatment, count(*) AS strata, CAST(sum(n1) AS BIGINT) AS n1, CAST(sum(n0) AS BIGINT) AS n0 FROM (SELECT count(*) FILTER ({one}) AS n1, count(*) FILTER (({zero})) AS n0 FROM units GROUP BY p_brand, p_type, cx_week) WHERE n1 > 0 AND n0 > 0")
+        arms = "".join(f", CAST(sum(y_rev) FILTER ({w}) AS DOUBLE) AS s{a}, count(*) FILTER ({w}) AS n{a}" for a, w in ((1, f"({one})"), (0, f"({zero}) AND NOT coalesce({one}, false)")))
+        out.append(f"SELECT '{','.join(c)}' AS treatment, '{','.join(keys)}' AS covariates, count(*) AS strata, CAST(coalesce(sum(n1), 0) AS BIGINT) AS n1, CAST(coalesce(sum(n0), 0) AS BIGINT) AS n0, round(sum((n1 + n0) * (s1 / n1 - s0 / n0)) / CAST(sum(n1 + n0) AS DOUBLE) / 10000, 6) AS ate_y_rev FROM (SELECT {', '.join(keys)}{arms} FROM units GROUP BY {', '.join(keys)}) WHERE n1 > 0 AND n0 > 0")
     return units("\nUNION ALL\n".join(out))
 
 
-@query(_conj_sql())
-def lattice_conjunctions(spark, folder):
-    """All conjunctions of three treatments from one base cuboid that has the treatments' bits as dimensions."""
-    from ..functions.treatments import enumerate_treatments
-
-    base = materialized(line_units(spark, folder).groupBy("p_brand", "p_type", "cx_week", *_CONJ).agg(F.count("*").alias("n")), "bits")
+def conjunction_effects(units_of, names, conjunctions, outcome="y_rev"):
+    """Effect of every conjunction of treatments on the union of its parts' covariates, from one
+    base cuboid whose dimensions are all covariates and the treatments' values; cuboids of fewer
+    dimensions come from their smallest ancestor."""
+    covariates = list(dict.fromkeys(x for _, keys in conjunctions for x in keys))
+    dims = (*covariates, *names)
+    base = units_of.groupBy(*dims).agg(F.count("*").alias("n"), F.sum(outcome).alias("y"))
+    lattice = Lattice(base, dims, lambda df: materialized(df, "cuboid"))
+    lattice.build([(*keys, *c) for c, keys in conjunctions])
     out = None
-    for c in enumerate_treatments(tuple(_CONJ)):
-        t = conjunction(*c)
-        cells = base.withColumn("t", t).groupBy("p_brand", "p_type", "cx_week").agg(F.sum(F.when(F.col("t") == 1, F.col("n")).otherwise(0)).alias("n1"), F.sum(F.when(F.col("t") == 0, F.col("n")).otherwise(0)).alias("n0"))
-        one = cells.where("n1 > 0 and n0 > 0").agg(F.lit(",".join(c)).alias("treatment"), F.count("*").alias("strata"), F.sum("n1").alias("n1"), F.sum("n0").alias("n0"))
+    for c, keys in conjunctions:
+        cells = lattice.cuboid((*keys, *c)).withColumn("t", conjunction(*c))
+        arm = lambda a, v: F.sum(F.when(F.col("t") == a, F.col(v)))
+        both = cells.groupBy(*keys).agg(*(F.coalesce(arm(a, "n"), F.lit(0)).alias(f"n{a}") for a in (1, 0)), *(arm(a, "y").alias(f"sum{a}_y") for a in (1, 0)))
+        one = stratified_effect(both.where("n1 > 0 and n0 > 0").withColumn("n", F.col("n1") + F.col("n0")), ("y",))
+        one = one.select(F.lit(",".join(c)).alias("treatment"), F.lit(",".join(keys)).alias("covariates"), "strata", "n1", "n0", F.round(F.col("ate_y") / 10000, 6).alias("ate_y_rev"))
         out = one if out is None else out.unionByName(one)
-    return out.select("treatment", "strata", "n1", "n0")
+    return out
+
+
+@query(_conj_sql())
+def lattice_conjunctions(spark, folder):
+    """All conjunctions of three treatments, each on the union of its parts' covariates."""
+    return conjunction_effects(line_units(spark, folder), _CONJ, _conjunctions())
 
 
 def _prepared(spark, folder, mode="factored"):

@@ -273,6 +273,58 @@ def test_whitening_gives_mahalanobis(spark):
     assert direct == pytest.approx(sum((p - q) ** 2 for p, q in zip(w[1.0, 2.0], w[4.0, 3.0])))
 
 
+@pytest.mark.parametrize("n", [0, 1, 2, 501])
+def test_exact_quantiles_from_ranks(spark, n):
+    import numpy as np
+
+    from stratamatch.operators.ranking import exact_quantiles
+
+    values = [int(x) for x in np.random.default_rng(n).integers(0, 40, size=n)]  # many ties
+    got = exact_quantiles(spark.createDataFrame([(v,) for v in [*values, None]], "v int"), "v", (0, 0.1, 0.5, 0.77, 1))
+    assert got == [None] * 5 if not n else got == pytest.approx(np.quantile(values, (0, 0.1, 0.5, 0.77, 1)).tolist())
+
+
+def test_pruning_estimate_from_some_strata(spark, small):
+    from stratamatch.operators.pushdown import estimated_pruning
+    from stratamatch.sources.units import line_spec, line_units
+
+    u, spec = line_units(spark, small), line_spec(covariates=("p_brand", "p_type", "cx_total"))
+    assert abs(estimated_pruning(u, spec, 4) - estimated_pruning(u, spec, 1)) < 0.1
+    one = line_spec(covariates=("p_type",))
+    assert estimated_pruning(u, one, 1000) == estimated_pruning(u, one, 1) == 0.0
+
+
+def test_mahalanobis_within_a_score_caliper_ends(spark):
+    from stratamatch.operators.neighbours import nearest_mahalanobis
+
+    rows = [(i, int(i < 5), float(i % 7), float(i * i % 11), float(100 * (i < 3))) for i in range(40)]
+    df = spark.createDataFrame(rows, "uid long, t int, a double, b double, s double")
+    got = {r.t_uid for r in nearest_mahalanobis(df, SPEC, ("a", "b"), score="s", score_caliper=1.0).collect()}
+    assert got == {3, 4}  # units 0 to 2 have no control of a near score
+
+
+def test_refresh_completes_dropped_supergroups(spark, tmp_path):
+    """Both arms of a supergroup arrive in different parts; a row predicate and a covariate's are answered as from all rows."""
+    import random
+
+    from stratamatch.operators.prepare import answer, answer_online, load_manifest, prepare, refresh
+
+    r = random.Random(4)
+    rows = [(i, r.choice((0, 1, None)), r.choice((0, 1)), r.randrange(4), r.randrange(5), r.randrange(3), r.randrange(100)) for i in range(300)]
+    df = spark.createDataFrame(rows, "uid long, t int, u int, x int, z int, w int, y long")
+    ts = TreatmentSet("uid", {"t": ("x", "z"), "u": ("x", "z")}, ("y",))
+    first = df.where("(t = 1 or t is null) and u = 1 or uid % 7 = 0")
+    path = f"file://{tmp_path}/prepared"
+    prepare(first, ts, path)
+    refresh(spark, path, df.exceptAll(first).where("uid < 200"))
+    refresh(spark, path, df.exceptAll(first).where("uid >= 200"))
+    assert load_manifest(spark, path)["version"] == 3
+    for treatment in ("t", "u"):
+        for where in (None, "x > 1", "w = 1", "x > 0 and w < 2"):
+            want, got = (d.first() for d in (answer_online(df, ts, treatment, where), answer(spark, path, treatment, where)))
+            assert (got["strata"], got["n"], got["n1"]) == (want["strata"], want["n"], want["n1"]) and got["ate_y"] == pytest.approx(want["ate_y"])
+
+
 def test_pushdown_choice(spark, small):
     from stratamatch.workloads.matching import CHAIN_SPEC, chain
 
