@@ -80,6 +80,33 @@ def pushdown_report(spark, folder):
     return report(chain(spark, folder), CHAIN_SPEC, "p_partkey")
 
 
+_DAYS = f"""WITH {LINES}, o AS (SELECT l_orderkey * 1000 + seq AS uid, CASE WHEN o_orderpriority = '1-URGENT' THEN 1 ELSE 0 END AS t, o_orderstatus, CAST(o_orderdate AS DATE) AS cx_day, CAST(floor(o_totalprice / 50000) AS INTEGER) AS cx_total, p_brand
+FROM lines JOIN orders ON l_orderkey = o_orderkey JOIN part ON l_partkey = p_partkey)
+SELECT uid, t, max(uid) OVER w AS subclass FROM o WINDOW w AS (PARTITION BY o_orderstatus, cx_day, cx_total, p_brand) QUALIFY min(t) OVER w <> max(t) OVER w"""
+DAY_SPEC = UnitSpec("uid", "t", ("o_orderstatus", "cx_day", "cx_total", "p_brand"))
+
+
+def order_chain(spark, folder):
+    """orders (holds the treatment; fine strata by day, most without overlap) - lineitem - part."""
+    orders = table(spark, folder, "orders").select("o_orderkey", F.expr("cast(o_orderpriority = '1-URGENT' as int)").alias("t"), "o_orderstatus", F.col("o_orderdate").cast("date").alias("cx_day"), F.floor(F.col("o_totalprice") / 50000).cast("int").alias("cx_total"))
+    return [
+        Hop("orders", orders, (), ("o_orderstatus", "cx_day", "cx_total")), Hop("lineitem", keyed_lines(spark, folder).select("uid", "l_orderkey", "l_partkey"), (("o_orderkey", "l_orderkey"),)),
+        Hop("part", table(spark, folder, "part").select("p_partkey", "p_brand"), (("l_partkey", "p_partkey"),), ("p_brand",)),
+    ]
+
+
+@query(_DAYS)
+def pushdown_days_integrated(spark, folder):
+    """Baseline of the next: join everything, then match."""
+    return cem(joined(order_chain(spark, folder)), DAY_SPEC).select("uid", "t", "subclass")
+
+
+@query(_DAYS)
+def pushdown_days(spark, folder):
+    """A second treatment and chain, where matching the first relation drops most of its rows."""
+    return cem_pushed(order_chain(spark, folder), DAY_SPEC, "o_orderkey").select("uid", "t", "subclass")
+
+
 MEASURED = {"total": 100, "retail": 100, "acct": 100, "size": 1}
 METHODS = ("raw", "nn_with_replacement", "nn_without_replacement", "subclass", "exact", "coarsened")
 
