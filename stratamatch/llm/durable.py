@@ -2,53 +2,14 @@
 
 from __future__ import annotations
 
-import atexit
-import re
-import tempfile
-import uuid
-from functools import lru_cache
+from pyspark.sql import DataFrame
 
-from pyspark.sql import DataFrame, SparkSession
+from ..sources.shared import materialized, new_folder
 
+__all__ = ["new_folder", "slices", "stored"]
 
-def shared_folder(spark: SparkSession) -> str:
-    """Folder of spark.checkpoint.dir; where it is unset (tests), a temporary one."""
-    folder = spark.conf.get("spark.checkpoint.dir", None)
-    if folder:
-        return folder.rstrip("/")
-    # Only a local session lacks the setting; a cluster names its folder.
-    if not re.match(r"local(\[|$)", spark.sparkContext.master):
-        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-    return _own_folder(spark.sparkContext.applicationId)
-
-
-@lru_cache(None)
-def _own_folder(application: str) -> str:
-    return "file://" + tempfile.mkdtemp(prefix=f"stratamatch-{application}-")
-
-
-def new_folder(spark: SparkSession, name: str) -> str:
-    """A fresh path in the shared folder, removed when the driver ends."""
-    path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
-    atexit.register(_remove, spark, path)
-    return path
-
-
-def stored(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` once and read it back: later uses do not compute it again."""
-    spark = df.sparkSession
-    path = new_folder(spark, name)
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def _remove(spark: SparkSession, path: str) -> None:
-    try:
-        jvm = spark.sparkContext._jvm
-        target = jvm.org.apache.hadoop.fs.Path(path)
-        target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
-    except Exception:  # noqa: BLE001  the session has ended before; the folder's owner cleans it
-        pass
+#: Write a table once and read it back: later uses do not compute it again.
+stored = materialized
 
 
 def slices(df: DataFrame) -> int:

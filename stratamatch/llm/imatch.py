@@ -5,9 +5,7 @@ more than ``1 / commonest`` of the documents is left out (at most ``commonest``
 the distinct terms of a mean document are so common, which bounds what is broadcast;
 the size is checked), and there is no upper end. The lexicon falls into random subsets
 of densities 1/16, 1/32, ...: eight of each. A document's distinct terms in a subset
-are hashed together; the exclusive or of term hashes stands for hashing them in sorted
-order, as it too depends on the set alone, and lets partial aggregation collapse a
-document before its shuffle. A fingerprint is the list of subset hashes (blank: no
+are sorted and hashed together. A fingerprint is the list of subset hashes (blank: no
 term there). Short documents speak through dense subsets, long ones through sparse ones.
 
 Likeness is the share of subsets whose hashes agree, over those densities at which the
@@ -27,7 +25,7 @@ from pyspark.sql import functions as F
 
 from .durable import stored
 
-COMMONEST, LEVELS, EACH, BROADCAST_ROWS = 50, 13, 8, 2_000_000
+COMMONEST, LEVELS, EACH, BROADCAST_ROWS, RANGE_BYTES = 50, 13, 8, 2_000_000, 32 << 20
 _WIDTH = 6
 
 
@@ -37,9 +35,8 @@ def terms(text: Column) -> Column:
     return F.array_remove(F.array_distinct(F.split(spaced, " +")), "")
 
 
-def common_terms(texts: DataFrame, commonest: int = COMMONEST) -> DataFrame:
-    """Hashes of the terms in at least 1/``commonest`` of the documents (two at least)."""
-    n = texts.count()
+def common_terms(texts: DataFrame, n: int, commonest: int = COMMONEST) -> DataFrame:
+    """Hashes of the terms in at least 1/``commonest`` of the ``n`` documents (two at least)."""
     counted = texts.select(F.explode(terms(F.col("text"))).alias("t")).select(F.xxhash64("t").alias("term")).groupBy("term").agg(F.count("*").alias("df"))
     return counted.where(F.col("df") >= max(2, -(-n // commonest))).select("term")
 
@@ -53,7 +50,7 @@ def cell_of(term: Column) -> Column:
 
 
 def subset_codes(texts: DataFrame, common: DataFrame, keys: list[str]) -> DataFrame:
-    """``keys``, kind, cell, code and x (exclusive or of term hashes), n for every row of (keys,
+    """``keys``, kind, cell, code and x (hash of its sorted terms), n for every row of (keys,
     kind, text) and subset that it has terms in; cell -1 holds common terms, -2 means no term.
     If ``keys`` include the column by which ``texts`` is dealt, nothing is shuffled."""
     small = common.count() <= BROADCAST_ROWS
@@ -62,7 +59,7 @@ def subset_codes(texts: DataFrame, common: DataFrame, keys: list[str]) -> DataFr
     common = common.withColumn("is_common", F.lit(True))
     rows = rows.join(F.broadcast(common) if small else common, "term", "left")
     cell = F.when(F.col("term").isNull(), -2).when(F.col("is_common"), -1).otherwise(cell_of(F.col("term"))).cast("int")
-    cells = rows.select(*keys, "kind", "term", cell.alias("cell")).groupBy(*keys, "kind", "cell").agg(F.bit_xor(F.xxhash64("term", F.lit(29))).alias("x"), F.count("term").alias("n"))
+    cells = rows.select(*keys, "kind", "term", cell.alias("cell")).groupBy(*keys, "kind", "cell").agg(F.xxhash64(F.array_sort(F.collect_list("term")), F.lit(29)).alias("x"), F.count("term").alias("n"))
     return cells.withColumn("code", F.substring(F.lpad(F.hex(F.xxhash64("x", "n")), 16, "0"), 1, _WIDTH))
 
 
@@ -103,13 +100,13 @@ def likeness(a: Column, b: Column) -> Column:
     return F.when(a == b, F.lit(1.0)).when((F.size(a) > 1) & (F.size(b) > 1), share).otherwise(F.lit(0.0))
 
 
-def with_next(rows: DataFrame, key: str, tie: str, carry: str) -> DataFrame:
+def with_next(rows: DataFrame, key: str, tie: str, carry: str, ranges: int = 1) -> DataFrame:
     """``rows`` with range, place, own and next_<carry>: the value of ``carry`` at the next row in
     descending order of (key, tie), nulls last; after the last the first. Rows are dealt to ranges
-    cut at quantiles, each a window of its own; the last row of each range also goes to the next
+    (``ranges`` or the session's setting, if more) cut at quantiles, each a window of its own; the last row of each range also goes to the next
     range as its first row (own = 0), so a row's next one always has the place before it."""
     spark = rows.sparkSession
-    n = max(1, min(int(spark.conf.get("spark.sql.shuffle.partitions")), 4000))
+    n = max(1, min(max(int(spark.conf.get("spark.sql.shuffle.partitions")), ranges), 4000))
     cuts = rows.agg(F.percentile_approx(key, [i / n for i in range(1, n)], 20 * n)).first()[0] if n > 1 else None
     cuts = sorted(set(cuts or []))
     steps = F.array(*(F.lit(2**i) for i in range(max(len(cuts), 1).bit_length(), -1, -1)))
@@ -133,8 +130,9 @@ def fingerprint_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str
     """id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next.
     Texts are shuffled once, by range of id; all later groups and windows keep that dealing."""
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
-    common = stored(common_terms(rows.select("text")), "common-terms")
-    rows = with_next(rows.withColumn("tie", F.xxhash64("text")), "id", "tie", "text")
+    count, size = rows.agg(F.count("*"), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
+    common = stored(common_terms(rows.select("text"), count), "common-terms")
+    rows = with_next(rows.withColumn("tie", F.xxhash64("text")), "id", "tie", "text", -(-size // RANGE_BYTES))
     n = F.length("text")
     half = F.floor(n / 2).cast("int")
     edited = F.concat(F.substring(F.col("text"), F.lit(1), n - half), F.substring(F.coalesce("next_text", F.lit("")), F.lit(1), half))

@@ -470,6 +470,31 @@ def test_hilbert_keys_are_a_walk():
     assert sorted(keys) == list(range(64)) and (np.abs(np.diff(walk, axis=0)).sum(1) == 1).all()
 
 
+def brute_mix(rows):
+    """Copies of each (id, source, size): targets by filling up, then one draw a row."""
+    whole, weight = Counter(), {}
+    for _, source, size in rows:
+        whole[source] += size
+    for i, source in enumerate(sorted(whole, key=lambda s: (s is None, s or ""))):
+        weight[source] = (3, 1, 2)[i % 3]
+    target, open_, left = {}, set(whole), 1.5 * sum(whole.values())
+    while open_:
+        level = left / sum(weight[s] for s in open_)
+        full = {s for s in open_ if 2 * whole[s] < level * weight[s]}
+        if not full:
+            target |= {s: level * weight[s] for s in open_}
+            break
+        target |= {s: 2.0 * whole[s] for s in full}
+        left -= sum(target[s] for s in full)
+        open_ -= full
+    out = []
+    for doc, source, _ in rows:
+        rate = target[source] / whole[source] if whole[source] else 0.0
+        u = int(hashlib.md5(f"mix-1:{'null' if doc is None else doc}".encode()).hexdigest()[:12], 16) / 2**48
+        out.append(int(rate) + (u < rate - int(rate)))
+    return out
+
+
 def test_mixing_equals_sql(spark, small):
     assert_same(queries.op7_mixing(spark, small), queries.oracle_sql()["op7_mixing"], small)
 
@@ -486,6 +511,8 @@ def test_mixing_edges(request, table):
         targets.setdefault((r.source_size, r.target), 0)
     if rows:
         assert sum(t for _, t in targets) == pytest.approx(1.5 * total)
+    given = df.select("doc_id", "source", "text").collect()
+    assert Counter((r.doc_id, r.copies) for r in rows) == Counter(zip((r.doc_id for r in given), brute_mix([(r.doc_id, r.source, len(words(r.text or ""))) for r in given])))
     mixed = mixing.mix(df)
     assert mixed.columns == df.columns and mixed.count() == sum(r.copies for r in rows)
 
@@ -575,6 +602,52 @@ def test_fingerprints(request, table):
         assert np.mean([r.near_edited for r in got]) > 10 * np.mean([r.near_next for r in got])
 
 
+def brute_print(terms_of, common, cell_of):
+    """The codes of a text's sorted terms in every subset; one of all terms if it has none in a subset."""
+    cells = {}
+    for t in sorted(terms_of):
+        if t not in common:
+            cells.setdefault(cell_of[t], []).append(t)
+    return tuple(tuple(cells.get(i, ())) for i in range(imatch.LEVELS * imatch.EACH)) if cells else ("all", *sorted(terms_of))
+
+
+def test_fingerprints_and_likeness_by_their_terms(spark, docs):
+    """Fingerprints agree exactly where the terms of a subset do, and likeness is the share of such subsets."""
+    rows = sorted(((r.doc_id, r.text or "") for r in docs.select("doc_id", "text").collect()), reverse=True)
+    split = lambda t: {w for w in re.split("[ \t\n\x0b\x0c\r]+", t.lower()) if w}
+    half = lambda t: len(t) // 2
+    edited = {i: t[: len(t) - half(t)] + rows[(k + 1) % len(rows)][1][: half(t)] for k, (i, t) in enumerate(rows)}
+    df = Counter(w for _, t in rows for w in split(t))
+    common = {w for w, n in df.items() if n >= max(2, -(-len(rows) // imatch.COMMONEST))}
+    every = sorted({w for _, t in rows for w in split(t)} | {w for t in edited.values() for w in split(t)})
+    table = spark.createDataFrame([(w,) for w in every], "t string")
+    cell_of = {r.t: r.c for r in table.select("t", imatch.cell_of(F.xxhash64("t")).alias("c")).collect()}
+    got = {r.doc_id: r for r in imatch.fingerprint_documents(docs).collect()}
+    own = {i: brute_print(split(t), common, cell_of) for i, t in rows}
+    other = {i: brute_print(split(t), common, cell_of) for i, t in edited.items()}
+    meaning = {}
+    for i, _ in rows:
+        assert meaning.setdefault(got[i].fingerprint, own[i]) == own[i] and meaning.setdefault(got[i].edited_fingerprint, other[i]) == other[i]
+    assert len(set(meaning.values())) == len(meaning)
+
+    def like(a, b):
+        if a == b:
+            return 1.0
+        if "all" in (a[:1] + b[:1]):
+            return 0.0
+        same = least = 0
+        for k in range(imatch.LEVELS):
+            x, y = (p[k * imatch.EACH : (k + 1) * imatch.EACH] for p in (a, b))
+            n = min(sum(map(bool, x)), sum(map(bool, y)))
+            if n <= imatch.EACH * 3 // 4:
+                least += n
+                same += sum(bool(p) and p == q for p, q in zip(x, y))
+        return same / least if least else 0.0
+
+    for k, (i, _) in enumerate(rows):
+        assert got[i].near_edited == pytest.approx(like(own[i], other[i])) and got[i].near_next == pytest.approx(like(own[i], own[rows[(k + 1) % len(rows)][0]]))
+
+
 def test_fingerprints_of_nothing(empty):
     assert imatch.fingerprint_documents(empty).count() == 0
 

@@ -1,9 +1,12 @@
 """The corpus pipeline, stage by stage."""
 
+from collections import Counter
+
 import corpus_pipeline
-from stratamatch.llm import quality
+from stratamatch.llm import packing, quality
+from stratamatch.llm.queries import tokenizer_path
 
-from .test_operators import brute_links, words
+from .test_operators import brute_links, brute_mix, words
 
 
 def test_stages_work_on_what_is_kept(spark, small, tmp_path):
@@ -25,10 +28,18 @@ def test_stages_work_on_what_is_kept(spark, small, tmp_path):
         if name == "passages":
             assert docs.count() == before.count()
             assert all(r.n_chars == len(r.text) for r in docs.collect())
-    sizes = [len(words(r.text)) for r in kept["passages"].collect()]
-    mixed = sum(len(words(r.text)) for r in kept["mixing"].collect())
-    assert abs(mixed - 1.5 * sum(sizes)) < 0.1 * sum(sizes)
-    assert kept["packing"].count() > 0
+    before = kept["passages"].collect()
+    mixed = kept["mixing"].collect()
+    want = brute_mix([(r.doc_id, r.source, len(words(r.text))) for r in before])
+    assert Counter((r.doc_id, r.text, r.source) for r in mixed) == Counter({(r.doc_id, r.text, r.source): n for r, n in zip(before, want) if n})
+    encode, tokens = packing.token_encoder(tokenizer_path()), Counter()
+    for r in mixed:
+        tokens[r.doc_id] += len(encode(r.text or "")) + 1
+    packed, used = Counter(), Counter()
+    for r in kept["packing"].collect():
+        packed[r.doc_id] += r.length
+        used[r.sequence_id] += r.length
+    assert packed == tokens and max(used.values()) <= 2048 and sum(2048 - n for n in used.values()) <= 2048
 
 
 def test_edge_rows_go_through(spark, small, tmp_path):
