@@ -114,26 +114,43 @@ def supergroups(group) -> Column:
     return reduce(lambda a, b: a | b, ((F.col(f"n1_{t}") > 0) & (F.col(f"n0_{t}") > 0) for t in group))
 
 
-def summaries_multi(df: DataFrame, treatments: TreatmentSet, partition, store, plan: str = "cells") -> dict[str, DataFrame]:
-    """Strata with both arms of every treatment, by factoring; ``store`` keeps what a group's
-    treatments share. Plans: ``cells`` (one aggregate of the rows into the cells of a group's
-    covariates; supergroups without overlap go there, and strata are added up from cells), ``rows``
-    (the factored rows themselves, needed where later questions filter rows)."""
-    if plan not in ("cells", "rows"):
+def supergroup_pruning(df: DataFrame, treatments: TreatmentSet, group, one_of: int = 16) -> float:
+    """Share of rows in supergroups without overlap, from the whole supergroups of one in ``one_of``
+    keys (by hash). Action: one aggregate of that part."""
+    keys = treatments.shared(group)
+    some = df.where(F.pmod(F.xxhash64(*keys), F.lit(one_of)) == 0)
+    counts = [F.count_if(F.col(t) == a).alias(f"n{a}_{t}") for t in group for a in (1, 0)]
+    kept, n = some.groupBy(*keys).agg(F.count("*").alias("n"), *counts).agg(F.sum(F.when(supergroups(group), F.col("n")).otherwise(0)), F.sum("n")).first()
+    return 1 - kept / n if n else 0.0
+
+
+def summaries_multi(df: DataFrame, treatments: TreatmentSet, partition, store, plan: str = "auto", least: float = 0.5) -> dict[str, DataFrame]:
+    """Strata with both arms of every treatment, with work shared inside each group of the partition;
+    ``store`` keeps what a group's treatments share. Treatments with the same covariates always
+    come from one aggregate. For the others: ``rows`` (the group's factored rows), ``cells`` (the cells
+    of the group's covariates, where supergroups without overlap go; for questions on few
+    covariates with many rows a cell), ``each`` (an aggregate for each treatment), or ``auto``:
+    factored rows if a sample of supergroups says that at least the share ``least`` of rows goes, else ``each``."""
+    if plan not in ("auto", "cells", "rows", "each"):
         raise ValueError(plan)
     out = {}
     for group, _ in partition:
-        if len(group) < 2:
-            out[group[0]] = overlapping(summarize(df, treatments.spec(group[0])))
-        elif plan == "rows":
+        dims, same = list(dict.fromkeys(c for t in group for c in treatments.covariates[t])), len({frozenset(treatments.covariates[t]) for t in group}) == 1
+        how = "cells" if same and len(group) > 1 else "each" if len(group) < 2 else plan
+        if how == "auto":
+            how = "rows" if supergroup_pruning(df, treatments, group) >= least else "each"
+        if how == "each":
+            out |= {t: overlapping(summarize(df, treatments.spec(t))) for t in group}
+        elif how == "rows":
             view = store(factor(df, treatments, group))
             out |= {t: factored_summary(view, treatments, group, t) for t in group}
         else:
-            dims, shared = list(dict.fromkeys(c for t in group for c in treatments.covariates[t])), list(treatments.shared(group))
-            cells = store(base_cuboid(df, dims, treatments.id, group, treatments.outcomes))
-            kept = attach(cells, roll_up(cells.select(*shared, *(f"n{a}_{t}" for t in group for a in (1, 0))), shared, shared).where(supergroups(group)), shared, {})
+            shared = list(treatments.shared(group))
+            kept = cells = store(base_cuboid(df, dims, treatments.id, group, treatments.outcomes))
+            if not same:
+                kept = attach(cells, roll_up(cells.select(*shared, *(f"n{a}_{t}" for t in group for a in (1, 0))), shared, shared).where(supergroups(group)), shared, {})
             for t in group:
                 keys = list(treatments.covariates[t])
                 own = [c for c in cells.columns if c in dims or c == f"max_{t}" or c.startswith((f"n1_{t}", f"n0_{t}", f"sum1_{t}_", f"sum0_{t}_"))]
-                out[t] = strata_of(roll_up(kept.select(*own), keys, dims), t, keys, treatments.outcomes)
+                out[t] = strata_of(kept if same else roll_up(kept.select(*own), keys, dims), t, keys, treatments.outcomes)
     return out

@@ -51,15 +51,21 @@ def prune(rows: DataFrame, spec: UnitSpec) -> DataFrame:
     return attach(rows.where(F.col(spec.treatment).isNotNull()), kept, spec.covariates, {})
 
 
-def cem_pushed(hops: list[Hop], spec: UnitSpec, first_id: str) -> DataFrame:
+def cem_pushed(hops: list[Hop], spec: UnitSpec, first_id: str, store=lambda df: df) -> DataFrame:
     """The integrated result of ``cem``, with strata pruned before every join. ``first_id`` is
-    the id of the first relation's rows; ``spec.id`` exists after the last hop."""
+    the id of the first relation's rows; ``spec.id`` exists after the last hop. Matching reads its
+    rows twice, so ``store`` may keep joined rows (the pruned ones only, with the columns that
+    later steps need) instead of joining them again."""
     known, rows = (), hops[0].rows
+    wanted = {spec.id, spec.treatment, *spec.covariates, *spec.outcomes, *(a for h in hops for a, _ in h.on), *(c for h in hops for c in h.covariates)}
     for hop in hops:
         if hop is not hops[0]:
             rows = _hop(rows, hop)
         known += hop.covariates
-        if hop is not hops[-1] and hop.covariates:
+        last = hop is hops[-1]
+        if hop is not hops[0] and (last or hop.covariates):
+            rows = store(rows.select(*(c for c in rows.columns if c in wanted | {first_id})))
+        if hop.covariates and not last:
             rows = prune(rows, UnitSpec(first_id, spec.treatment, known))
     return cem(rows, UnitSpec(spec.id, spec.treatment, known, spec.outcomes))
 

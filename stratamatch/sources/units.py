@@ -55,10 +55,12 @@ def line_spec(treatment: str = "t_bulk", covariates=COARSE, measured=("total", "
     return UnitSpec("uid", treatment, tuple(covariates), ("y_rev", "y_ret"), tuple(measured))
 
 
-def line_treatments() -> TreatmentSet:
-    """Five treatments, one of them a conjunction of two."""
+def line_treatments(by_day: bool = False) -> TreatmentSet:
+    """Five treatments, one of them a conjunction of two. ``by_day``: the day of shipping instead of its
+    week, so that strata stay small on large tables."""
     own = {"t_bulk": ("o_orderstatus",), "t_disc": ("cx_tax",), "t_combo": ("o_orderstatus", "cx_tax"), "t_urgent": ("cx_total",), "t_heavy": ("cx_total",)}
-    shared = {t: SHARED if t in ("t_bulk", "t_disc", "t_combo") else SHARED[:3] for t in own}
+    dated = (*SHARED[:3], "ship_date") if by_day else SHARED
+    shared = {t: dated if t in ("t_bulk", "t_disc", "t_combo") else SHARED[:3] for t in own}
     return TreatmentSet("uid", {t: shared[t] + own[t] for t in sorted(own)}, ("y_rev", "y_ret"))
 
 

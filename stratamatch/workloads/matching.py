@@ -25,6 +25,10 @@ _CHAIN_RESULT = f"{CHAIN} SELECT uid, t, max(uid) OVER w AS subclass FROM chain
 CHAIN_SPEC = UnitSpec("uid", "t", ("p_brand", "p_type", "cx_retail", "o_orderstatus", "c_mktsegment"))
 
 
+def _store(df):
+    return materialized(df, "joined")
+
+
 def chain(spark, folder):
     """part (holds the treatment) - lineitem - orders - customer."""
     part = table(spark, folder, "part").select("p_partkey", F.expr("cast(p_size > 45 as int)").alias("t"), "p_brand", "p_type", F.floor(F.col("p_retailprice") / 20).cast("int").alias("cx_retail"))
@@ -45,7 +49,7 @@ def pushdown_integrated(spark, folder):
 
 @query(_CHAIN_RESULT)
 def pushdown_cem(spark, folder):
-    return cem_pushed(chain(spark, folder), CHAIN_SPEC, "p_partkey").select("uid", "t", "subclass")
+    return cem_pushed(chain(spark, folder), CHAIN_SPEC, "p_partkey", _store).select("uid", "t", "subclass")
 
 
 @query(_CHAIN_RESULT)
@@ -104,7 +108,7 @@ def pushdown_days_integrated(spark, folder):
 @query(_DAYS)
 def pushdown_days(spark, folder):
     """A second treatment and chain, where matching the first relation drops most of its rows."""
-    return cem_pushed(order_chain(spark, folder), DAY_SPEC, "o_orderkey").select("uid", "t", "subclass")
+    return cem_pushed(order_chain(spark, folder), DAY_SPEC, "o_orderkey", _store).select("uid", "t", "subclass")
 
 
 MEASURED = {"total": 100, "retail": 100, "acct": 100, "size": 1}

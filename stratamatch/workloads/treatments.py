@@ -80,8 +80,8 @@ def cem_shared_x(spark, folder):
     return cem_shared(line_units(spark, folder), "uid", ("t_bulk", "t_urgent"), ("p_brand", "p_type", "c_mktsegment"))
 
 
-def _effects_sql(where="true", names=TREATMENTS):
-    parts = [strata(t, KEYS[t], name=f"s_{t}", where=where) for t in names]
+def _effects_sql(where="true", names=TREATMENTS, keys=KEYS):
+    parts = [strata(t, keys[t], name=f"s_{t}", where=where) for t in names]
     rest = "\nUNION ALL\n".join(f"SELECT '{t}' AS treatment, count(*) AS strata, CAST(coalesce(sum(n), 0) AS BIGINT) AS n, round(sum(n * {difference('y_rev')}) / CAST(sum(n) AS DOUBLE) / 10000, 6) AS ate_y_rev FROM s_{t}" for t in names)
     return units(rest, *parts)
 
@@ -94,22 +94,45 @@ def _effect_rows(summaries):
     return out
 
 
-@query(_effects_sql())
-def cem_multi_effects(spark, folder):
-    """Five treatments by correlation, grouping and factoring: the rows are joined once into a narrow table."""
-    ts = line_treatments()
+def _multi(spark, folder, ts, plan="auto"):
     u = materialized(_narrow(line_units(spark, folder), ts), "narrow")
     groups = partition_treatments(phi_values(u, TREATMENTS), ts)
-    return _effect_rows(summaries_multi(u, ts, groups, lambda df: materialized(df, "cells")))
+    return _effect_rows(summaries_multi(u, ts, groups, lambda df: materialized(df, "shared"), plan))
+
+
+@query(_effects_sql())
+def cem_multi_effects(spark, folder):
+    """Five treatments by correlation and grouping; the rows are joined once into a narrow table, and
+    groups are factored where that drops rows."""
+    return _multi(spark, folder, line_treatments())
 
 
 @query(_effects_sql())
 def cem_multi_effects_rows(spark, folder):
-    """The same with factored rows instead of cells."""
-    ts = line_treatments()
-    u = materialized(_narrow(line_units(spark, folder), ts), "narrow")
-    groups = partition_treatments(phi_values(u, TREATMENTS), ts)
-    return _effect_rows(summaries_multi(u, ts, groups, lambda df: materialized(df, "factored"), "rows"))
+    """The same by factored rows."""
+    return _multi(spark, folder, line_treatments(), "rows")
+
+
+@query(_effects_sql())
+def cem_multi_effects_cells(spark, folder):
+    """The same by cells."""
+    return _multi(spark, folder, line_treatments(), "cells")
+
+
+_DAYS = {t: ", ".join(line_treatments(by_day=True).covariates[t]) for t in TREATMENTS}
+
+
+@query(_effects_sql(keys=_DAYS))
+def cem_multi_effects_days(spark, folder):
+    """The same with the day of shipping: most supergroups have one arm and go."""
+    return _multi(spark, folder, line_treatments(by_day=True))
+
+
+@query(_effects_sql(keys=_DAYS))
+def cem_naive_effects_days(spark, folder):
+    """Baseline: one independent matching per treatment."""
+    u, ts = line_units(spark, folder), line_treatments(by_day=True)
+    return _effect_rows({t: overlapping(summarize(u, ts.spec(t))) for t in TREATMENTS})
 
 
 def _narrow(units_of, ts):
