@@ -3,7 +3,7 @@
 Each whole text becomes a short vector of transformed statistics (logs and
 log-odds of character classes, word shapes and repetition). Per class, count,
 sum and cross products are added up over all training rows, so the fit needs no
-sample; each class covariance shrinks towards the pooled one and its diagonal.
+sample (``keep_good`` takes a bounded one, to read fewer texts twice); each class covariance shrinks towards the pooled one and its diagonal.
 A score is the logistic of the difference of the two Mahalanobis log densities,
 with inverse Cholesky factors that are computed once.
 
@@ -25,6 +25,8 @@ from pyspark.sql import functions as F
 from .durable import stored
 from .wordhash import WordHasher, blobs, portions, windows
 
+#: Labelled rows that ``keep_good`` fits on at most (about).
+SAMPLE = 50_000
 #: Names of the statistics, in the order of the vectors.
 STATISTICS = (
     "upper", "digits", "stops", "symbols", "bangs", "bars", "line_ends", "word_length", "distinct_words",
@@ -157,11 +159,18 @@ def score_documents(docs: DataFrame, labels: DataFrame, train_on, id_col: str =
     return rows.mapInArrow(run, f"{id_col} long, score double").withColumn("predicted", (F.col("score") >= threshold).cast("int"))
 
 
-def keep_good(docs: DataFrame, labels: DataFrame, threshold: float = 0.3) -> DataFrame:
-    """The rows of ``docs`` (with their columns) whose score reaches the threshold.
-    Scores in place, in one more pass over the texts, so that nothing is joined."""
-    marks = labels.where(F.col("quality").isin(0, 1)).groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.min("quality").alias("label"))
-    model = fit(document_statistics(docs).join(marks, "doc_id").select("x", "label"))
+def keep_good(docs: DataFrame, labels: DataFrame, threshold: float = 0.3, sample: int = SAMPLE) -> DataFrame:
+    """The rows of ``docs`` (with their columns) whose score reaches the threshold. Fits on about
+    ``sample`` labelled rows (all, if fewer), drawn by a hash of the id: their ids are broadcast, so
+    that only their texts are read for it. Scores in place, in one pass over the texts."""
+    marks = labels.where(F.col("quality").isin(0, 1)).where("doc_id is not null").groupBy(F.col("doc_id").cast("long").alias("mark_id")).agg(F.min("quality").alias("label"))
+    marks = stored(marks, "labels")
+    n = marks.count()
+    if n > sample:
+        marks = marks.where(F.pmod(F.xxhash64(F.lit("fit"), "mark_id"), F.lit(n)) < sample)
+    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(marks.select("mark_id")), F.col("doc_id") == F.col("mark_id"), "left_semi")
+    rows = document_statistics(own).join(F.broadcast(marks), F.col("doc_id") == F.col("mark_id"))
+    model = fit(rows.select("x", "label"))
 
     def run(batches):
         hasher = WordHasher()

@@ -677,6 +677,15 @@ def test_quality_edges(spark, edge, clashing, empty):
     assert quality.keep_good(clashing, none).columns == clashing.columns
 
 
+def test_quality_fits_on_a_bounded_sample(spark):
+    folder = "/root/testdata/sf0.01"
+    docs, labels = (spark.read.parquet(f"{folder}/{n}.parquet") for n in ("documents", "labels"))
+    whole, some = ({r.doc_id for r in quality.keep_good(docs, labels, sample=n).select("doc_id").collect()} for n in (50_000, 200))
+    assert len(whole ^ some) < 0.05 * docs.count()
+    good = {r.doc_id for r in labels.where("quality = 1").collect()}
+    assert len(good & some) >= 0.97 * len(good)
+
+
 def test_discriminant_equals_the_formula(spark):
     rng = np.random.default_rng(0)
     d = len(quality.STATISTICS)
