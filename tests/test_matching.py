@@ -346,3 +346,8 @@ def test_plans_have_no_nested_loops(spark, small):
     assert "WindowGroupLimit" in plan(nearest_with_replacement(edges(spark, small), 1))
     one = summarize(u.select("uid", "t_bulk", "y_rev", "p_brand"), UnitSpec("uid", "t_bulk", ("p_brand",), ("y_rev",)))
     assert "partial_sum" in plan(one) and overlap_report(one).first()["strata"] > 0
+
+
+def test_rounding_and_widths(spark):
+    row = frame(spark, [(1, None, 17, 0)]).select(coarsening.rounded(F.lit(2.345), 1).alias("r"), coarsening.width_bucket(F.col("x"), 5).alias("w"), coarsening.width_bucket(-F.col("x"), 5).alias("m"), coarsening.width_bucket(F.lit(None).cast("int"), 5).alias("n")).first()
+    assert (row.r, row.w, row.m, row.n) == (2.3, 3, -4, None)
