@@ -44,7 +44,7 @@ from .durable import slices, stored
 from .substring import packed
 from .wordhash import WordHasher, blobs, bucket_of, cuts, give_back, hashed_runs, pack, portions, spread, text_windows, unpack, windows
 
-BLOCK = 4000
+BLOCK = 1000
 #: Sets of one batch that make a shingle common: its list is then taken as the longest kind everywhere.
 COMMON = 8
 #: Cost of a probe against that of a merged posting, in the choice of the long lists.
