@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 
 from .durable import stored
 
-COMMONEST, LEVELS, EACH, BROADCAST_ROWS, RANGE_BYTES = 50, 13, 8, 2_000_000, 32 << 20
+COMMONEST, LEVELS, EACH, BROADCAST_ROWS, RANGE_BYTES = 50, 13, 8, 2_000_000, 4 << 20
 _WIDTH = 6
 
 
@@ -106,7 +106,7 @@ def with_next(rows: DataFrame, key: str, tie: str, carry: str, ranges: int = 1)
     (``ranges`` or the session's setting, if more) cut at quantiles, each a window of its own; the last row of each range also goes to the next
     range as its first row (own = 0), so a row's next one always has the place before it."""
     spark = rows.sparkSession
-    n = max(1, min(max(int(spark.conf.get("spark.sql.shuffle.partitions")), ranges), 4000))
+    n = max(1, min(max(int(spark.conf.get("spark.sql.shuffle.partitions")), ranges), 10_000))
     cuts = rows.agg(F.percentile_approx(key, [i / n for i in range(1, n)], 20 * n)).first()[0] if n > 1 else None
     cuts = sorted(set(cuts or []))
     steps = F.array(*(F.lit(2**i) for i in range(max(len(cuts), 1).bit_length(), -1, -1)))
@@ -123,6 +123,8 @@ def with_next(rows: DataFrame, key: str, tie: str, carry: str, ranges: int = 1)
     guests = guests.dropDuplicates(["goes_to"]).select(F.col("goes_to").alias("range"), F.lit(0).alias("own"), *rows.columns)
     order = Window.partitionBy("range").orderBy("own", F.col(key).asc_nulls_first(), tie)
     out = guests.unionByName(dealt.select("range", F.lit(1).alias("own"), *rows.columns))
+    if ranges > 1:  # so many tasks, not as many as the bytes of the texts ask: what follows makes a row of each term
+        out = out.repartition(n, "range")
     return out.select("*", F.row_number().over(order).alias("place"), F.lag(carry).over(order).alias(f"next_{carry}"))
 
 
