@@ -97,3 +97,21 @@ def test_greedy_with_one_score_held_by_many(spark, order):
     assert got == {(i, 10000 + i, 1) for i in range(n)}
     few = nearest_without_replacement(edges, 3, "greedy", 1, order)
     assert {(r.t_uid, r.c_uid) for r in few.collect()} == {(i // 3, 10000 + i) for i in range(n)}
+
+
+def test_arms_of_coarsened_pairs_come_from_one_read_of_the_lines(spark, small):
+    """Both arms once ran the joins of units; the pairs read a written table only."""
+    pairs = workloads.QUERIES["dist_coarsened"](spark, small)
+    assert not any("lineitem" in f or "orders" in f for f in pairs.inputFiles())
+
+
+def test_names_of_parts_move_for_parts_only(spark, small):
+    """Parts are joined last: no exchange after theirs carries p_type."""
+    keep = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        plan = line_units(spark, small).select("uid", "p_type", "total", "acct")._jdf.queryExecution().optimizedPlan().toString()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", keep)
+    joins = [line for line in plan.splitlines() if "Join Inner" in line]
+    assert "l_partkey" in joins[0] and "l_orderkey" in joins[1]
