@@ -1,5 +1,7 @@
 """Queries over scored units: every unit with a defined treatment takes part."""
 
+import re
+import time
 from collections import defaultdict
 
 import numpy as np
@@ -8,7 +10,7 @@ import pytest
 from stratamatch import workloads
 from stratamatch.operators.neighbours import caliper_rule, candidate_pairs, match_sorted, nearest_without_replacement
 from stratamatch.plans.spec import UnitSpec
-from stratamatch.sources.units import line_units, scored_units
+from stratamatch.sources.units import line_units, scored_units, written_scores
 
 from .oracle import connection
 
@@ -115,3 +117,26 @@ def test_names_of_parts_move_for_parts_only(spark, small):
         spark.conf.set("spark.sql.autoBroadcastJoinThreshold", keep)
     joins = [line for line in plan.splitlines() if "Join Inner" in line]
     assert "l_partkey" in joins[0] and "l_orderkey" in joins[1]
+
+
+def test_candidates_come_from_written_lists(spark, small):
+    """Both arms once ran the joins of units, and treated units moved three times, not the lists of their scores."""
+    pairs = workloads.QUERIES["nn_candidates"](spark, small)
+    assert pairs.inputFiles() and not any("lineitem" in f or "orders" in f for f in pairs.inputFiles())
+
+
+def test_written_scores_leave_no_shuffle(spark, small, scored):
+    """Rows of all scored units; the shuffles that made them are gone."""
+
+    def shuffles():
+        files = spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles().mkString(" ")
+        return set(re.findall(r"shuffle_\d+_", files))
+
+    before = shuffles()
+    got = written_scores(spark, small)
+    deadline = time.time() + 10
+    while (left := shuffles() - before) and time.time() < deadline:
+        time.sleep(0.1)
+    assert not left
+    assert spark.conf.get("spark.sql.classic.shuffleDependency.fileCleanup.enabled") == "false"
+    assert sorted(tuple(r) for r in got.collect()) == sorted(scored)
