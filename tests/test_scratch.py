@@ -22,7 +22,7 @@ def tables(spark):
     return set(os.listdir(shared_folder(spark).removeprefix("file://")))
 
 
-@pytest.mark.parametrize("query, held", [("dist_coarsened", {"coded"}), ("nn_theta_baseline", {"scores", "treated"}), ("udf_distance", {"scores", "lists", "distances"})])
+@pytest.mark.parametrize("query, held", [("nn_candidates", {"scores", "lists"}), ("dist_coarsened", {"coded"}), ("nn_theta_baseline", {"scores", "treated"}), ("udf_distance", {"scores", "lists", "distances"})])
 def test_pairs_begin_without_shuffles_and_passing_tables(spark, small, query, held):
     """The shuffles of the joins of units, and the lines they were made from, once stayed beside the pairs."""
     shuffled, written = shuffles(spark), tables(spark)
